@@ -9,10 +9,12 @@ Steps, each one distributed:
    prefix filter exact; this one keeps frequent n-grams out of the prefixes;
 3. classes with the same prefix and the same size form a group; groups meet on
    the n-grams of their prefixes;
-4. a few rounds of stars (every group against one pivot of each of its buckets)
-   find nearly all components without listing the pairs of a bucket;
-5. the pairs of groups that still lie in different components and pass the size
-   and position filters are expanded to their members and verified.
+4. in buckets of at most ``small`` groups the pairs that pass the size and
+   position filters are taken as they are; in larger ones stars (every group
+   against one pivot of each of its buckets) find nearly all components without
+   listing the pairs of a bucket;
+5. the pairs of groups of larger buckets that still lie in different components
+   and pass the filters are expanded to their members and verified.
 
 Verification is exact on whole sets.  What is returned are components and class
 membership: pairs within one component are not listed.
@@ -162,19 +164,30 @@ def _verified(n: int, num: int, den: int):
     return run
 
 
-def _verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, n: int, num: int, den: int, per_task: int = 256) -> DataFrame:
-    """Those pairs (a, b) of classes that are linked.  Left texts with many partners are sent to several tasks."""
+def _verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, n: int, num: int, den: int, per_task: int = 256, few: int = 200_000) -> DataFrame:
+    """Those pairs (a, b) of classes that are linked.
+
+    Left texts with many partners are sent to several tasks.  While the pairs
+    are few (counted here) their ids go to the texts, else the texts are dealt.
+    """
+    pairs = cut_lineage(pairs)
+    n_pairs = pairs.count()
+    if not n_pairs:
+        return pairs
     tasks = pairs.groupBy("a").agg(F.ceil(F.count("*") / per_task).alias("tasks"))
     salted = pairs.join(tasks, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("tasks")).alias("salt"))
     text = docs.select(F.col("doc_id").alias("doc"), "text")
     known = nodes.select(F.col("cls").alias("node"), "doc")
     need = salted.select("a", "salt", F.col("b"), F.col("b").alias("node")).union(salted.select("a", "salt").distinct().select("a", "salt", F.lit(None).cast("long").alias("b"), F.col("a").alias("node")))
-    rows = need.join(known, "node").join(text, "doc").select("a", "salt", "b", "text", F.col("node").alias("expect"))
+    need = need.join(known, "node")
+    if n_pairs <= few:
+        text = text.join(F.broadcast(need.select("doc").distinct()), "doc")  # 2 * few ids at most
+    rows = need.join(text, "doc").select("a", "salt", "b", "text", F.col("node").alias("expect"))
     dealt = rows.repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
-    return dealt.mapInArrow(_verified(n, num, den), "a long, b long").distinct()
+    return cut_lineage(dealt.mapInArrow(_verified(n, num, den), "a long, b long").distinct())
 
 
-def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, star_rounds: int = 2) -> DataFrame:
+def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, small: int = 32, star_rounds: int = 2) -> DataFrame:
     """One row per row of ``docs`` (doc_id, text): doc_id, size, component.
 
     ``size`` is the number of distinct word n-grams (whole sequence where there
@@ -196,22 +209,27 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     groups = groups.select("grp", "size", "members", F.col("lead.doc").alias("doc"), F.col("lead.cls").alias("lead"))
     leads = sign.select(F.col("doc_id").alias("doc"), "cls", "prefix").join(groups, "doc").where("cls = lead").dropDuplicates(["doc", "cls"])
     postings = leads.select("grp", "lead", "size", "members", F.posexplode("prefix").alias("pos", "key")).repartition("key")
-    shared = postings.groupBy("key").agg(F.sum("members").alias("k")).where("k > 1").select("key")
-    postings = cut_lineage(postings.join(shared, "key").select("key", "grp", "lead", "size", "pos"))
-
-    links = _stars_within_groups(nodes, groups)
-    links = cut_lineage(_verify(links, nodes, docs, n, num, den))
-    tried = None
-    for turn in range(star_rounds):
-        labels = components(links)
-        stars = cut_lineage(_stars(_unsettled(postings, nodes, labels), num, den, turn))
-        links = cut_lineage(links.union(_verify(stars, nodes, docs, n, num, den)).distinct())
-        tried = stars if tried is None else tried.union(stars)
+    shared = postings.groupBy("key").agg(F.count("*").alias("k"), F.sum("members").alias("m")).where("m > 1").select("key", "k")
+    postings = cut_lineage(postings.join(shared, "key").select("key", "grp", "lead", "size", "pos", (F.col("k") > small).alias("large")))
+    large = postings.where("large").drop("large")
+
+    tried = _stars_within_groups(nodes, groups).union(_pairs_of_small(postings.where("not large"), nodes, num, den))
+    tried = tried.union(_stars(_unsettled(large, nodes, None), num, den, 0)).distinct()
+    links = _verify(tried, nodes, docs, n, num, den)
     labels = components(links)
-    rest = _remaining(_unsettled(postings, nodes, labels), nodes, labels, num, den)
-    rest = cut_lineage(rest.join(tried, ["a", "b"], "left_anti") if tried is not None else rest)
-    found = cut_lineage(_verify(rest, nodes, docs, n, num, den))
-    labels = components(links.union(found)) if not found.isEmpty() else labels
+    if not large.isEmpty():
+        for turn in range(1, star_rounds):
+            stars = _stars(_unsettled(large, nodes, labels), num, den, turn).join(tried, ["a", "b"], "left_anti")
+            links = links.union(_verify(stars, nodes, docs, n, num, den))
+            labels = components(links)
+            tried = tried.union(stars)
+        rest = _remaining(_unsettled(large, nodes, labels), nodes, labels, num, den).join(tried, ["a", "b"], "left_anti")
+        found = _verify(rest, nodes, docs, n, num, den)
+        labels = components(links.union(found)) if not found.isEmpty() else labels
+    rest = _split_groups(nodes, groups, labels).join(tried, ["a", "b"], "left_anti")
+    found_within = _verify(rest, nodes, docs, n, num, den)
+    if not found_within.isEmpty():
+        labels = components(labels.select(F.col("vertex").alias("a"), F.col("label").alias("b")).union(found_within))
 
     placed = nodes.select("cls", "doc").join(labels.select(F.col("vertex").alias("cls"), "label"), "cls", "left").select("cls", "doc", F.coalesce("label", "cls").alias("label"))
     least = placed.groupBy("label").agg(F.min("doc").alias("component"))
@@ -225,13 +243,44 @@ def _stars_within_groups(nodes: DataFrame, groups: DataFrame) -> DataFrame:
     return nodes.join(groups.where("members > 1").select("grp", "size", "lead"), ["grp", "size"]).where("cls <> lead").select(F.col("lead").alias("a"), F.col("cls").alias("b"))
 
 
-def _unsettled(postings: DataFrame, nodes: DataFrame, labels: DataFrame) -> DataFrame:
+def _split_groups(nodes: DataFrame, groups: DataFrame, labels: DataFrame) -> DataFrame:
+    """The pairs of classes of one group (same prefix, same size) that lie in different components."""
+    several = _labelled(nodes.join(groups.where("members > 1").select("grp", "size"), ["grp", "size"], "left_semi"), labels)
+    x, y = several.alias("x"), several.alias("y")
+    met = x.join(y, (F.col("x.grp") == F.col("y.grp")) & (F.col("x.size") == F.col("y.size")) & (F.col("x.label") != F.col("y.label")) & (F.col("x.cls") < F.col("y.cls")))
+    return met.select(F.col("x.cls").alias("a"), F.col("y.cls").alias("b"))
+
+
+def _pairs_of_small(postings: DataFrame, nodes: DataFrame, num: int, den: int) -> DataFrame:
+    """All pairs of classes whose groups meet in a small bucket and pass the filters."""
+    x, y = postings.alias("x"), postings.alias("y")
+    met = x.join(y, "key").where("x.lead < y.lead").where(_fits(num, den))
+    pairs = met.select(F.col("x.grp").alias("ga"), F.col("x.size").alias("sa"), F.col("y.grp").alias("gb"), F.col("y.size").alias("sb")).distinct()
+    return _members(pairs, nodes.select("grp", "size", "cls")).select("a", "b")
+
+
+def _members(pairs: DataFrame, of: DataFrame) -> DataFrame:
+    """Pairs of groups expanded to pairs of their classes; further columns of ``of`` come twice, with 1 and 2 at the end."""
+    more = [c for c in of.columns if c not in ("grp", "size", "cls")]
+    xs = of.select(F.col("grp").alias("ga"), F.col("size").alias("sa"), F.col("cls").alias("ca"), *[F.col(c).alias(f"{c}1") for c in more])
+    ys = of.select(F.col("grp").alias("gb"), F.col("size").alias("sb"), F.col("cls").alias("cb"), *[F.col(c).alias(f"{c}2") for c in more])
+    both = pairs.join(xs, ["ga", "sa"]).join(ys, ["gb", "sb"])
+    return both.select(F.least("ca", "cb").alias("a"), F.greatest("ca", "cb").alias("b"), *[f"{c}{k}" for c in more for k in (1, 2)])
+
+
+def _labelled(nodes: DataFrame, labels: DataFrame | None) -> DataFrame:
+    """Classes with the label of their component so far; at first each is its own."""
+    if labels is None:
+        return nodes.select("cls", "grp", "size", F.col("cls").alias("label"))
+    return nodes.join(labels.select(F.col("vertex").alias("cls"), "label"), "cls", "left").select("cls", "grp", "size", F.coalesce("label", "cls").alias("label"))
+
+
+def _unsettled(postings: DataFrame, nodes: DataFrame, labels: DataFrame | None) -> DataFrame:
     """Postings of the buckets whose groups do not all lie in one component, with the component of each group.
 
     A group whose members lie in several components has its own ``split`` mark.
     """
-    placed = nodes.join(labels.select(F.col("vertex").alias("cls"), "label"), "cls", "left").select("grp", "size", F.coalesce("label", "cls").alias("label"))
-    of = placed.groupBy("grp", "size").agg(F.min("label").alias("comp"), (F.min("label") != F.max("label")).alias("split"))
+    of = _labelled(nodes, labels).groupBy("grp", "size").agg(F.min("label").alias("comp"), (F.min("label") != F.max("label")).alias("split"))
     all_ = postings.join(of, ["grp", "size"])
     open_ = all_.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.max("split").alias("any")).where("lo <> hi or any").select("key")
     return all_.join(open_, "key")
@@ -272,10 +321,6 @@ def _remaining(open_: DataFrame, nodes: DataFrame, labels: DataFrame, num: int,
     main = sizes.groupBy("key").agg(F.max(F.struct("k", "comp")).alias("m")).select("key", F.col("m.comp").alias("main"))
     marked = open_.join(main, "key")
     outside = marked.where("comp <> main or split")
-    met = outside.alias("x").join(marked.alias("y"), "key").where("x.comp <> y.comp or x.split or y.split").where(_fits(num, den))
+    met = outside.alias("x").join(marked.alias("y"), "key").where("(x.grp <> y.grp or x.size <> y.size) and (x.comp <> y.comp or x.split or y.split)").where(_fits(num, den))
     pairs = met.select(F.col("x.grp").alias("ga"), F.col("x.size").alias("sa"), F.col("y.grp").alias("gb"), F.col("y.size").alias("sb")).distinct()
-    of = nodes.join(labels.select(F.col("vertex").alias("cls"), "label"), "cls", "left").select("cls", "grp", "size", F.coalesce("label", "cls").alias("label"))
-    xs = of.select(F.col("grp").alias("ga"), F.col("size").alias("sa"), F.col("cls").alias("ca"), F.col("label").alias("la"))
-    ys = of.select(F.col("grp").alias("gb"), F.col("size").alias("sb"), F.col("cls").alias("cb"), F.col("label").alias("lb"))
-    members = pairs.join(xs, ["ga", "sa"]).join(ys, ["gb", "sb"]).where("la <> lb")
-    return members.select(F.least("ca", "cb").alias("a"), F.greatest("ca", "cb").alias("b")).distinct()
+    return _members(pairs, _labelled(nodes, labels)).where("label1 <> label2").select("a", "b").distinct()
