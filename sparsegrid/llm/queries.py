@@ -10,6 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sparsegrid.llm.decontaminate import find_matches, judged
+from sparsegrid.llm.line_dedup import line_counts
+from sparsegrid.llm.mixing import mix_sources, taken_words
 from sparsegrid.llm.ngram_join import ngram_components
 from sparsegrid.llm.quality import score_quality, train_quality
 from sparsegrid.llm.toxicity import score_toxicity, train_toxicity
@@ -23,6 +25,16 @@ def _fold(n: int):
     return F.crc32(F.col("doc_id").cast("string")) % n
 
 
+def op1_line_dedup(spark: SparkSession, folder: str) -> DataFrame:
+    """What line dedup does to each document: equal lines, and lines of 8 words or more within one word edit, stay where they are first."""
+    return line_counts(_table(spark, folder, "documents"), min_words=8)
+
+
+def op2_mix_sources(spark: SparkSession, folder: str) -> DataFrame:
+    """Words of each document that a mix of all sources, weighing 1, 2, 3 in turn, takes."""
+    return taken_words(mix_sources(_table(spark, folder, "documents"), weights=(1, 2, 3), cap=3))
+
+
 def op4_ngram_join(spark: SparkSession, folder: str) -> DataFrame:
     """Components of documents whose sets of 4-word shingles have a Jaccard similarity of 0.85 or more."""
     found = ngram_components(_table(spark, folder, "documents"), n=4, num=85, den=100)
@@ -51,6 +63,8 @@ def op10_quality(spark: SparkSession, folder: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_line_dedup": op1_line_dedup,
+    "op2_mix_sources": op2_mix_sources,
     "op4_ngram_join": op4_ngram_join,
     "op6_toxicity": op6_toxicity,
     "op7_decontaminate": op7_decontaminate,
@@ -62,6 +76,22 @@ _SPACED = rf"regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOW
 _ALNUM = rf"regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
 
 ORACLES = {
+    "op1_line_dedup": r"""
+WITH l AS MATERIALIZED (
+  SELECT doc_id, line, list_filter(string_split_regex(body, '[\x20\x09-\x0D]+'), lambda w: w <> '') AS ws FROM (
+    SELECT doc_id, unnest(b) AS body, unnest(range(len(b))) AS line FROM (SELECT doc_id, string_split(text, chr(10)) AS b FROM documents WHERE text IS NOT NULL))),
+u AS MATERIALIZED (SELECT ws, min((doc_id, line)) AS pos FROM l WHERE len(ws) > 0 GROUP BY ws),
+lng AS MATERIALIZED (SELECT ws, pos, len(ws) AS n, array_to_string(ws, ' ') AS t FROM u WHERE len(ws) >= 8),
+v AS MATERIALIZED (SELECT pos, n, i, array_to_string(list_concat(ws[:i - 1], ws[i + 1:]), ' ') AS t FROM (SELECT *, unnest(range(1, n + 1)) AS i FROM lng)),
+near AS (
+  SELECT a.pos FROM v a JOIN v b ON a.t = b.t AND a.n = b.n AND a.i = b.i WHERE b.pos < a.pos
+  UNION SELECT a.pos FROM v a JOIN lng b ON a.t = b.t AND a.n = b.n + 1 WHERE b.pos < a.pos
+  UNION SELECT a.pos FROM lng a JOIN v b ON a.t = b.t AND b.n = a.n + 1 WHERE b.pos < a.pos),
+k AS (SELECT u.pos[1] AS doc_id, count(*) FILTER (WHERE near.pos IS NULL) AS n_kept, count(near.pos) AS n_near FROM u LEFT JOIN near ON u.pos = near.pos GROUP BY 1),
+c AS (SELECT doc_id, count(*) AS n_lines, count(*) FILTER (WHERE len(ws) = 0) AS n_blank FROM l GROUP BY doc_id)
+SELECT d.doc_id, CAST(coalesce(n_lines, 0) AS BIGINT) AS n_lines, CAST(coalesce(n_blank, 0) AS BIGINT) AS n_blank, CAST(coalesce(n_kept, 0) AS BIGINT) AS n_kept,
+  CAST(coalesce(n_near, 0) AS BIGINT) AS n_near, CAST(coalesce(n_lines - n_blank - coalesce(n_kept, 0) - coalesce(n_near, 0), 0) AS BIGINT) AS n_exact
+FROM documents d LEFT JOIN c USING (doc_id) LEFT JOIN k USING (doc_id)""",
     "op4_ngram_join": f"""
 WITH RECURSIVE w AS MATERIALIZED (SELECT doc_id, {_SPACED} AS ws FROM documents),
 s AS MATERIALIZED (
