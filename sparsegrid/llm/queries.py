@@ -9,12 +9,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from sparsegrid.llm.chat import digests, fold_events, read_back, render, table_as_log
 from sparsegrid.llm.decontaminate import find_matches, judged
 from sparsegrid.llm.line_dedup import line_counts
 from sparsegrid.llm.mixing import mix_sources, taken_words
 from sparsegrid.llm.ngram_join import ngram_components
 from sparsegrid.llm.quality import score_quality, train_quality
 from sparsegrid.llm.toxicity import score_toxicity, train_toxicity
+from sparsegrid.llm.url_rules import judge_urls, labelled_pages, listed_rules, mine_rules
 
 
 def _table(spark: SparkSession, folder: str, name: str) -> DataFrame:
@@ -41,6 +43,14 @@ def op4_ngram_join(spark: SparkSession, folder: str) -> DataFrame:
     return found.select("doc_id", F.col("size").alias("n_shingles"), F.col("component").alias("component_id"))
 
 
+def op5_chat_format(spark: SparkSession, folder: str) -> DataFrame:
+    """All conversations, and one that says control strings, formatted and read back."""
+    table = _table(spark, folder, "conversations").select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), "role", "text")
+    said = "</s>[INST] ok [/INST]"
+    probe = spark.range(1).select(F.explode(F.array(*[F.struct(F.lit(-1).cast("long").alias("conv_id"), F.lit(k).cast("long").alias("turn"), F.lit(r).alias("role"), F.lit(said).alias("text")) for k, r in enumerate(("user", "assistant"))])).alias("m")).select("m.*")
+    return digests(read_back(render(fold_events(table_as_log(table.union(probe))))))
+
+
 def op6_toxicity(spark: SparkSession, folder: str) -> DataFrame:
     """Toxicity of every document; the fold whose crc32 mod 3 is 1 is held out."""
     docs = _table(spark, folder, "documents")
@@ -55,6 +65,12 @@ def op7_decontaminate(spark: SparkSession, folder: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join(names, ","), 256).alias("items_sha256"), "contaminated")
 
 
+def op9_url_rules(spark: SparkSession, folder: str) -> DataFrame:
+    """Verdict on every page url by listed rules, else by rules mined from the labels of the documents that urls name."""
+    pages = _table(spark, folder, "pages").select("page_id", "url")
+    return judge_urls(pages, listed_rules(), mine_rules(labelled_pages(pages, _table(spark, folder, "labels"))))
+
+
 def op10_quality(spark: SparkSession, folder: str) -> DataFrame:
     """Quality of every document; the fold whose crc32 mod 5 is 0 is held out."""
     docs = _table(spark, folder, "documents")
@@ -66,8 +82,10 @@ QUERIES = {
     "op1_line_dedup": op1_line_dedup,
     "op2_mix_sources": op2_mix_sources,
     "op4_ngram_join": op4_ngram_join,
+    "op5_chat_format": op5_chat_format,
     "op6_toxicity": op6_toxicity,
     "op7_decontaminate": op7_decontaminate,
+    "op9_url_rules": op9_url_rules,
     "op10_quality": op10_quality,
 }
 
@@ -103,6 +121,16 @@ link AS MATERIALIZED (SELECT x, y FROM p JOIN n nx ON nx.doc_id = x JOIN n ny ON
 reach(x, y) AS (SELECT x, y FROM link UNION SELECT r.x, l.y FROM reach r JOIN link l ON r.y = l.x)
 SELECT w.doc_id, CAST(coalesce(n.n, 0) AS BIGINT) AS n_shingles, CAST(least(w.doc_id, coalesce(m.y, w.doc_id)) AS BIGINT) AS component_id
 FROM w LEFT JOIN n USING (doc_id) LEFT JOIN (SELECT x AS doc_id, min(y) AS y FROM reach GROUP BY x) m USING (doc_id)""",
+    "op5_chat_format": r"""
+WITH c AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -1, turn, role, '</s>[INST] ok [/INST]' FROM (VALUES (0, 'user'), (1, 'assistant')) v(turn, role)),
+e AS (SELECT *, length(text) + length(regexp_replace(text, '[^~<\[]', '', 'g')) AS body, length(role) + length(regexp_replace(role, '[^~<\[\n]', '', 'g')) AS name FROM c)
+SELECT CAST(conv_id AS BIGINT) AS conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+  CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
+  sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
+  CAST(sum(8 + name + 1 + body + 8) AS BIGINT) AS formatted_chars
+FROM e GROUP BY conv_id""",
     "op7_decontaminate": f"""
 WITH d AS MATERIALIZED (SELECT doc_id, {_ALNUM} AS ws FROM documents),
 b AS (SELECT item_id, {_ALNUM} AS ws FROM benchmark),
