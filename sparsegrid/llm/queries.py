@@ -10,10 +10,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sparsegrid.llm.chat import digests, fold_events, read_back, render, table_as_log
+from sparsegrid.llm.chroma import fingerprints, render_vectors, search_recordings
 from sparsegrid.llm.decontaminate import find_matches, judged
 from sparsegrid.llm.line_dedup import line_counts
 from sparsegrid.llm.mixing import mix_sources, taken_words
 from sparsegrid.llm.ngram_join import ngram_components
+from sparsegrid.llm.personal import BASE_KINDS, find_personal, train_field
 from sparsegrid.llm.quality import score_quality, train_quality
 from sparsegrid.llm.toxicity import score_toxicity, train_toxicity
 from sparsegrid.llm.url_rules import judge_urls, labelled_pages, listed_rules, mine_rules
@@ -37,6 +39,11 @@ def op2_mix_sources(spark: SparkSession, folder: str) -> DataFrame:
     return taken_words(mix_sources(_table(spark, folder, "documents"), weights=(1, 2, 3), cap=3))
 
 
+def op3_chroma_search(spark: SparkSession, folder: str) -> DataFrame:
+    """Recordings (the vectors of ``embeddings``, played note by note) fingerprinted; every twentieth is searched for among all."""
+    return search_recordings(fingerprints(render_vectors(_table(spark, folder, "embeddings"), "vec_id", "embedding")), query_step=20)
+
+
 def op4_ngram_join(spark: SparkSession, folder: str) -> DataFrame:
     """Components of documents whose sets of 4-word shingles have a Jaccard similarity of 0.85 or more."""
     found = ngram_components(_table(spark, folder, "documents"), n=4, num=85, den=100)
@@ -65,6 +72,21 @@ def op7_decontaminate(spark: SparkSession, folder: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join(names, ","), 256).alias("items_sha256"), "contaminated")
 
 
+def op8_personal_data(spark: SparkSession, folder: str) -> DataFrame:
+    """Personal data in every document: base patterns, and what the random field adds."""
+    found = find_personal(_table(spark, folder, "documents"), train_field())
+    rank = F.create_map(*[F.lit(x) for n, k in enumerate((*BASE_KINDS, "secret")) for x in (k, n)])
+
+    def told(spans):
+        ordered = F.array_sort(F.transform(spans, lambda s: F.struct(rank[s["kind"]].alias("r"), s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
+        return F.array_join(F.transform(ordered, lambda s: F.concat(s["kind"], F.lit(":"), s["start"], F.lit(":"), s["end"])), ",")
+
+    def count(kind):
+        return F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+
+    return found.select("doc_id", *map(count, BASE_KINDS), F.sha2(told(F.col("base")), 256).alias("base_sha256"), told(F.concat("base", "added")).alias("spans"))
+
+
 def op9_url_rules(spark: SparkSession, folder: str) -> DataFrame:
     """Verdict on every page url by listed rules, else by rules mined from the labels of the documents that urls name."""
     pages = _table(spark, folder, "pages").select("page_id", "url")
@@ -81,10 +103,12 @@ def op10_quality(spark: SparkSession, folder: str) -> DataFrame:
 QUERIES = {
     "op1_line_dedup": op1_line_dedup,
     "op2_mix_sources": op2_mix_sources,
+    "op3_chroma_search": op3_chroma_search,
     "op4_ngram_join": op4_ngram_join,
     "op5_chat_format": op5_chat_format,
     "op6_toxicity": op6_toxicity,
     "op7_decontaminate": op7_decontaminate,
+    "op8_personal_data": op8_personal_data,
     "op9_url_rules": op9_url_rules,
     "op10_quality": op10_quality,
 }
