@@ -165,12 +165,11 @@ def _verified(n: int, num: int, den: int):
 
 
 def _verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, n: int, num: int, den: int, per_task: int = 256, few: int = 200_000) -> DataFrame:
-    """Those pairs (a, b) of classes that are linked.
+    """Those pairs (a, b) of classes, given with their lineage cut, that are linked.
 
     Left texts with many partners are sent to several tasks.  While the pairs
     are few (counted here) their ids go to the texts, else the texts are dealt.
     """
-    pairs = cut_lineage(pairs)
     n_pairs = pairs.count()
     if not n_pairs:
         return pairs
@@ -214,19 +213,22 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     large = postings.where("large").drop("large")
 
     tried = _stars_within_groups(nodes, groups).union(_pairs_of_small(postings.where("not large"), nodes, num, den))
-    tried = tried.union(_stars(_unsettled(large, nodes, None), num, den, 0)).distinct()
+    some_large = not large.isEmpty()
+    if some_large:
+        tried = tried.union(_stars(_unsettled(large, nodes, None), num, den, 0))
+    tried = cut_lineage(tried.distinct())
     links = _verify(tried, nodes, docs, n, num, den)
     labels = components(links)
-    if not large.isEmpty():
+    if some_large:
         for turn in range(1, star_rounds):
-            stars = _stars(_unsettled(large, nodes, labels), num, den, turn).join(tried, ["a", "b"], "left_anti")
+            stars = cut_lineage(_stars(_unsettled(large, nodes, labels), num, den, turn).join(tried, ["a", "b"], "left_anti"))
             links = links.union(_verify(stars, nodes, docs, n, num, den))
             labels = components(links)
             tried = tried.union(stars)
-        rest = _remaining(_unsettled(large, nodes, labels), nodes, labels, num, den).join(tried, ["a", "b"], "left_anti")
+        rest = cut_lineage(_remaining(_unsettled(large, nodes, labels), nodes, labels, num, den).join(tried, ["a", "b"], "left_anti"))
         found = _verify(rest, nodes, docs, n, num, den)
         labels = components(links.union(found)) if not found.isEmpty() else labels
-    rest = _split_groups(nodes, groups, labels).join(tried, ["a", "b"], "left_anti")
+    rest = cut_lineage(_split_groups(nodes, groups, labels).join(tried, ["a", "b"], "left_anti"))
     found_within = _verify(rest, nodes, docs, n, num, den)
     if not found_within.isEmpty():
         labels = components(labels.select(F.col("vertex").alias("a"), F.col("label").alias("b")).union(found_within))

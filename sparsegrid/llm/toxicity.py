@@ -13,7 +13,7 @@ so scoring needs two numbers for each word and two running sums for each text.
 from __future__ import annotations
 
 import zlib
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -23,6 +23,7 @@ from pyspark.sql import functions as F
 from sparsegrid.llm.sampling import class_shares, first_bytes, labelled_sample
 
 SLOT_BITS = 16
+_SLOTS = (1 << SLOT_BITS) - 1
 WINDOW = 4
 _EDGES = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 _CACHE = 300_000
@@ -35,13 +36,18 @@ def subwords(token: str) -> list[int]:
     are taken as runs of 64, so no token costs more than its length.
     """
     word = token.lower().strip(_EDGES)
-    out = []
+    out: list[int] = []
     for at in range(0, len(word), 64):
         piece = f"<{word[at : at + 64]}>"
-        mask = (1 << SLOT_BITS) - 1
-        out.append(zlib.crc32(piece.encode("utf-8", "surrogatepass")) & mask)
-        for n in (3, 4, 5):
-            out += [zlib.crc32(piece[i : i + n].encode("utf-8", "surrogatepass"), n) & mask for i in range(len(piece) - n + 1)]
+        if piece.isascii():
+            whole, crc = piece.encode(), zlib.crc32
+            out.append(crc(whole) & _SLOTS)
+            for n in (3, 4, 5):
+                out += [crc(whole[i : i + n], n) & _SLOTS for i in range(len(whole) - n + 1)]
+        else:
+            out.append(zlib.crc32(piece.encode("utf-8", "surrogatepass")) & _SLOTS)
+            for n in (3, 4, 5):
+                out += [zlib.crc32(piece[i : i + n].encode("utf-8", "surrogatepass"), n) & _SLOTS for i in range(len(piece) - n + 1)]
     return out
 
 
@@ -57,30 +63,36 @@ class SubwordModel:
         return TextScorer(self)
 
 
-@dataclass
 class TextScorer:
     """Scores texts, remembering each distinct token's two numbers up to a bounded count."""
 
-    model: SubwordModel
-    known: dict[str, int] = field(default_factory=dict)
-    pull: list[float] = field(default_factory=list)
-    size: list[float] = field(default_factory=list)
+    def __init__(self, model: SubwordModel) -> None:
+        self.model = model
+        self._forget()
+
+    def _forget(self) -> None:
+        self.place: dict[str, int] = {}
+        self.pull, self.size = np.zeros(1 << 12), np.zeros(1 << 12)
 
-    def _learn(self, token: str) -> int:
-        slots = subwords(token)
-        at = self.known[token] = len(self.pull)
-        self.pull.append(float(self.model.pull[slots].sum()) if slots else 0.0)
-        self.size.append(float(len(slots)))
-        return at
+    def _learn(self, tokens: set[str]) -> None:
+        if len(self.place) + len(tokens) > len(self.pull):
+            more = np.zeros(len(self.pull) + len(tokens))
+            self.pull, self.size = np.append(self.pull, more), np.append(self.size, more)
+        for token in tokens:
+            slots = subwords(token)
+            at = self.place[token] = len(self.place)
+            self.pull[at], self.size[at] = self.model.pull[slots].sum() if slots else 0.0, len(slots)
 
     def score(self, text: str | None) -> float:
         tokens = (text or "").split()
-        if len(self.pull) > _CACHE:
-            self.known, self.pull, self.size = {}, [], []
-        known, learn = self.known, self._learn
-        ids = [known[t] if t in known else learn(t) for t in tokens]
-        pull = np.concatenate([[0.0], np.cumsum([self.pull[i] for i in ids])])
-        size = np.concatenate([[0.0], np.cumsum([self.size[i] for i in ids])])
+        if len(self.place) > _CACHE:
+            self._forget()
+        ids = list(map(self.place.get, tokens))
+        if None in ids:
+            self._learn(set(tokens) - self.place.keys())
+            ids = list(map(self.place.get, tokens))
+        at = np.array(ids, np.int64)
+        pull, size = (np.concatenate([[0.0], np.cumsum(x[at])]) for x in (self.pull, self.size))
         k = min(self.model.window, len(ids))
         mean = (pull[k:] - pull[:-k]) / np.maximum(size[k:] - size[:-k], 1.0) if k else np.zeros(1)
         return float(1 / (1 + np.exp(-np.clip(mean.max() + self.model.bias, -60, 60))))
