@@ -12,7 +12,6 @@ so scoring needs two numbers for each word and two running sums for each text.
 
 from __future__ import annotations
 
-import zlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -21,34 +20,45 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sparsegrid.llm.sampling import class_shares, first_bytes, labelled_sample
+from sparsegrid.llm.textkernel import mix64
 
 SLOT_BITS = 16
-_SLOTS = (1 << SLOT_BITS) - 1
+_BASE = np.uint64(0x9FB21C651E98DF25)
 WINDOW = 4
 _EDGES = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 _CACHE = 300_000
 
 
-def subwords(token: str) -> list[int]:
-    """Slots of a white-space separated token: the word and its character 3- to 5-grams.
+def plain(token: str) -> str:
+    """A white-space separated token without case and without signs at its edges."""
+    return token.lower().strip(_EDGES)
 
-    Case and signs at the edges do not count; tokens longer than 64 characters
-    are taken as runs of 64, so no token costs more than its length.
+
+def subwords(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(slot, place in ``words``) of every subword: the word itself and its character 3- to 5-grams with edge marks.
+
+    Hashes of code points, computed for all words at once; an empty word has none.
     """
-    word = token.lower().strip(_EDGES)
-    out: list[int] = []
-    for at in range(0, len(word), 64):
-        piece = f"<{word[at : at + 64]}>"
-        if piece.isascii():
-            whole, crc = piece.encode(), zlib.crc32
-            out.append(crc(whole) & _SLOTS)
-            for n in (3, 4, 5):
-                out += [crc(whole[i : i + n], n) & _SLOTS for i in range(len(whole) - n + 1)]
-        else:
-            out.append(zlib.crc32(piece.encode("utf-8", "surrogatepass")) & _SLOTS)
-            for n in (3, 4, 5):
-                out += [zlib.crc32(piece[i : i + n].encode("utf-8", "surrogatepass"), n) & _SLOTS for i in range(len(piece) - n + 1)]
-    return out
+    at = [k for k, w in enumerate(words) if w]
+    if not at:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    marked = "".join(f"<{words[k]}>" for k in at)
+    code = np.frombuffer(marked.encode("utf-32-le", "surrogatepass"), "<u4").astype(np.uint64)
+    size = np.array([len(words[k]) + 2 for k in at])
+    start = np.cumsum(size) - size
+    owner = np.repeat(np.arange(len(at)), size)
+    step = np.cumprod(np.full(int(size.max()), _BASE, np.uint64), dtype=np.uint64)
+    hashes = [mix64(np.add.reduceat(code * step[np.arange(len(code)) - start[owner]], start))]
+    owners = [np.arange(len(at))]
+    for n in (3, 4, 5):
+        if len(code) >= n:
+            h = np.full(len(code) - n + 1, np.uint64(n))
+            for j in range(n):
+                h = h * _BASE + code[j : len(code) - n + 1 + j]
+            within = owner[: len(h)] == owner[n - 1 :]
+            hashes.append(mix64(h[within]))
+            owners.append(owner[: len(h)][within])
+    return (np.concatenate(hashes) >> np.uint64(64 - SLOT_BITS)).astype(np.int64), np.array(at)[np.concatenate(owners)]
 
 
 @dataclass
@@ -74,14 +84,15 @@ class TextScorer:
         self.place: dict[str, int] = {}
         self.pull, self.size = np.zeros(1 << 12), np.zeros(1 << 12)
 
-    def _learn(self, tokens: set[str]) -> None:
-        if len(self.place) + len(tokens) > len(self.pull):
+    def _learn(self, tokens: list[str]) -> None:
+        first = len(self.place)
+        if first + len(tokens) > len(self.pull):
             more = np.zeros(len(self.pull) + len(tokens))
             self.pull, self.size = np.append(self.pull, more), np.append(self.size, more)
-        for token in tokens:
-            slots = subwords(token)
-            at = self.place[token] = len(self.place)
-            self.pull[at], self.size[at] = self.model.pull[slots].sum() if slots else 0.0, len(slots)
+        slot, owner = subwords([plain(t) for t in tokens])
+        self.pull[first : first + len(tokens)] = np.bincount(owner, self.model.pull[slot], len(tokens))
+        self.size[first : first + len(tokens)] = np.bincount(owner, minlength=len(tokens))
+        self.place.update(zip(tokens, range(first, first + len(tokens)), strict=True))
 
     def score(self, text: str | None) -> float:
         tokens = (text or "").split()
@@ -89,7 +100,7 @@ class TextScorer:
             self._forget()
         ids = list(map(self.place.get, tokens))
         if None in ids:
-            self._learn(set(tokens) - self.place.keys())
+            self._learn([t for t in set(tokens) if t not in self.place])
             ids = list(map(self.place.get, tokens))
         at = np.array(ids, np.int64)
         pull, size = (np.concatenate([[0.0], np.cumsum(x[at])]) for x in (self.pull, self.size))
@@ -99,7 +110,7 @@ class TextScorer:
 
 
 def _windows(text: str, index: dict[str, int], k: int) -> np.ndarray:
-    ids = [index.setdefault(t.lower().strip(_EDGES), len(index)) for t in text.split()]
+    ids = [index.setdefault(plain(t), len(index)) for t in text.split()]
     ids += [-1] * (-len(ids) % k)
     return np.array(ids, np.int64).reshape(-1, k)
 
@@ -126,10 +137,10 @@ def fit_subwords(texts: list[str], labels: list[int], dim: int = 6, window: int
     label = np.array(labels, np.float64)
     zeros = 1 - label.mean()
     weight = np.where(label == 0, (zero_share or zeros) / zeros, (1 - (zero_share or zeros)) / (1 - zeros))
-    slots = [subwords(w) for w in index]
-    count = np.array([len(s) for s in slots] + [0], np.float64)  # the last stands for no word
-    flat = np.concatenate([np.array(s, np.int64) for s in slots])
-    owner = np.repeat(np.arange(len(slots)), count[:-1].astype(np.int64))
+    flat, owner = subwords(list(index))
+    order = np.argsort(owner, kind="stable")
+    flat, owner = flat[order], owner[order]
+    count = np.append(np.bincount(owner, minlength=len(index)), 0).astype(np.float64)  # the last stands for no word
     rng = np.random.default_rng(seed)
     emb, soft, bias = rng.normal(0, 0.05, (1 << SLOT_BITS, dim)), rng.normal(0, 0.5, dim), float(np.log((1 - zeros) / zeros))
     s_emb, s_soft, s_bias = np.full_like(emb, calm), np.full(dim, 1.0), 1.0
@@ -162,7 +173,7 @@ def fit_subwords(texts: list[str], labels: list[int], dim: int = 6, window: int
         step(everything, even * weight[doc] * 8)
     hard = np.zeros(len(wins), bool)
     for _ in range(epochs):
-        strength = np.append(np.bincount(owner, (emb @ soft)[flat], len(slots)), 0.0)
+        strength = np.append(np.bincount(owner, (emb @ soft)[flat], len(index)), 0.0)
         logit = strength[wins].sum(1) / np.maximum(count[wins].sum(1), 1.0)
         best = np.flatnonzero(logit == np.maximum.reduceat(logit, first)[doc])
         best = best[np.unique(doc[best], return_index=True)[1]]
