@@ -79,7 +79,7 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...], cap: int) -> Data
     return ranked.select("sid", "source", "source_size", "weight", target.alias("target"))
 
 
-def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3, block_words: int = 64, shard_slots: int = 2048, seed: int = 17, chunk_rows: int = 50_000) -> Mix:
+def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3, block_words: int = 64, shard_slots: int = 2048, seed: int = 17, chunk_rows: int = 4_000) -> Mix:
     """Mixes the rows of ``docs`` (doc_id, text, source).
 
     ``pieces``: shard, slot, sid, block, at (words of the block before the
@@ -117,7 +117,7 @@ def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int
     epoch = F.floor(F.col("r") / F.col("blocks"))
     drawn = drawn.select("sid", out.alias("out"), permuted(F.col("r") % F.col("blocks"), F.col("blocks"), F.xxhash64(F.lit(seed), "sid", epoch)).alias("block"))
     drawn = drawn.select(F.floor(F.col("out") / shard_slots).alias("shard"), (F.col("out") % shard_slots).alias("slot"), "sid", "block")
-    return Mix(plan, packed, drawn.join(cut, ["sid", "block"]))
+    return Mix(plan, packed, drawn.hint("merge").join(cut, ["sid", "block"]))  # the slots are many, though their plan is small
 
 
 def taken_words(mix: Mix) -> DataFrame:
