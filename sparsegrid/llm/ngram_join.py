@@ -22,19 +22,20 @@ membership: pairs within one component are not listed.
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from sparsegrid.llm.graph import components
 from sparsegrid.llm.textkernel import SPACED, mix64, words_of
 from sparsegrid.plans.lineage import cut_lineage
 
-SKETCH_BITS = 19
-_BLOCK_BITS = 13
+SKETCH_BITS = 22
+_BLOCK_BITS = 17
 _ODD = np.array([0x8F3A1234567B1D4D, 0x1234567FEDCBA987, 0xC7777ABC12398711, 0x3456789ABCDEF12B], dtype=np.uint64)
 _STEP = np.uint64(0x9FB21C651E98DF25)
 
@@ -64,32 +65,22 @@ def prefix_length(size: int, num: int, den: int) -> int:
 
 def _sketch_parts(n: int):
     def run(batches):
-        counts = np.zeros(1 << SKETCH_BITS, np.int64)
+        counts = np.zeros(1 << SKETCH_BITS, np.uint32)
         for batch in batches:
-            held: list[np.ndarray] = []
             for s in shingle_sets(batch.column(0), n):
-                held.append(s)
-                if len(held) >= 256 or len(s) > 1 << 16:
-                    _tally(counts, held)
-            _tally(counts, held)
+                np.add.at(counts, (s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), np.uint32(1))
         blocks = counts.reshape(-1, 1 << _BLOCK_BITS)
-        used = np.flatnonzero(blocks.any(axis=1))
-        yield pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array([np.minimum(blocks[i], 0xFFFFFFFF).astype("<u4").tobytes() for i in used], pa.binary())], ["block", "counts"])
+        packed = [zlib.compress(b.astype("<u4").tobytes(), 1) for b in blocks]
+        yield pa.RecordBatch.from_arrays([pa.array(range(len(packed)), pa.int32()), pa.array(packed, pa.binary())], ["block", "counts"])
 
     return run
 
 
-def _tally(counts: np.ndarray, held: list[np.ndarray]) -> None:
-    if held:
-        counts += np.bincount((np.concatenate(held) >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), minlength=len(counts))
-        held.clear()
-
-
 def _sketch_sums(batches):
     total: dict[int, np.ndarray] = {}
     for batch in batches:
-        for block, counts in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            part = np.frombuffer(counts, "<u4").astype(np.int64)
+        for block, counts in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            part = np.frombuffer(zlib.decompress(counts.as_py()), "<u4").astype(np.int64)
             total[block] = total[block] + part if block in total else part
     keys = sorted(total)
     yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int32()), pa.array([_levels(total[k]).tobytes() for k in keys], pa.binary())], ["block", "levels"])
@@ -207,9 +198,13 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     groups = nodes.groupBy("grp", "size").agg(F.min(F.struct("doc", "cls")).alias("lead"), F.count("*").alias("members"))
     groups = groups.select("grp", "size", "members", F.col("lead.doc").alias("doc"), F.col("lead.cls").alias("lead"))
     leads = sign.select(F.col("doc_id").alias("doc"), "cls", "prefix").join(groups, "doc").where("cls = lead").dropDuplicates(["doc", "cls"])
-    postings = leads.select("grp", "lead", "size", "members", F.posexplode("prefix").alias("pos", "key")).repartition("key")
-    shared = postings.groupBy("key").agg(F.count("*").alias("k"), F.sum("members").alias("m")).where("m > 1").select("key", "k")
+    postings = leads.select("grp", "lead", "size", F.posexplode("prefix").alias("pos", "key")).repartition("key")
+    shared = postings.groupBy("key").agg(F.count("*").alias("k")).where("k > 1").select("key", "k")
     postings = cut_lineage(postings.join(shared, "key").select("key", "grp", "lead", "size", "pos", (F.col("k") > small).alias("large")))
+    # a prefix's n-grams before one that is shared are common only if the partner's prefix holds them too
+    before = Window.partitionBy("grp", "size").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
+    postings = postings.withColumn("lost", F.col("pos") - F.count("key").over(before)).withColumn("big", F.coalesce(F.sum(F.col("large").cast("int")).over(before), F.lit(0)))
+    postings = cut_lineage(postings)
     large = postings.where("large").drop("large")
 
     tried = _stars_within_groups(nodes, groups).union(_pairs_of_small(postings.where("not large"), nodes, num, den))
@@ -254,10 +249,16 @@ def _split_groups(nodes: DataFrame, groups: DataFrame, labels: DataFrame) -> Dat
 
 
 def _pairs_of_small(postings: DataFrame, nodes: DataFrame, num: int, den: int) -> DataFrame:
-    """All pairs of classes whose groups meet in a small bucket and pass the filters."""
-    x, y = postings.alias("x"), postings.alias("y")
-    met = x.join(y, "key").where("x.lead < y.lead").where(_fits(num, den))
-    pairs = met.select(F.col("x.grp").alias("ga"), F.col("x.size").alias("sa"), F.col("y.grp").alias("gb"), F.col("y.size").alias("sb")).distinct()
+    """All pairs of classes whose groups meet in a small bucket and can be linked.
+
+    Up to the last n-gram they share there, only the shared ones and those in
+    large buckets can be common.
+    """
+    met = postings.alias("x").join(postings.alias("y"), "key").where("x.lead < y.lead").where(_sizes_fit(num, den))
+    names = [F.col("x.grp").alias("ga"), F.col("x.size").alias("sa"), F.col("y.grp").alias("gb"), F.col("y.size").alias("sb")]
+    pairs = met.groupBy(*names).agg(F.count("*").alias("k"), F.max("x.pos").alias("xp"), F.max("y.pos").alias("yp"), F.max("x.big").alias("xb"), F.max("y.big").alias("yb"))
+    most = F.col("k") + F.least("xb", "yb") + F.least(F.col("sa") - F.col("xp") - 1, F.col("sb") - F.col("yp") - 1)
+    pairs = pairs.where(most >= _needed(F.col("sa"), F.col("sb"), num, den)).select("ga", "sa", "gb", "sb")
     return _members(pairs, nodes.select("grp", "size", "cls")).select("a", "b")
 
 
@@ -293,18 +294,31 @@ def _band(num: int, den: int):
     return F.floor(F.log(F.col("size").cast("double")) / float(np.log(den / num)))
 
 
+def _needed(x, y, num: int, den: int):
+    """How many n-grams sets of these sizes must have in common."""
+    return F.ceil(F.lit(num) * (x + y) / F.lit(float(num + den)) - F.lit(1e-9))
+
+
+def _sizes_fit(num: int, den: int):
+    return (F.col("x.size") * den >= F.col("y.size") * num) & (F.col("y.size") * den >= F.col("x.size") * num)
+
+
 def _fits(num: int, den: int):
-    """Size and position filter on a pair of postings (x, y) of the same n-gram."""
-    need = F.ceil(F.lit(num) * (F.col("x.size") + F.col("y.size")) / F.lit(float(num + den)) - F.lit(1e-9))
-    most = F.least(F.col("x.pos"), F.col("y.pos")) + F.least(F.col("x.size") - F.col("x.pos"), F.col("y.size") - F.col("y.pos"))
-    return (F.col("x.size") * den >= F.col("y.size") * num) & (F.col("y.size") * den >= F.col("x.size") * num) & (most >= need)
+    """Whether two postings (x, y) of the same n-gram leave a link possible.
+
+    A common set holds at most what is not lost before the shared n-gram, and
+    what comes from there on, in either.
+    """
+    most = F.least(F.col("x.pos") - F.col("x.lost"), F.col("y.pos") - F.col("y.lost")) + F.least(F.col("x.size") - F.col("x.pos"), F.col("y.size") - F.col("y.pos"))
+    return _sizes_fit(num, den) & (most >= _needed(F.col("x.size"), F.col("y.size"), num, den))
 
 
 def _stars(open_: DataFrame, num: int, den: int, turn: int) -> DataFrame:
     """For every group the two pivots that it shares most n-grams with, one pivot for each bucket and size band."""
     banded = open_.withColumn("band", _band(num, den))
-    pivots = banded.groupBy("key", "band").agg(F.min(F.struct(F.xxhash64("lead", F.lit(turn)).alias("o"), "lead", "size", "pos", "comp")).alias("p"))
-    pivots = pivots.select("key", F.explode(F.array("band", F.col("band") - 1)).alias("band"), "p.lead", "p.size", "p.pos", "p.comp")
+    order = F.col("lost") if turn == 0 else F.xxhash64("lead", F.lit(turn))  # at first the group with most in common, later any
+    pivots = banded.groupBy("key", "band").agg(F.min(F.struct(order.cast("bigint").alias("o"), "lead", "size", "pos", "lost", "comp")).alias("p"))
+    pivots = pivots.select("key", F.explode(F.array("band", F.col("band") - 1)).alias("band"), "p.lead", "p.size", "p.pos", "p.lost", "p.comp")
     met = pivots.alias("x").join(banded.alias("y"), ["key", "band"]).where("x.comp <> y.comp").where(_fits(num, den))
     counted = met.groupBy(F.col("x.lead").alias("p"), F.col("y.lead").alias("l")).agg(F.count("*").alias("k"))
     best = counted.groupBy("l").agg(F.max(F.struct("k", "p")).alias("first"))
