@@ -74,12 +74,13 @@ def fingerprint(frames: np.ndarray) -> np.ndarray:
     return code
 
 
-def melody(vector: np.ndarray) -> np.ndarray:
+def melody(vector) -> np.ndarray:
     """Samples of a recording that plays a note for each component of a vector.
 
     The given tables hold no sound; this stands in for decoding a media column.
+    Unknown components are zero; an unknown vector is silent for no time at all.
     """
-    v = np.asarray(vector, np.float64)
+    v = np.array([np.nan if x is None else x for x in (vector if vector is not None else [])], np.float64)
     v = np.where(np.isfinite(v), v, 0.0)
     size = np.sqrt((v**2).mean()) if len(v) else 0.0
     note = np.clip(np.round(6 * v / size if size > 0 else v), -18, 18)
@@ -96,26 +97,21 @@ def encode_pcm(samples: np.ndarray) -> bytes:
     return np.clip(np.round(samples * 32767), -32768, 32767).astype("<i2").tobytes()
 
 
-def _rendered(batches):
-    for batch in batches:
-        sound = [encode_pcm(melody(np.asarray([x if x is not None else 0.0 for x in v], np.float64))) if v is not None else None for v in batch.column(1).to_pylist()]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sound, pa.binary())], ["media_id", "media"])
-
+def _printed(decode):
+    def run(batches):
+        for batch in batches:
+            codes = [fingerprint(chroma_frames(decode(x.as_py()))).astype(np.int64) for x in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(codes, pa.list_(pa.int64()))], ["media_id", "codes"])
 
-def render_vectors(vectors: DataFrame, id_column: str, vector_column: str) -> DataFrame:
-    """(media_id, media): the vectors as recordings; a null vector has no sound."""
-    return vectors.select(F.col(id_column).cast("long").alias("media_id"), F.col(vector_column).cast("array<double>").alias("v")).mapInArrow(_rendered, "media_id long, media binary")
+    return run
 
 
-def _printed(batches):
-    for batch in batches:
-        codes = [fingerprint(chroma_frames(decode_pcm(x.as_py()))).astype(np.int64) for x in batch.column(1)]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(codes, pa.list_(pa.int64()))], ["media_id", "codes"])
+def fingerprints(table: DataFrame, id_column: str, media_column: str, decode=decode_pcm) -> DataFrame:
+    """(media_id, codes) of a media column; ``decode`` gives the samples of a value, one recording at a time.
 
-
-def fingerprints(media: DataFrame) -> DataFrame:
-    """(media_id, codes) of (media_id, media); null, empty and too short recordings have no codes."""
-    return media.select("media_id", "media").mapInArrow(_printed, "media_id long, codes array<long>")
+    Null, empty and too short recordings have no codes.
+    """
+    return table.select(F.col(id_column).cast("long").alias("media_id"), media_column).mapInArrow(_printed(decode), "media_id long, codes array<long>")
 
 
 def _popcount(x: np.ndarray) -> np.ndarray:

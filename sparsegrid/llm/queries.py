@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sparsegrid.llm.chat import digests, fold_events, read_back, render, table_as_log
-from sparsegrid.llm.chroma import fingerprints, render_vectors, search_recordings
+from sparsegrid.llm.chroma import fingerprints, melody, search_recordings
 from sparsegrid.llm.decontaminate import find_matches, judged
 from sparsegrid.llm.line_dedup import line_counts
 from sparsegrid.llm.mixing import mix_sources, taken_words
@@ -41,7 +41,7 @@ def op2_mix_sources(spark: SparkSession, folder: str) -> DataFrame:
 
 def op3_chroma_search(spark: SparkSession, folder: str) -> DataFrame:
     """Recordings (the vectors of ``embeddings``, played note by note) fingerprinted; every twentieth is searched for among all."""
-    return search_recordings(fingerprints(render_vectors(_table(spark, folder, "embeddings"), "vec_id", "embedding")), query_step=20)
+    return search_recordings(fingerprints(_table(spark, folder, "embeddings"), "vec_id", "embedding", decode=melody), query_step=20)
 
 
 def op4_ngram_join(spark: SparkSession, folder: str) -> DataFrame:
