@@ -86,11 +86,20 @@ def _running(lines: DataFrame, key: str, value: str, name: str) -> DataFrame:
     return runs.withColumn("inner_", inner).join(base, "run_").withColumn(name, F.col("base_") + F.col("inner_")).drop("run_", "base_", "inner_")
 
 
-def page_weights(s: SparseMatrix, t: SparseMatrix, bands_s: DataFrame, bands_t: DataFrame) -> DataFrame:
-    """(bi, bj, page, ws, wt, w): for every block the pages that hold entries of both factors."""
+def page_weights(s: SparseMatrix, t: SparseMatrix, bands_s: DataFrame, bands_t: DataFrame, keep_idle: Grid | None = None) -> DataFrame:
+    """(bi, bj, page, ws, wt, w): for every block the pages that hold entries of both factors.
+
+    With ``keep_idle`` (the grid) pages with entries of one factor only stay as
+    well: the message model delivers them, though they make no product.
+    """
     left = s.df.join(bands_s.select(F.col("id").alias("row"), F.col("band").alias("bi")), "row").groupBy("bi", F.col("col").alias("page")).agg(F.count("*").alias("ws"))
     right = t.df.join(bands_t.select(F.col("id").alias("col"), F.col("band").alias("bj")), "col").groupBy("bj", F.col("row").alias("page")).agg(F.count("*").alias("wt"))
-    return left.join(right, "page").select("bi", "bj", "page", "ws", "wt", (F.col("ws") + F.col("wt")).alias("w"))
+    if keep_idle is None:
+        met = left.join(right, "page")
+    else:
+        every = lambda k, name: F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias(name)
+        met = left.select("*", every(keep_idle.b, "bj")).join(right.select("*", every(keep_idle.a, "bi")), ["bi", "bj", "page"], "full").fillna(0, ["ws", "wt"])
+    return met.select("bi", "bj", "page", "ws", "wt", (F.col("ws") + F.col("wt")).alias("w"))
 
 
 def assign_pages(pages: DataFrame, grid: Grid, mode: str = "stride", weight: str = "messages") -> DataFrame:
@@ -116,11 +125,11 @@ class Plan:
     pages: DataFrame
 
 
-def plan_product(s: SparseMatrix, t: SparseMatrix, grid: Grid, band_mode: str = "stride", page_mode: str = "stride", weight: str = "messages", cut: bool = True) -> Plan:
+def plan_product(s: SparseMatrix, t: SparseMatrix, grid: Grid, band_mode: str = "stride", page_mode: str = "stride", weight: str = "messages", cut: bool = True, keep_idle: bool = False) -> Plan:
     """Bands, page weights and page assignment for a grid; their lineage is cut, as several joins read them."""
     held = cut_lineage if cut else (lambda x: x)
     bands_s, bands_t = held(bands(s, "row", grid.a, band_mode)), held(bands(t, "col", grid.b, band_mode))
-    pages = held(assign_pages(page_weights(s, t, bands_s, bands_t), grid, page_mode, weight))
+    pages = held(assign_pages(page_weights(s, t, bands_s, bands_t, grid if keep_idle else None), grid, page_mode, weight))
     return Plan(s, t, grid, bands_s, bands_t, pages)
 
 

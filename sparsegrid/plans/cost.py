@@ -100,9 +100,9 @@ def band_bound(nz: float, groups: int, n: float) -> float:
     return nz / groups + n
 
 
-def intake_bound(n: float, nz_s: float, nz_t: float, a: float, b: float) -> float:
-    """The most entries that one worker receives."""
-    return nz_s * b / n + nz_t * a / n + 6 * n
+def intake_bound(n: float, nz_s: float, nz_t: float, a: float, b: float, k: float | None = None) -> float:
+    """The most entries that one of ``k`` workers (n by default) receives."""
+    return nz_s * b / (k or n) + nz_t * a / (k or n) + 6 * n
 
 
 def listing_alpha(n: float, m: float) -> float:

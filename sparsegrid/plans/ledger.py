@@ -62,7 +62,7 @@ def rounds(received: list[int], n: int) -> int:
 def intake_report(plan: Plan, nz_s: int, nz_t: int) -> DataFrame:
     """One row: the largest and mean intake of the workers, and the proved bound."""
     of = plan.pages.groupBy("worker").agg(F.sum("w").alias("w"))
-    bound = intake_bound(max(plan.s.n, plan.t.n), nz_s, nz_t, plan.grid.a, plan.grid.b)
+    bound = intake_bound(max(plan.s.n, plan.t.n), nz_s, nz_t, plan.grid.a, plan.grid.b, plan.grid.workers)
     return of.agg(F.max("w").alias("most"), (F.sum("w") / plan.grid.workers).alias("mean")).withColumn("bound", F.lit(bound)).withColumn("ok", F.col("most") <= F.col("bound"))
 
 
