@@ -201,7 +201,7 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     postings = leads.select("grp", "lead", "size", F.posexplode("prefix").alias("pos", "key")).repartition("key")
     shared = postings.groupBy("key").agg(F.count("*").alias("k")).where("k > 1").select("key", "k")
     postings = cut_lineage(postings.join(shared, "key").select("key", "grp", "lead", "size", "pos", (F.col("k") > small).alias("large")))
-    # a prefix's n-grams before one that is shared are common only if the partner's prefix holds them too
+    # of a prefix's n-grams before one that is shared those that no other group has there cannot be common
     before = Window.partitionBy("grp", "size").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
     postings = postings.withColumn("lost", F.col("pos") - F.count("key").over(before)).withColumn("big", F.coalesce(F.sum(F.col("large").cast("int")).over(before), F.lit(0)))
     postings = cut_lineage(postings)
@@ -304,12 +304,12 @@ def _sizes_fit(num: int, den: int):
 
 
 def _fits(num: int, den: int):
-    """Whether two postings (x, y) of the same n-gram leave a link possible.
+    """Whether two postings (x, y) of the same n-gram can be the first that a linked pair shares.
 
-    A common set holds at most what is not lost before the shared n-gram, and
-    what comes from there on, in either.
+    Then nothing before them is common, so what comes from there on must be enough
+    in both.
     """
-    most = F.least(F.col("x.pos") - F.col("x.lost"), F.col("y.pos") - F.col("y.lost")) + F.least(F.col("x.size") - F.col("x.pos"), F.col("y.size") - F.col("y.pos"))
+    most = F.least(F.col("x.size") - F.col("x.pos"), F.col("y.size") - F.col("y.pos"))
     return _sizes_fit(num, den) & (most >= _needed(F.col("x.size"), F.col("y.size"), num, den))
 
 
