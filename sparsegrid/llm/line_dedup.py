@@ -75,42 +75,45 @@ def kept_lines(docs: DataFrame, min_words: int = 8) -> DataFrame:
     keyed = keyed.select("h1", "h2", "n", F.struct("doc_id", "line").alias("at"), *[F.col("halves")[k].alias(f"half{k}") for k in range(4)])
     distinct = cut_lineage(keyed.groupBy("h1", "h2").agg(F.min("at").alias("at"), F.min("n").alias("n"), *[F.min(f"half{k}").alias(f"half{k}") for k in range(4)]))
 
-    halves = distinct.where(F.col("n") >= min_words).select("h1", "h2", "at", "n", F.explode(F.array_distinct(F.array(*[f"half{k}" for k in range(4)]))).alias("half"))
+    halves = distinct.where(F.col("n") >= min_words).select("h1", "h2", F.explode(F.array_distinct(F.array(*[f"half{k}" for k in range(4)]))).alias("half")).repartition("half")
     met = halves.groupBy("half").agg(F.count("*").alias("k")).where("k > 1").select("half")
-    paired = halves.join(met, "half").select("h1", "h2", "at", "n").distinct()
-    wanted = paired.select(F.col("at.doc_id").alias("doc_id"), "at.line", "h1", "h2", "n")
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.split("text", "\n").alias("body"))
-    found = wanted.join(texts, "doc_id").select("h1", "h2", "n", F.struct("doc_id", "line").alias("at"), words_of_line(F.col("body")[F.col("line")]).alias("words"))
-    found = cut_lineage(found.where((F.xxhash64("words") == F.col("h1")) & (F.size("words") == F.col("n"))).dropDuplicates(["h1", "h2"]))
+    paired = halves.join(met, "half", "left_semi").select("h1", "h2").distinct()
+    wanted = distinct.join(paired, ["h1", "h2"], "left_semi").select(F.col("at.doc_id").alias("doc_id"), "at.line", "h1", "h2", "n")
+    texts = docs.where(F.col("text").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    found = wanted.join(texts, "doc_id").select("doc_id", "line", "h1", "h2", "n", words_of_line(F.split("text", "\n")[F.col("line")]).alias("words"))
+    found = found.where((F.xxhash64("words") == F.col("h1")) & (F.size("words") == F.col("n"))).select("doc_id", "line", "n", "words", "h1", "h2").dropDuplicates(["doc_id", "line"])
+    found = cut_lineage(found.repartition("doc_id", "line"))
 
     near = _earlier_neighbours(found)
     return distinct.join(near.withColumn("near", F.lit(True)), ["h1", "h2"], "left").select("at.doc_id", "at.line", "h1", F.coalesce("near", F.lit(False)).alias("near"))
 
 
 def _earlier_neighbours(found: DataFrame) -> DataFrame:
-    """(h1, h2) of the lines (h1, h2, n, at, words) that have an earlier one within one edit."""
-    single = found.select("h1", "h2", "n", "at", F.posexplode("words").alias("i", "w"))
+    """(h1, h2) of the lines (doc_id, line, n, words, h1, h2) that have an earlier one within one edit."""
+    place = ["doc_id", "line"]
+    # dealt before the words are taken apart, so sums along a line move nothing
+    single = found.repartition(*place).select(*place, "n", F.posexplode("words").alias("i", "w"))
     values = {f"{name}{seed}": F.xxhash64(F.lit(seed), "w", F.col("i") + shift).bitwiseAND(F.lit(_MASK)) for name, shift in (("own", 0), ("left", -1)) for seed in (1, 2)}
-    single = single.select("h1", "h2", "n", "at", "i", *[v.alias(k) for k, v in values.items()])
-    along, whole = Window.partitionBy("h1", "h2").orderBy("i").rowsBetween(Window.unboundedPreceding, 0), Window.partitionBy("h1", "h2")
-    sums = single
+    sums = single.select(*place, "n", "i", *[v.alias(k) for k, v in values.items()])
+    whole = Window.partitionBy(*place)
+    along = whole.orderBy("i").rowsBetween(Window.unboundedPreceding, 0)
     for seed in (1, 2):
         before = F.sum(f"own{seed}").over(along) - F.col(f"own{seed}")
         after = F.sum(f"left{seed}").over(whole) - F.sum(f"left{seed}").over(along)
         sums = sums.withColumn(f"variant{seed}", before + after).withColumn(f"full{seed}", F.sum(f"own{seed}").over(whole))
-    deleted = F.xxhash64("variant1", "variant2", F.col("n") - 1)
-    rows = [
-        F.struct(F.xxhash64("variant1", "variant2", F.col("n") - 1, "i").alias("key"), F.lit(0).alias("role")),
-        F.struct(deleted.alias("key"), F.lit(1).alias("role")),
-    ]
-    full = F.struct(F.xxhash64("full1", "full2", F.col("n")).alias("key"), F.lit(2).alias("role"))
-    emitted = sums.select("h1", "h2", "at", F.explode(F.when(F.col("i") == 0, F.array(*rows, full)).otherwise(F.array(*rows))).alias("v")).select("h1", "h2", "at", "v.key", "v.role")
+    # roles: a variant at its position (0), a variant anywhere (1), the whole line (2)
+    key = lambda role, *parts: F.struct(F.xxhash64(*parts).alias("key"), F.lit(role).alias("role"))
+    rows = [key(0, "variant1", "variant2", F.col("n") - 1, "i"), key(1, "variant1", "variant2", F.col("n") - 1)]
+    full = key(2, "full1", "full2", F.col("n"))
+    emitted = sums.select(*place, F.explode(F.when(F.col("i") == 0, F.array(*rows, full)).otherwise(F.array(*rows))).alias("v"))
+    emitted = emitted.select(*place, "v.key", "v.role").repartition("key")
+    at = F.struct(*place)
     # substitutions meet at role 0; a whole line (2) meets lines with a word more (1)
-    least = emitted.groupBy("key").agg(F.min(F.when(F.col("role") == 0, F.col("at"))).alias("same"), F.min(F.when(F.col("role") == 1, F.col("at"))).alias("more"), F.min(F.when(F.col("role") == 2, F.col("at"))).alias("whole"), F.count("*").alias("k")).where("k > 1")
+    least = emitted.groupBy("key").agg(F.min(F.when(F.col("role") == 0, at)).alias("same"), F.min(F.when(F.col("role") == 1, at)).alias("more"), F.min(F.when(F.col("role") == 2, at)).alias("whole"), F.count("*").alias("k")).where("k > 1")
     other = F.when(F.col("role") == 0, F.col("same")).when(F.col("role") == 1, F.col("whole")).otherwise(F.col("more"))
-    earlier = emitted.join(least, "key").where(other < F.col("at")).groupBy("h1", "h2").agg(F.min(other).alias("first"))
-    mine = earlier.join(found.select("h1", "h2", "words"), ["h1", "h2"])
-    theirs = found.select(F.col("at").alias("first"), F.col("words").alias("earlier"))
+    earlier = emitted.join(least, "key").where(other < at).groupBy(*place).agg(F.min(other).alias("first"))
+    mine = earlier.join(found.select(*place, "words", "h1", "h2"), place)
+    theirs = found.select(at.alias("first"), F.col("words").alias("earlier"))
     return mine.join(theirs, "first").where(within_one_edit(F.col("words"), F.col("earlier"))).select("h1", "h2")
 
 
