@@ -6,6 +6,7 @@ session has none (tests on one machine) a temporary one is set.
 
 from __future__ import annotations
 
+import gc
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
@@ -30,3 +31,13 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     """
     ensure_checkpoint_dir(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+def release(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle and checkpoint files of tables that are no longer referred to.
+
+    Its cleaner acts when the driver collects garbage, which a driver with few
+    objects seldom does; a method of many small jobs would keep the files of all.
+    """
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
