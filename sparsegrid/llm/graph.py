@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsegrid.plans.lineage import cut_lineage
+from sparsegrid.plans.lineage import cut_lineage, release
 
 
 def _toward_minimum(edges: DataFrame, upward: bool) -> DataFrame:
@@ -37,6 +37,7 @@ def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     before = None
     for _ in range(max_rounds):
         edges = cut_lineage(_toward_minimum(_toward_minimum(edges, True), False))
+        release(edges.sparkSession)
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == before or now[0] == 0:
             break

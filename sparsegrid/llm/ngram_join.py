@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 
 from sparsegrid.llm.graph import components
 from sparsegrid.llm.textkernel import SPACED, mix64, words_of
-from sparsegrid.plans.lineage import cut_lineage
+from sparsegrid.plans.lineage import cut_lineage, release
 
 SKETCH_BITS = 22
 _BLOCK_BITS = 17
@@ -174,7 +174,9 @@ def _verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, n: int, num: in
         text = text.join(F.broadcast(need.select("doc").distinct()), "doc")  # 2 * few ids at most
     rows = need.join(text, "doc").select("a", "salt", "b", "text", F.col("node").alias("expect"))
     dealt = rows.repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
-    return cut_lineage(dealt.mapInArrow(_verified(n, num, den), "a long, b long").distinct())
+    links = cut_lineage(dealt.mapInArrow(_verified(n, num, den), "a long, b long").distinct())
+    release(docs.sparkSession)
+    return links
 
 
 def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, small: int = 32, star_rounds: int = 2) -> DataFrame:
@@ -205,6 +207,7 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     before = Window.partitionBy("grp", "size").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
     postings = postings.withColumn("lost", F.col("pos") - F.count("key").over(before)).withColumn("big", F.coalesce(F.sum(F.col("large").cast("int")).over(before), F.lit(0)))
     postings = cut_lineage(postings)
+    release(spark)
     large = postings.where("large").drop("large")
 
     tried = _stars_within_groups(nodes, groups).union(_pairs_of_small(postings.where("not large"), nodes, num, den))
