@@ -57,7 +57,7 @@ class LinearModel:
         return 1 / (1 + float(np.exp(-np.clip(self.bias + float(self.weights[slot] @ value), -60, 60))))
 
 
-def fit_ftrl(rows: list[tuple[int, np.ndarray, np.ndarray]], bits: int = BITS, epochs: int = 8, alpha: float = 1.0, beta: float = 1.0, l1: float = 0.005, l2: float = 0.05, prior: float | None = None) -> LinearModel:
+def fit_ftrl(rows: list[tuple[int, np.ndarray, np.ndarray]], bits: int = BITS, epochs: int = 25, alpha: float = 4.0, beta: float = 1.0, l1: float = 0.02, l2: float = 0.05, prior: float | None = None) -> LinearModel:
     """Weights from (label, slots, values) rows by follow-the-regularised-leader updates.
 
     ``prior`` is the share of label 1 among all labels; where the sample has
