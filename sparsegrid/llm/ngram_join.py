@@ -179,7 +179,7 @@ def _verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, n: int, num: in
     return links
 
 
-def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, small: int = 32, star_rounds: int = 2) -> DataFrame:
+def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, small: int = 32, star_rounds: int = 1) -> DataFrame:
     """One row per row of ``docs`` (doc_id, text): doc_id, size, component.
 
     ``size`` is the number of distinct word n-grams (whole sequence where there

@@ -76,7 +76,7 @@ def fit_ftrl(rows: list[tuple[int, np.ndarray, np.ndarray]], bits: int = BITS, e
     for _ in range(epochs):
         for k in order.permutation(len(rows)):
             y, slot, value = rows[k]
-            i, x = np.append(slot, 1 << bits), np.append(value, 1.0)
+            i, x = np.append(slot, 1 << bits), np.append(value, np.float32(1)).astype(np.float64)
             w = at(i)
             g = (1 / (1 + np.exp(-np.clip(w @ x, -60, 60))) - y) * weight[y] * x
             z[i] += g - (np.sqrt(n[i] + g * g) - np.sqrt(n[i])) / alpha * w
@@ -94,16 +94,19 @@ def _featured(batches):
         )
 
 
-def train_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", fold: tuple[int, int] = (5, 0), max_rows: int = 6000) -> LinearModel:
+def train_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", fold: tuple[int, int] = (5, 0), max_rows: int = 3000) -> LinearModel:
     """Fits the classifier on at most ``max_rows`` labelled rows outside the held-out fold.
 
     Without any usable row the model is constant at 0.5.
     """
     sample = labelled_sample(docs, labels, label, fold, max_rows, 11).select("doc_id", "label", "text")
     rows = sample.mapInArrow(_featured, "doc_id long, label int, slot array<int>, value array<float>").toArrow().sort_by("doc_id")
-    data = [(int(y), np.asarray(s, np.int64), np.asarray(v, np.float64)) for y, s, v in zip(rows["label"].to_pylist(), rows["slot"].to_numpy(), rows["value"].to_numpy(), strict=True)]
+    data = [(int(y), s, v) for y, s, v in zip(rows["label"].to_pylist(), rows["slot"].to_numpy(), rows["value"].to_numpy(), strict=True)]
     zero, one = class_shares(labels, label, fold)
-    return fit_ftrl(data, prior=one / (zero + one) if zero + one else None) if data else LinearModel(np.zeros(1 << BITS, np.float32), 0.0)
+    model = fit_ftrl(data, prior=one / (zero + one) if zero + one else None) if data else LinearModel(np.zeros(1 << BITS, np.float32), 0.0)
+    del rows, data
+    pa.default_memory_pool().release_unused()
+    return model
 
 
 def _scored(model, keep: int):
