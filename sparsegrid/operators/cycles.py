@@ -7,10 +7,10 @@ from pyspark.sql import functions as F
 
 from sparsegrid.model import Graph
 from sparsegrid.operators.algebra import diagonal, trace_of_square_symmetric
-from sparsegrid.operators.multiply import join_multiply
+from sparsegrid.operators.multiply import join_multiply, sparse_multiply
 
 
-def count_four_cycles(g: Graph, multiply=join_multiply) -> DataFrame:
+def count_four_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
     """One row (trace, walks, four_cycles): closed 4-walks, those that turn back, and 4-cycles.
 
     The square of the adjacency matrix is symmetric, so its own trace product is
