@@ -75,14 +75,14 @@ def kept_lines(docs: DataFrame, min_words: int = 8) -> DataFrame:
     keyed = keyed.select("h1", "h2", "n", F.struct("doc_id", "line").alias("at"), *[F.col("halves")[k].alias(f"half{k}") for k in range(4)])
     distinct = cut_lineage(keyed.groupBy("h1", "h2").agg(F.min("at").alias("at"), F.min("n").alias("n"), *[F.min(f"half{k}").alias(f"half{k}") for k in range(4)]))
 
-    halves = distinct.where(F.col("n") >= min_words).select("h1", "h2", F.explode(F.array_distinct(F.array(*[f"half{k}" for k in range(4)]))).alias("half")).repartition("half")
+    halves = distinct.where(F.col("n") >= min_words).select("h1", F.explode(F.array_distinct(F.array(*[f"half{k}" for k in range(4)]))).alias("half")).repartition("half")
     met = halves.groupBy("half").agg(F.count("*").alias("k")).where("k > 1").select("half")
-    paired = halves.join(met, "half", "left_semi").select("h1", "h2").distinct()
-    wanted = distinct.join(paired, ["h1", "h2"], "left_semi").select(F.col("at.doc_id").alias("doc_id"), "at.line", "h1", "h2", "n")
+    paired = halves.join(met, "half", "left_semi").select("h1").distinct()
+    wanted = distinct.select("h1", "h2", "at", "n").join(paired, "h1", "left_semi").select(F.col("at.doc_id").alias("doc_id"), "at.line", "h1", "h2", "n")
     texts = docs.where(F.col("text").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     found = wanted.join(texts, "doc_id").select("doc_id", "line", "h1", "h2", "n", words_of_line(F.split("text", "\n")[F.col("line")]).alias("words"))
-    found = found.where((F.xxhash64("words") == F.col("h1")) & (F.size("words") == F.col("n"))).select("doc_id", "line", "n", "words", "h1", "h2").dropDuplicates(["doc_id", "line"])
-    found = cut_lineage(found.repartition("doc_id", "line"))
+    found = found.where((F.xxhash64("words") == F.col("h1")) & (F.size("words") == F.col("n"))).select("doc_id", "line", "n", "words", "h1", "h2")
+    found = cut_lineage(found.dropDuplicates(["doc_id", "line"]))
 
     near = _earlier_neighbours(found)
     return distinct.join(near.withColumn("near", F.lit(True)), ["h1", "h2"], "left").select("at.doc_id", "at.line", "h1", F.coalesce("near", F.lit(False)).alias("near"))
@@ -106,7 +106,9 @@ def _earlier_neighbours(found: DataFrame) -> DataFrame:
     rows = [key(0, "variant1", "variant2", F.col("n") - 1, "i"), key(1, "variant1", "variant2", F.col("n") - 1)]
     full = key(2, "full1", "full2", F.col("n"))
     emitted = sums.select(*place, F.explode(F.when(F.col("i") == 0, F.array(*rows, full)).otherwise(F.array(*rows))).alias("v"))
-    emitted = emitted.select(*place, "v.key", "v.role").repartition("key")
+    # line and role share a number while the rows are dealt
+    dealt = emitted.select("doc_id", (F.col("line").cast("long") * 4 + F.col("v.role")).alias("packed"), "v.key").repartition("key")
+    emitted = dealt.select("doc_id", F.shiftright("packed", 2).cast("int").alias("line"), "key", F.col("packed").bitwiseAND(3).alias("role"))
     at = F.struct(*place)
     # substitutions meet at role 0; a whole line (2) meets lines with a word more (1)
     least = emitted.groupBy("key").agg(F.min(F.when(F.col("role") == 0, at)).alias("same"), F.min(F.when(F.col("role") == 1, at)).alias("more"), F.min(F.when(F.col("role") == 2, at)).alias("whole"), F.count("*").alias("k")).where("k > 1")
