@@ -120,9 +120,14 @@ def learned_edges(x: Layers, canonical: bool = True, directed: bool = True) -> t
 
 
 def list_triangles(g: Graph, workers: int | None = None, parts: str = "degree", tasks: int | None = None) -> DataFrame:
-    """(v1, v2, v3): every triangle once, smallest vertex first (in an undirected graph in rising order)."""
-    x = plan_layers(g, workers, parts)
+    """(v1, v2, v3): every triangle once, smallest vertex first (in an undirected graph in rising order).
+
+    ``workers`` logical workers are dealt to ``tasks`` tasks.  Edges are copied
+    in proportion to the cube root of the workers, so by default there are eight
+    for each task (n at most), not one for each vertex.
+    """
     k = tasks or int(g.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    x = plan_layers(g, workers or min(g.n, 8 * k), parts)
     e1, e2, e3 = (e.repartitionById(k, F.pmod("worker", F.lit(k))) for e in learned_edges(x, True, g.directed))
     met = e1.join(e2.hint("shuffle_hash"), ["worker", "v2"]).where("v1 < v3").join(e3.hint("shuffle_hash"), ["worker", "v3", "v1"])
     return met.select("v1", "v2", "v3")
