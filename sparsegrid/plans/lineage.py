@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import time
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -30,14 +31,23 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     costs no recomputation of what lies before it.
     """
     ensure_checkpoint_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    out = df.checkpoint(eager=True)
+    release(df.sparkSession, every=2.0)
+    return out
 
 
-def release(spark: SparkSession) -> None:
+_released = [0.0]
+
+
+def release(spark: SparkSession, every: float = 0.0) -> None:
     """Lets Spark delete the shuffle and checkpoint files of tables that are no longer referred to.
 
     Its cleaner acts when the driver collects garbage, which a driver with few
-    objects seldom does; a method of many small jobs would keep the files of all.
+    objects seldom does; a method of many small jobs would keep the files of all,
+    and the driver's heap would grow with the plans of all.  Nothing happens
+    where the last time was less than ``every`` seconds ago.
     """
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    if time.monotonic() - _released[0] >= every:
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        _released[0] = time.monotonic()
