@@ -20,6 +20,7 @@ from pyspark.sql import functions as F
 
 from sparsegrid.llm.sampling import class_shares, labelled_sample
 from sparsegrid.llm.textkernel import ALNUM, SPACED, mix64, words_of
+from sparsegrid.plans.lineage import release
 
 BITS = 18
 _AGAIN = np.uint64(0x51ED270B4F6A2C11)
@@ -106,6 +107,7 @@ def train_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", fo
     model = fit_ftrl(data, prior=one / (zero + one) if zero + one else None) if data else LinearModel(np.zeros(1 << BITS, np.float32), 0.0)
     del rows, data
     pa.default_memory_pool().release_unused()
+    release(docs.sparkSession)
     return model
 
 
