@@ -31,7 +31,8 @@ _MASK = (1 << 43) - 1  # sums of 2**20 such values stay below 2**63
 
 
 def words_of_line(line: Column) -> Column:
-    return F.filter(F.split(line, SPACE), lambda w: w != "")
+    body = F.btrim(line, F.lit(" \t\n\x0b\x0c\r"))
+    return F.when(body == "", F.array().cast("array<string>")).otherwise(F.split(body, SPACE))
 
 
 def within_one_edit(a: Column, b: Column) -> Column:
