@@ -79,17 +79,22 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...], cap: int) -> Data
     return ranked.select("sid", "source", "source_size", "weight", target.alias("target"))
 
 
+def _mark() -> Column:
+    """What a row is known by when its words are fetched: a hash of id and text."""
+    return F.xxhash64(F.col("doc_id").cast("long"), F.col("text")).alias("mark")
+
+
 def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3, block_words: int = 64, shard_slots: int = 2048, seed: int = 17, chunk_rows: int = 4_000) -> Mix:
     """Mixes the rows of ``docs`` (doc_id, text, source).
 
     ``pieces``: shard, slot, sid, block, at (words of the block before the
-    piece), doc_id, off, first_word, n_words; ordered by (shard, slot, at) they
+    piece), doc_id, mark, off, first_word, n_words; ordered by (shard, slot, at) they
     are the mixed corpus.  Null and empty texts take no part; a null source is a
     source of its own; rows with a null or repeated id are rows like others (off,
     the place in the source's stream, tells them apart); an empty table gives
     empty tables.  Every run gives the same mix.
     """
-    sized = cut_lineage(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size")))
+    sized = cut_lineage(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"), _mark()))
     plan = source_targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, cap)
     blocks = F.ceil(F.col("source_size") / block_words)
     slots = F.when(F.col("source_size") > 0, F.least(F.round(F.col("target") * blocks / F.col("source_size")).cast("long"), cap * blocks)).otherwise(0)
@@ -102,14 +107,14 @@ def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int
     chunked = chunked.withColumn("chunk", F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(chunks)))
     base = chunked.groupBy("sid", "chunk").agg(F.sum("size").alias("words"))
     base = base.withColumn("base", F.sum("words").over(Window.partitionBy("sid").orderBy("chunk")) - F.col("words")).drop("words")
-    within = Window.partitionBy("sid", "chunk").orderBy(F.xxhash64("doc_id", F.lit(seed + 1)), "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
+    within = Window.partitionBy("sid", "chunk").orderBy(F.xxhash64("doc_id", F.lit(seed + 1)), "doc_id", "mark").rowsBetween(Window.unboundedPreceding, 0)
     packed = chunked.withColumn("run", F.sum("size").over(within)).join(base, ["sid", "chunk"])
-    packed = cut_lineage(packed.select("doc_id", "source", "sid", "size", "source_size", "target", (F.col("base") + F.col("run") - F.col("size")).alias("off")))
+    packed = cut_lineage(packed.select("doc_id", "mark", "source", "sid", "size", "source_size", "target", (F.col("base") + F.col("run") - F.col("size")).alias("off")))
 
     begin, end = F.col("off"), F.col("off") + F.col("size")
-    cut = packed.where("size > 0").select("sid", "doc_id", "off", "size", F.explode(F.sequence(F.floor(begin / block_words), F.floor((end - 1) / block_words))).alias("block"))
+    cut = packed.where("size > 0").select("sid", "doc_id", "mark", "off", "size", F.explode(F.sequence(F.floor(begin / block_words), F.floor((end - 1) / block_words))).alias("block"))
     lo, hi = F.greatest(F.col("block") * block_words, F.col("off")), F.least((F.col("block") + 1) * block_words, F.col("off") + F.col("size"))
-    cut = cut.select("sid", "block", "doc_id", "off", (lo - F.col("block") * block_words).alias("at"), (lo - F.col("off")).alias("first_word"), (hi - lo).alias("n_words"))
+    cut = cut.select("sid", "block", "doc_id", "mark", "off", (lo - F.col("block") * block_words).alias("at"), (lo - F.col("off")).alias("first_word"), (hi - lo).alias("n_words"))
 
     spread = plan.where("slots > 0").select("sid", "blocks", "slots", "start", "all_slots", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("slots") - 1) / _CHUNK))).alias("part"))
     drawn = spread.repartition("sid", "part").select("*", F.explode(F.sequence(F.col("part") * _CHUNK, F.least((F.col("part") + 1) * _CHUNK, F.col("slots")) - 1)).alias("r"))
@@ -129,11 +134,8 @@ def taken_words(mix: Mix) -> DataFrame:
 
 
 def mixed_corpus(docs: DataFrame, mix: Mix) -> DataFrame:
-    """The pieces of the mix with their words, in whole shards.
-
-    Needs unique ids of the documents that have words.
-    """
-    words = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.regexp_extract_all("text", F.lit(WORD), F.lit(0)).alias("words"))
-    cut = mix.pieces.select("doc_id", "shard", "slot", "at", "first_word", "n_words")
+    """The pieces of the mix with their words, in whole shards; repeated rows are fetched as often as the mix takes them."""
+    words = docs.select(_mark(), F.regexp_extract_all("text", F.lit(WORD), F.lit(0)).alias("words")).where(F.size("words") > 0).dropDuplicates(["mark"])
+    cut = mix.pieces.select("doc_id", "mark", "shard", "slot", "at", "first_word", "n_words")
     text = F.array_join(F.slice("words", (F.col("first_word") + 1).cast("int"), F.col("n_words").cast("int")), " ")
-    return cut.join(words, "doc_id").select("shard", "slot", "at", "doc_id", "first_word", "n_words", text.alias("text"))
+    return cut.join(words, "mark").select("shard", "slot", "at", "doc_id", "first_word", "n_words", text.alias("text"))

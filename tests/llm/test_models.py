@@ -235,7 +235,7 @@ def brute_targets(sizes, weights=(1, 2, 3), cap=3):
 def test_mix(docs_of, seed):
     rng = random.Random(seed)
     rows = [(i, " ".join(f"w{i}-{k}" for k in range(rng.choice([0, 3, 40, 300]))), rng.choice(["a", "a", "a", "b", "c", None])) for i in range(150)]
-    rows += [(900, None, "a"), (901, "tiny words", "é")]
+    rows += [(900, None, "a"), (901, "tiny words", "é"), (902, "said twice", "b"), (902, "said twice", "b"), (None, "no id here", "b")]
     docs = docs_of(rows)
     mix = mix_sources(docs, block_words=16, shard_slots=50)
     taken = taken_words(mix).collect()
