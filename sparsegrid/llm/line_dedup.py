@@ -59,8 +59,9 @@ def _line_key(words: Column) -> list[Column]:
 def _halves(words: Column, n: Column) -> Column:
     """Keys of the first and last q words, for both q that a line within one edit may use."""
     keys = []
-    for q in (F.floor((n - 1) / 2).cast("int"), F.floor(n / 2).cast("int")):
-        keys += [F.xxhash64(F.lit("first"), q, F.slice(words, F.lit(1), q)), F.xxhash64(F.lit("last"), q, F.slice(words, n - q + 1, q))]
+    for k, q in enumerate((F.floor((n - 1) / 2).cast("int"), F.floor(n / 2).cast("int"))):
+        pair = [F.xxhash64(F.lit("first"), q, F.slice(words, F.lit(1), q)), F.xxhash64(F.lit("last"), q, F.slice(words, n - q + 1, q))]
+        keys += pair if k == 0 else [F.when(n % 2 == 0, x) for x in pair]  # for odd n both q are the same
     return F.array(*keys)
 
 
@@ -76,7 +77,7 @@ def kept_lines(docs: DataFrame, min_words: int = 8) -> DataFrame:
     keyed = keyed.select("h1", "h2", "n", F.struct("doc_id", "line").alias("at"), *[F.col("halves")[k].alias(f"half{k}") for k in range(4)])
     distinct = cut_lineage(keyed.groupBy("h1", "h2").agg(F.min("at").alias("at"), F.min("n").alias("n"), *[F.min(f"half{k}").alias(f"half{k}") for k in range(4)]))
 
-    halves = distinct.where(F.col("n") >= min_words).select("h1", F.explode(F.array_distinct(F.array(*[f"half{k}" for k in range(4)]))).alias("half")).repartition("half")
+    halves = distinct.where(F.col("n") >= min_words).select("h1", F.explode(F.array_compact(F.array_distinct(F.array(*[f"half{k}" for k in range(4)])))).alias("half")).repartition("half")
     met = halves.groupBy("half").agg(F.count("*").alias("k")).where("k > 1").select("half")
     paired = halves.join(met, "half", "left_semi").select("h1").distinct()
     wanted = distinct.select("h1", "h2", "at", "n").join(paired, "h1", "left_semi").select(F.col("at.doc_id").alias("doc_id"), "at.line", "h1", "h2", "n")
@@ -85,7 +86,7 @@ def kept_lines(docs: DataFrame, min_words: int = 8) -> DataFrame:
     found = found.where((F.xxhash64("words") == F.col("h1")) & (F.size("words") == F.col("n"))).select("doc_id", "line", "n", "words", "h1", "h2")
     found = cut_lineage(found.dropDuplicates(["doc_id", "line"]))
 
-    near = _earlier_neighbours(found)
+    near = cut_lineage(_earlier_neighbours(found))  # before documents are dealt again, so what it moved is gone by then
     return distinct.join(near.withColumn("near", F.lit(True)), ["h1", "h2"], "left").select("at.doc_id", "at.line", "h1", F.coalesce("near", F.lit(False)).alias("near"))
 
 
