@@ -31,7 +31,12 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     costs no recomputation of what lies before it.
     """
     ensure_checkpoint_dir(df.sparkSession)
-    out = df.checkpoint(eager=True)
+    return df.checkpoint(eager=True)
+
+
+def cut_and_release(df: DataFrame) -> DataFrame:
+    """``cut_lineage`` for methods of many small jobs: what is no longer needed is deleted at once."""
+    out = cut_lineage(df)
     release(df.sparkSession, every=2.0)
     return out
 
