@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsegrid.plans.lineage import cut_lineage, release
+from sparsegrid.plans.lineage import cut_and_release, release
 
 
 def _toward_minimum(edges: DataFrame, upward: bool) -> DataFrame:
@@ -33,10 +33,10 @@ def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     contraction: the number of rounds grows with the logarithm of the diameter;
     each round is cut in the shared checkpoint folder.
     """
-    edges = cut_lineage(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
+    edges = cut_and_release(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
     before = None
     for _ in range(max_rounds):
-        edges = cut_lineage(_toward_minimum(_toward_minimum(edges, True), False))
+        edges = cut_and_release(_toward_minimum(_toward_minimum(edges, True), False))
         release(edges.sparkSession)
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == before or now[0] == 0:

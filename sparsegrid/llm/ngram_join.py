@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 
 from sparsegrid.llm.graph import components
 from sparsegrid.llm.textkernel import SPACED, mix64, words_of
-from sparsegrid.plans.lineage import cut_lineage, release
+from sparsegrid.plans.lineage import cut_and_release, release
 
 SKETCH_BITS = 22
 _BLOCK_BITS = 17
@@ -174,7 +174,7 @@ def _verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, n: int, num: in
         text = text.join(F.broadcast(need.select("doc").distinct()), "doc")  # 2 * few ids at most
     rows = need.join(text, "doc").select("a", "salt", "b", "text", F.col("node").alias("expect"))
     dealt = rows.repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
-    links = cut_lineage(dealt.mapInArrow(_verified(n, num, den), "a long, b long").distinct())
+    links = cut_and_release(dealt.mapInArrow(_verified(n, num, den), "a long, b long").distinct())
     release(docs.sparkSession)
     return links
 
@@ -193,20 +193,20 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     levels = spark.sparkContext.broadcast(frequency_levels(docs.select("text"), n))
-    sign = cut_lineage(docs.mapInArrow(_signatures(levels, n, num, den), "doc_id long, size long, cls long, grp long, prefix array<long>"))
+    sign = cut_and_release(docs.mapInArrow(_signatures(levels, n, num, den), "doc_id long, size long, cls long, grp long, prefix array<long>"))
 
     nodes = sign.where("size > 0 and doc_id is not null").groupBy("cls", "grp", "size").agg(F.min("doc_id").alias("doc"))
-    nodes = cut_lineage(nodes)
+    nodes = cut_and_release(nodes)
     groups = nodes.groupBy("grp", "size").agg(F.min(F.struct("doc", "cls")).alias("lead"), F.count("*").alias("members"))
     groups = groups.select("grp", "size", "members", F.col("lead.doc").alias("doc"), F.col("lead.cls").alias("lead"))
     leads = sign.select(F.col("doc_id").alias("doc"), "cls", "prefix").join(groups, "doc").where("cls = lead").dropDuplicates(["doc", "cls"])
     postings = leads.select("grp", "lead", "size", F.posexplode("prefix").alias("pos", "key")).repartition("key")
     shared = postings.groupBy("key").agg(F.count("*").alias("k")).where("k > 1").select("key", "k")
-    postings = cut_lineage(postings.join(shared, "key").select("key", "grp", "lead", "size", "pos", (F.col("k") > small).alias("large")))
+    postings = cut_and_release(postings.join(shared, "key").select("key", "grp", "lead", "size", "pos", (F.col("k") > small).alias("large")))
     # of a prefix's n-grams before one that is shared those that no other group has there cannot be common
     before = Window.partitionBy("grp", "size").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
     postings = postings.withColumn("lost", F.col("pos") - F.count("key").over(before)).withColumn("big", F.coalesce(F.sum(F.col("large").cast("int")).over(before), F.lit(0)))
-    postings = cut_lineage(postings)
+    postings = cut_and_release(postings)
     release(spark)
     large = postings.where("large").drop("large")
 
@@ -214,19 +214,19 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     some_large = not large.isEmpty()
     if some_large:
         tried = tried.union(_stars(_unsettled(large, nodes, None), num, den, 0))
-    tried = cut_lineage(tried.distinct())
+    tried = cut_and_release(tried.distinct())
     links = _verify(tried, nodes, docs, n, num, den)
     labels = components(links)
     if some_large:
         for turn in range(1, star_rounds):
-            stars = cut_lineage(_stars(_unsettled(large, nodes, labels), num, den, turn).join(tried, ["a", "b"], "left_anti"))
+            stars = cut_and_release(_stars(_unsettled(large, nodes, labels), num, den, turn).join(tried, ["a", "b"], "left_anti"))
             links = links.union(_verify(stars, nodes, docs, n, num, den))
             labels = components(links)
             tried = tried.union(stars)
-        rest = cut_lineage(_remaining(_unsettled(large, nodes, labels), nodes, labels, num, den).join(tried, ["a", "b"], "left_anti"))
+        rest = cut_and_release(_remaining(_unsettled(large, nodes, labels), nodes, labels, num, den).join(tried, ["a", "b"], "left_anti"))
         found = _verify(rest, nodes, docs, n, num, den)
         labels = components(links.union(found)) if not found.isEmpty() else labels
-    rest = cut_lineage(_split_groups(nodes, groups, labels).join(tried, ["a", "b"], "left_anti"))
+    rest = cut_and_release(_split_groups(nodes, groups, labels).join(tried, ["a", "b"], "left_anti"))
     found_within = _verify(rest, nodes, docs, n, num, den)
     if not found_within.isEmpty():
         labels = components(labels.select(F.col("vertex").alias("a"), F.col("label").alias("b")).union(found_within))
