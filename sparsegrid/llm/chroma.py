@@ -4,7 +4,8 @@ A recording's samples become frames of pitch-class energy; filters over an
 integral image of the frames give a packed 32-bit integer for each window of
 frames.  Two recordings are aligned by the histogram of the offsets at which
 they hold equal integers, and judged by the share of bits in which they differ
-at the best offset.
+at the best offset.  Noise seldom leaves whole integers equal, so every searched
+recording is also compared with all others by its bits alone, at every offset.
 """
 
 from __future__ import annotations
@@ -137,16 +138,109 @@ def _aligned(batches):
         yield pa.RecordBatch.from_arrays([*kept, pa.array(errors, pa.int64()), pa.array(frames, pa.int64())], ["query", "match", "offset", "votes", "bit_errors", "frames"])
 
 
+def _spectra(block: list[np.ndarray], size: int) -> np.ndarray:
+    """(frequencies, recordings, 32) transforms along time of the bits as signs; recordings are padded with zeros."""
+    signs = np.zeros((len(block), max(map(len, block)), 32), np.float32 if size <= EXACT else np.float64)
+    for k, codes in enumerate(block):
+        signs[k, : len(codes)] = 1.0 - 2.0 * np.unpackbits(codes.astype("<u4").view(np.uint8).reshape(-1, 4), axis=1)
+    return np.ascontiguousarray(np.fft.rfft(signs, size, axis=1).transpose(1, 0, 2))
+
+
+EXACT = 4096  # up to this length sums of signs round to the right integer in single precision
+_TILE = 1 << 21  # sums held at once
+
+
+def close_pairs(xs: list[np.ndarray], ys: list[np.ndarray], max_error: float, min_frames: int) -> tuple[np.ndarray, ...]:
+    """(x, y, offset, bit errors, frames) of the pairs that come within ``max_error`` over ``min_frames`` codes or more.
+
+    The offset is that of the least share of errors, the smallest of equals.
+    Agreements less differences of bits at all offsets are one cross-correlation
+    of signs, a matrix product for each frequency; its values are integers, so
+    rounding makes them exact.
+    """
+    out = [np.zeros((5, 0), np.int64)]
+    n_x, n_y = (np.array([len(c) for c in block], np.int64) for block in (xs, ys))
+    long_x, long_y = int(n_x.max(initial=0)), int(n_y.max(initial=0))
+    least = max(min_frames, 1)
+    offsets = np.arange(least - long_x, long_y - least + 1)
+    if min(long_x, long_y) < least:
+        return tuple(out[0])
+    size = long_x + long_y - least
+    size += size % 2
+    step_x = max(1, min(64, _TILE // size))
+    step_y = max(1, _TILE // size // step_x)
+    for b in range(0, len(ys), step_y):
+        right = _spectra(ys[b : b + step_y], size).transpose(0, 2, 1)
+        for a in range(0, len(xs), step_x):
+            left = np.conj(_spectra(xs[a : a + step_x], size))
+            sums = np.fft.irfft(left @ right, size, axis=0)[offsets % size]
+            # equal lengths need one count of frames for each offset
+            p, q = n_x[a : a + step_x, None], n_y[None, b : b + step_y]
+            p, q = (v[:1, :1] if (v == v[0, 0]).all() else v for v in (p, q))
+            at = offsets[:, None, None]
+            frames = np.minimum(p, q - at) - np.maximum(0, -at)
+            enough = np.where(frames >= least, 32 * frames * (1 - 2 * max_error) - 0.5, np.inf).astype(sums.dtype)
+            i, j = np.nonzero((sums >= enough).any(0))
+            whole = np.rint(sums[:, i, j]).astype(np.int64)
+            frames = np.broadcast_to(frames, sums.shape)[:, i, j]
+            errors = (32 * frames - whole) // 2
+            fits = (frames >= least) & (errors <= max_error * 32 * frames)
+            best = np.where(fits, errors / np.maximum(frames, 1), np.inf).argmin(0)
+            k = np.arange(len(i))
+            out.append(np.stack([i + a, j + b, offsets[best], errors[best, k], frames[best, k]])[:, fits.any(0)])
+    return tuple(np.concatenate(out, 1))
+
+
+def _compared(max_error: float, min_frames: int):
+    def run(batches):
+        for batch in batches:
+            for row in range(batch.num_rows):
+                ids, codes = [], []
+                for side in ("asked", "others"):
+                    block = batch.column(side)[row].values
+                    flat, ends = block.field("codes"), block.field("codes").offsets.to_numpy()
+                    ids.append(block.field("id").to_numpy())
+                    values = flat.values.to_numpy().astype(np.uint32)
+                    codes.append([values[a:b] for a, b in zip(ends[:-1], ends[1:], strict=True)])
+                x, y, *rest = close_pairs(*codes, max_error, min_frames)
+                query, match = ids[0][x], ids[1][y]
+                order = np.lexsort((match, query))
+                order = order[query[order] != match[order]]
+                names, first = np.unique(query[order], return_index=True)
+                found = pa.StructArray.from_arrays([pa.array(v[order]) for v in (match, *rest)], ["match", "offset", "bit_errors", "frames"])
+                lists = pa.ListArray.from_arrays(pa.array([*first, len(order)], pa.int32()), found)
+                yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), lists], ["query", "part"])
+
+    return run
+
+
+def _close(held: DataFrame, max_error: float, min_frames: int, codes_asked: int = 1 << 14, codes_other: int = 1 << 17) -> DataFrame:
+    """(query, close) of the asked classes against all of ``held``, block by block: every pair is compared."""
+    total = held.agg(F.sum(F.size("codes")), F.sum(F.when(F.col("asked"), F.size("codes")))).first()
+
+    def blocks(rows: DataFrame, codes: int, most: int, name: str) -> DataFrame:
+        dealt = rows.withColumn("block", F.pmod(F.xxhash64("class_id", F.lit(name)), F.lit(-(-codes // most) or 1)))
+        return dealt.groupBy("block").agg(F.collect_list(F.struct(F.col("class_id").alias("id"), "codes")).alias(name)).select(name)
+
+    pairs = blocks(held, total[0] or 0, codes_other, "others").crossJoin(blocks(held.where("asked"), total[1] or 0, codes_asked, "asked"))
+    parts = pairs.mapInArrow(_compared(max_error, min_frames), "query long, part array<struct<match:long,offset:long,bit_errors:long,frames:long>>")
+    return parts.groupBy("query").agg(F.array_sort(F.flatten(F.collect_list("part"))).alias("close"))
+
+
 def search_recordings(prints: DataFrame, query_step: int = 20, min_votes: int = 3, max_error: float = 0.3, min_frames: int = 16) -> DataFrame:
-    """One row per row of ``prints`` (media_id, codes): media_id, class_id, n_codes, is_query, matches.
+    """One row per row of ``prints`` (media_id, codes): media_id, class_id, n_codes, is_query, matches, close.
 
     Equal fingerprints form a class, named by its smallest id.  Rows whose id is
     divisible by ``query_step`` are searched for among all: ``matches`` lists
     the other classes with at least ``min_votes`` equal codes at one offset, at
     least ``min_frames`` compared codes there and at most ``max_error`` of the
     bits different at the offset with most votes (the smallest of equals).  All
-    such classes are found: codes meet by an exact join, without caps.  Rows
-    without codes have no class and no matches; a null id is no query.
+    such classes are found: codes meet by an exact join, without caps.  ``close``
+    lists all other classes that come within ``max_error`` over ``min_frames``
+    codes or more, whether codes are equal or not, at the offset of the least
+    share of errors; every searched class is compared with every class, so this
+    costs searched times all.  Rows without codes have no class, no matches and
+    nothing close; a null id is no query.
     """
     prints = cut_lineage(prints.select("media_id", F.coalesce("codes", F.array().cast("array<long>")).alias("codes")).withColumn("print", F.xxhash64("codes")).withColumn("print2", F.xxhash64(F.lit("print"), "codes")))
     is_query = F.coalesce(F.col("media_id") % query_step == 0, F.lit(False))
@@ -167,5 +261,12 @@ def search_recordings(prints: DataFrame, query_step: int = 20, min_votes: int =
     lists = good.groupBy("query").agg(F.array_sort(F.collect_list(F.struct("match", "offset", "votes", "bit_errors", "frames"))).alias("found"))
     out = prints.join(classes.select("print", "print2", "class_id"), ["print", "print2"], "left").withColumn("is_query", is_query)
     out = out.join(lists, (F.col("class_id") == F.col("query")) & F.col("is_query"), "left")
-    none = F.array().cast(T.ArrayType(T.StructType([T.StructField(c, T.LongType()) for c in ("match", "offset", "votes", "bit_errors", "frames")])))
-    return out.select("media_id", F.when(F.col("media_id").isNotNull(), F.col("class_id")).alias("class_id"), F.size("codes").cast("long").alias("n_codes"), "is_query", F.coalesce("found", none).alias("matches"))
+    near = _close(held, max_error, min_frames).withColumnRenamed("query", "near")
+    out = out.join(near, (F.col("class_id") == F.col("near")) & F.col("is_query"), "left")
+
+    def none(*names: str):
+        return F.array().cast(T.ArrayType(T.StructType([T.StructField(c, T.LongType()) for c in names])))
+
+    matches = F.coalesce("found", none("match", "offset", "votes", "bit_errors", "frames")).alias("matches")
+    close = F.coalesce("close", none("match", "offset", "bit_errors", "frames")).alias("close")
+    return out.select("media_id", F.when(F.col("media_id").isNotNull(), F.col("class_id")).alias("class_id"), F.size("codes").cast("long").alias("n_codes"), "is_query", matches, close)

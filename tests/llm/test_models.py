@@ -163,6 +163,27 @@ def test_scaled_fingerprints_and_search(spark):
         assert {(m.match, m.offset) for m in rows[q].matches} == want
 
 
+def test_close_recordings_are_those_of_all_pairs(spark):
+    rng = np.random.default_rng(5)
+    vectors = rng.normal(0, 1, (40, 64))
+    noisy = [ch.melody(vectors[0]) + rng.normal(0, s, 64 * ch.HOP) for s in (0.3, 1.0)]
+    late = ch.melody(vectors[20])[256:]
+    sounds = {k: ch.melody(v[: 64 - k % 3]) for k, v in enumerate(vectors)} | {40: noisy[0], 41: noisy[1], 42: late, 43: ch.melody(vectors[3][:30])}
+    codes = {k: ch.fingerprint(ch.chroma_frames(s)) for k, s in sounds.items()}
+    prints = spark.createDataFrame([(k, [int(c) for c in v]) for k, v in codes.items()] + [(44, []), (None, [1])], "media_id bigint, codes array<bigint>")
+    rows = {r.media_id: r for r in ch.search_recordings(prints).collect()}
+    for q in (0, 20, 40):
+        want = []
+        for r in (r for r in codes if r != q):
+            tried = [(e / n, o, e, n) for o in range(-64, 65) for e, n in [ch.bit_errors(codes[q], codes[r], o)] if n >= 16]
+            fits = [t for t in tried if t[2] <= 0.3 * 32 * t[3]]
+            want += [(r, *min(fits)[1:])] if fits else []
+        assert [tuple(m) for m in rows[q].close] == want
+    missed = {(q, m.match) for q in (0, 20, 40) for m in rows[q].close} - {(q, m.match) for q in (0, 20, 40) for m in rows[q].matches}
+    assert {m.match for m in rows[0].close} >= {40} and {m.match for m in rows[20].close} >= {42} and missed
+    assert rows[44].close == [] and rows[None].close == [] and rows[1].close == []
+
+
 def test_chat_round_trip(spark):
     rng = random.Random(5)
     bits = ["</s>", "[INST]", "<|turn|>", "<|end|>\n", "~", "~0", "~1", "é", "\n", " ", "ok", "assistant\n", "<"]
