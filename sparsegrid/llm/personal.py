@@ -1,7 +1,7 @@
 """Personal data: fixed patterns, and a semi-Markov conditional random field.
 
 The patterns give the base spans.  Around signs of personal data (digits, ``@``,
-a quoted word after ``=``) the random field reads a short stretch of tokens and
+a quoted word after ``=``, a spelled-out mail) the random field reads a stretch of tokens and
 scores whole candidate segments by features of the entire span: its shape, its
 digits, its check sum, what stands before and after.  Dynamic programming over
 segments of bounded length chooses boundaries and kinds together.  Its spans are
@@ -73,7 +73,11 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 
 _TOKEN = re.compile(r"[^\W_]+|[ \t]+|\n|.", re.S)
 _DIGIT = re.compile("[0-9]")
-_TRIGGER = re.compile(r"[0-9]{2,}|@|=[ \t]*[\"']")
+_TRIGGER = re.compile(r"[0-9]{2,}|@|=[ \t]*[\"']|\bat[ \t]+[^\W_]+[ \t]+dot[ \t]", re.I)
+_ENDINGS = frozenset("com org net edu gov info io de fr es uk eu".split())  # of spelled-out mails without digits
+BEFORE, AFTER = 40, 44  # characters read around a sign, and LONGEST tokens at least
+PIECE = 2000  # characters decoded at once
+_SETTLED = 3 * LONGEST  # tokens that must follow for a boundary to stand
 
 
 @dataclass
@@ -85,30 +89,80 @@ class Stretch:
     end: list[int]
 
 
-def stretches(text: str) -> Iterator[Stretch]:
-    """The parts of a text that hold signs of personal data, with some context; they do not overlap.
-
-    A part without a break is read in pieces of at most 200 characters beyond the
-    sign, so its cost stays in proportion to its length.
+def _back(text: str, at: int, floor: int) -> int:
+    """Where the BEFORE characters and LONGEST tokens before ``at`` begin, not before ``floor``; a token is taken whole."""
+    start, tokens = at, 0
+    while at > floor and (start - at < BEFORE or tokens < LONGEST):
+        at -= 1
+        if text[at].isalnum():
+            while at > floor and text[at - 1].isalnum():
+                at -= 1
+        elif text[at] in " \t":
+            while at > floor and text[at - 1] in " \t":
+                at -= 1
+        tokens += 1
+    return at
+
+
+def _ahead(text: str, at: int) -> int:
+    """Where the AFTER characters and LONGEST tokens from ``at`` end; a token is taken whole."""
+    end = at
+    for k, t in enumerate(_TOKEN.finditer(text, at)):
+        if k >= LONGEST and end - at >= AFTER:
+            break
+        end = t.end()
+    return end
+
+
+def stretches(text: str) -> Iterator[tuple[int, int]]:
+    """(start, end) of the parts of a text that hold signs of personal data, with some context.
+
+    Parts end between tokens; signs whose surroundings touch belong to one part,
+    however long, so an entity with a sign lies in one part as a whole.
     """
-    done = 0
+    lo, last, reach = -1, 0, 0
     for m in _TRIGGER.finditer(text):
-        if m.start() < done:
+        if lo >= 0 and m.start() - last > AFTER:
+            reach = _ahead(text, last)
+            if m.start() > reach and (start := _back(text, m.start(), reach)) > reach:
+                yield lo, reach
+                lo = start
+        elif lo < 0:
+            lo = _back(text, m.start(), 0)
+        last = m.end()
+    if lo >= 0:
+        yield lo, _ahead(text, last)
+
+
+def decode_part(text: str, lo: int, hi: int, model: SegmentField) -> Iterator[tuple[int, int, int]]:
+    """Entities of one part, read in pieces that overlap.
+
+    A piece stands up to its last boundary that _SETTLED tokens follow; the next
+    piece goes on there, and sees the tokens before.
+    """
+    begin, size, kind = lo, PIECE, OUT
+    seen = lo  # where the tokens begin that are shown before
+    while begin < hi:
+        end = min(hi, begin + size)
+        found = list(_TOKEN.finditer(text, seen, end))
+        s = Stretch([t[0] for t in found], [t.start() for t in found], [t.end() for t in found])
+        first = next(k for k, t in enumerate(s.start) if t >= begin)
+        settled = len(s.words) if end == hi else len(s.words) - _SETTLED
+        if settled <= first:
+            size *= 2  # a few very long tokens
             continue
-        lo = max(done, m.start() - 40)
-        if lo > done:
-            space = text.find(" ", lo, m.start())
-            lo = space + 1 if space >= 0 else lo
-        hi = m.end()
-        while True:  # further signs close by belong to the same part
-            near = _TRIGGER.search(text, hi, hi + 24)
-            if not near or near.end() - m.start() > 200:
-                break
-            hi = near.end()
-        hi = min(len(text), hi + 44)
-        found = [t for t in _TOKEN.finditer(text, lo, hi)]
-        yield Stretch([t[0] for t in found], [t.start() for t in found], [t.end() for t in found])
-        done = hi
+        segments = model.segments(s, first, kind)
+        stand = [x for x in segments if x[2] <= settled]
+        if not stand:
+            size *= 2
+            continue
+        while end < hi and len(stand) > 1 and stand[-1][0] != OUT:
+            stand.pop()
+        for y, i, j in stand:
+            if y != OUT:
+                yield y, s.start[i], s.end[j - 1]
+        kind, _, j = stand[-1]
+        begin, seen, size = s.end[j - 1], s.start[max(0, j - 3)], PIECE
 
 
 def _shape(s: str) -> str:
@@ -126,24 +180,26 @@ class Spans:
     names: list[list[str]]
 
 
-def candidates(s: Stretch) -> Spans:
-    """Single tokens, and segments up to LONGEST tokens on one line that begin and end on a sign, digit or letter and hold a digit."""
+def candidates(s: Stretch, begin: int = 0) -> Spans:
+    """Single tokens, and segments up to LONGEST tokens on one line that begin and end on a sign, digit or letter and hold a digit or a spelled-out mail."""
     first, last, names = [], [], []
     n = len(s.words)
-    for i in range(n):
+    for i in range(begin, n):
         w = s.words[i]
         first.append(i)
         last.append(i + 1)
         names.append(_features(s, i, i + 1))
         if w.isspace() or not (w[0].isalnum() or w in "+(\"'"):
             continue
-        digit = False
+        digit = at = dot = False
         for j in range(i + 1, min(n, i + LONGEST) + 1):
             t = s.words[j - 1]
             if t == "\n":
                 break
+            at = at or (j > i + 1 and t.lower() == "at")
+            dot = dot or (at and t.lower() == "dot")
             digit = digit or _DIGIT.search(t) is not None
-            if j > i + 1 and digit and (t[-1].isalnum() or t in ")\"'"):
+            if j > i + 1 and (digit or (dot and t.lower() in _ENDINGS)) and (t[-1].isalnum() or t in ")\"'"):
                 first.append(i)
                 last.append(j)
                 names.append(_features(s, i, j))
@@ -189,13 +245,13 @@ class SegmentField:
         out[long, OUT] = -np.inf
         return out
 
-    def decode(self, s: Stretch) -> list[tuple[int, int, int]]:
-        """The best segmentation's entities (kind, start, end)."""
-        spans = candidates(s)
+    def segments(self, s: Stretch, begin: int = 0, kind: int = OUT) -> list[tuple[int, int, int]]:
+        """The best segmentation (kind, first token, one past the last) from token ``begin`` on, where ``kind`` ends."""
+        spans = candidates(s, begin)
         score = self.scores(spans)
         n = len(s.words)
         best = np.full((n + 1, OUT + 1), -np.inf)
-        best[0, OUT] = 0.0
+        best[begin, kind] = 0.0
         back: dict[tuple[int, int], tuple[int, int]] = {}
         order = sorted(range(len(spans.first)), key=lambda k: spans.first[k])
         for k in order:
@@ -209,10 +265,9 @@ class SegmentField:
                     best[j, y] = total[y]
                     back[j, int(y)] = (i, int(came[y]))
         out, j, y = [], n, int(best[n].argmax())
-        while j > 0:
+        while j > begin:
             i, x = back[j, y]
-            if y != OUT:
-                out.append((y, s.start[i], s.end[j - 1]))
+            out.append((y, i, j))
             j, y = i, x
         return out[::-1]
 
@@ -235,7 +290,7 @@ def _examples(count: int, seed: int) -> Iterator[tuple[str, list[tuple[int, int,
             name, host = word() + rng.choice(["", ".", "_"]) + digits(rng.randint(0, 3)), word() + rng.choice(["", digits(1)])
             if rng.random() < 0.7:
                 return 0, f"{name}{rng.choice(['', word()])}@{host}.{rng.choice(['com', 'org', 'example.com', 'net'])}"
-            return 0, f"{word()}{digits(2)} at {host} dot {rng.choice(['com', 'org', 'net'])}"
+            return 0, f"{word()}{digits(rng.choice([0, 2, 2]))} at {host} dot {rng.choice(['com', 'org', 'net'])}"
         if kind == 1:
             return 1, ".".join(str(rng.randint(0, 255)) for _ in range(4))
         if kind == 2:
@@ -343,7 +398,7 @@ def _expected(first: np.ndarray, last: np.ndarray, score: np.ndarray, follow: np
     return marg, pair
 
 
-_SIGNS = re.compile(r"[0-9@]|=[ \t]*[\"']")
+_SIGNS = re.compile(r"[0-9@]|=[ \t]*[\"']|\bat[ \t]+[^\W_]+[ \t]+dot[ \t]", re.I)
 
 
 def all_spans(text: str | None, model: SegmentField) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]]]:
@@ -355,8 +410,8 @@ def all_spans(text: str | None, model: SegmentField) -> tuple[list[tuple[int, in
     starts = np.array([a for a, _ in taken])
     reach = np.maximum.accumulate(np.array([b for _, b in taken])) if taken else starts
     added = []
-    for s in stretches(text):
-        for y, a, b in model.decode(s):
+    for lo, hi in stretches(text):
+        for y, a, b in decode_part(text, lo, hi, model):
             k = int(np.searchsorted(starts, b)) if taken else 0
             if k == 0 or reach[k - 1] <= a:
                 added.append((y, a, b))

@@ -127,6 +127,21 @@ def test_field_finds_what_patterns_do_not():
     assert len(base) == 2 and not added
 
 
+def test_entities_are_not_cut_between_stretches():
+    model = pe.train_field()
+    told = lambda text: [(pe.KINDS[y], text[a:b]) for y, a, b in pe.all_spans(text, model)[1]]
+    assert told("In 2024 please call our new office line (017) 555-7713 today") == [("phone", "(017) 555-7713")]
+    secret = '"03dbebab91ab85687d33eeaaf9ac699e1188f962"'
+    for pad in range(20, 60):
+        before = ("words of no note at all and some more of them " * 2)[:pad]
+        assert ("secret", secret) in told(f"in 2024 {before} api token = {secret} is it"), pad
+        assert ("phone", "(017) 555-7713") in told(f"in 2024 {before} call (017) 555-7713 today"), pad
+    many = "call (017) 555-7713 today or so, " * 400
+    assert told(many) == [("phone", "(017) 555-7713")] * 400
+    assert told("write to annabel at wonder dot com today") == [("email", "annabel at wonder dot com")]
+    assert told("we looked at the dot on the wall and at a dot of ink") == []
+
+
 def test_personal_of_odd_rows(docs_of):
     model = pe.train_field(60, 1)
     out = pe.find_personal(docs_of([*ODD, (6, "1" * 100_000), (7, "@" * 50_000), (8, "a@" * 20_000), (9, "+1 (" * 20_000)]), model).collect()
