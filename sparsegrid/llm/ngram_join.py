@@ -3,21 +3,25 @@
 Steps, each one distributed:
 
 1. every text becomes the set of its distinct word n-grams (64-bit hashes);
-   equal sets form a class, of which one member goes on;
-2. a fixed-size count sketch over the n-grams of all texts gives the order
+   equal sets form a class, named by its smallest doc_id;
+2. a count sketch of fixed size over the n-grams of all texts gives the order
    "rare first": (level of the sketched count, hash).  Any total order keeps the
    prefix filter exact; this one keeps frequent n-grams out of the prefixes;
-3. classes with the same prefix and the same size form a group; groups meet on
-   the n-grams of their prefixes;
-4. in buckets of at most ``small`` groups the pairs that pass the size and
-   position filters are taken as they are; in larger ones stars (every group
-   against one pivot of each of its buckets) find nearly all components without
-   listing the pairs of a bucket;
-5. the pairs of groups of larger buckets that still lie in different components
-   and pass the filters are expanded to their members and verified.
+3. classes with the same prefix and the same size form a group, led by its
+   smallest doc_id; groups meet on the n-grams of their prefixes;
+4. first round: the leads of groups that meet in buckets of at most ``small``
+   groups and pass the size and position filters; in larger buckets stars (every
+   group against one pivot of each of its buckets); in every group its members
+   against its lead.  Verified links are contracted to components;
+5. second round: of the groups that meet, and of the members of groups, those
+   that still lie in different components and pass the filters are expanded to
+   their members and verified; what is found joins the components.
 
 Verification is exact on whole sets.  What is returned are components and class
 membership: pairs within one component are not listed.
+
+Joins are sort-merge joins: nothing that grows with the input is broadcast, but
+for the ids of at most ``few`` pairs, which are counted first.
 """
 
 from __future__ import annotations
@@ -27,15 +31,17 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from sparsegrid.llm.graph import components
+from sparsegrid.llm.graph import EDGES, components_of, forest_of, local_forest
 from sparsegrid.llm.textkernel import SPACED, mix64, words_of
-from sparsegrid.plans.lineage import cut_and_release, release
+from sparsegrid.plans.lineage import cut_and_release
 
 SKETCH_BITS = 22
 _BLOCK_BITS = 17
+_FAN = 1024  # sketches of tasks are summed in that many groups first
 _ODD = np.array([0x8F3A1234567B1D4D, 0x1234567FEDCBA987, 0xC7777ABC12398711, 0x3456789ABCDEF12B], dtype=np.uint64)
 _STEP = np.uint64(0x9FB21C651E98DF25)
 
@@ -70,20 +76,35 @@ def _sketch_parts(n: int):
             for s in shingle_sets(batch.column(0), n):
                 np.add.at(counts, (s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), np.uint32(1))
         blocks = counts.reshape(-1, 1 << _BLOCK_BITS)
-        packed = [zlib.compress(b.astype("<u4").tobytes(), 1) for b in blocks]
-        yield pa.RecordBatch.from_arrays([pa.array(range(len(packed)), pa.int32()), pa.array(packed, pa.binary())], ["block", "counts"])
+        task = TaskContext.get().partitionId() % _FAN
+        yield _sketch_rows({(k, task): b for k, b in enumerate(blocks)})
 
     return run
 
 
+def _sketch_rows(blocks: dict[tuple[int, int], np.ndarray]) -> pa.RecordBatch:
+    packed = [zlib.compress(b.astype("<u8").tobytes(), 1) for b in blocks.values()]
+    return pa.RecordBatch.from_arrays([pa.array([k for k, _ in blocks], pa.int32()), pa.array([t for _, t in blocks], pa.int32()), pa.array(packed, pa.binary())], ["block", "task", "counts"])
+
+
 def _sketch_sums(batches):
-    total: dict[int, np.ndarray] = {}
+    """The counts of each block summed by group of tasks."""
+    yield _sketch_rows(_summed(batches))
+
+
+def _sketch_levels(batches):
+    """The levels of each block, from the sums of all groups of tasks."""
+    total = _summed(batches)
+    yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in total], pa.int32()), pa.array([_levels(b).tobytes() for b in total.values()], pa.binary())], ["block", "levels"])
+
+
+def _summed(batches) -> dict[tuple[int, int], np.ndarray]:
+    total: dict[tuple[int, int], np.ndarray] = {}
     for batch in batches:
-        for block, counts in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-            part = np.frombuffer(zlib.decompress(counts.as_py()), "<u4").astype(np.int64)
-            total[block] = total[block] + part if block in total else part
-    keys = sorted(total)
-    yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int32()), pa.array([_levels(total[k]).tobytes() for k in keys], pa.binary())], ["block", "levels"])
+        for block, task, counts in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+            part = np.frombuffer(zlib.decompress(counts.as_py()), "<u8")
+            total[block, task] = total[block, task] + part if (block, task) in total else part
+    return total
 
 
 def _levels(counts: np.ndarray) -> np.ndarray:
@@ -94,17 +115,23 @@ def frequency_levels(texts: DataFrame, n: int) -> np.ndarray:
     """For each bucket of n-gram hashes, the quarter-octave of its count over all texts.
 
     2**SKETCH_BITS bytes whatever the input: the only thing that the driver
-    gathers and broadcasts.
+    gathers and broadcasts.  The tasks' sketches are summed in two steps, so no
+    reducer reads more than a share of them.
     """
-    parts = texts.mapInArrow(_sketch_parts(n), "block int, counts binary")
-    blocks = (1 << SKETCH_BITS) >> _BLOCK_BITS
-    sums = parts.repartition(blocks, "block").mapInArrow(_sketch_sums, "block int, levels binary")
+    shape = "block int, task int, counts binary"
+    parts = texts.mapInArrow(_sketch_parts(n), shape).repartition("block", "task").mapInArrow(_sketch_sums, shape)
+    levels = parts.select("block", F.lit(0).alias("task"), "counts").repartition("block").mapInArrow(_sketch_levels, "block int, levels binary")
     out = np.zeros(1 << SKETCH_BITS, np.uint8)
-    for row in sums.collect():
+    for row in levels.collect():
         out[row.block << _BLOCK_BITS : (row.block + 1) << _BLOCK_BITS] = np.frombuffer(row.levels, np.uint8)
     return out
 
 
+def class_key(s: np.ndarray) -> int:
+    """A 64-bit name of a set."""
+    return int(mix64(mix64(s).sum(dtype=np.uint64, keepdims=True) + np.uint64(len(s)))[0].astype(np.int64))
+
+
 def _signatures(levels, n: int, num: int, den: int):
     """Per text: set size, class key, group key and prefix."""
 
@@ -118,7 +145,7 @@ def _signatures(levels, n: int, num: int, den: int):
                 p = prefix_length(len(s), num, den)
                 keys = np.sort(np.partition(keys, p - 1)[:p]) if p else keys
                 size.append(len(s))
-                cls.append(int(mix64(mix64(s).sum(dtype=np.uint64, keepdims=True) + np.uint64(len(s)))[0].astype(np.int64)))
+                cls.append(class_key(s))
                 grp.append(int(mix64(mix64(keys).sum(dtype=np.uint64, keepdims=True) ^ np.uint64(len(s)))[0].astype(np.int64)))
                 prefix.append(keys.astype(np.int64))
             yield pa.RecordBatch.from_arrays(
@@ -130,56 +157,63 @@ def _signatures(levels, n: int, num: int, den: int):
 
 
 def _verified(n: int, num: int, den: int):
-    """Streams blocks of (left text, then its partners) and keeps the true links."""
+    """Streams blocks of (left texts, then their partners) and gives the forest of the true links.
+
+    An id may stand for several texts; they count as one document.
+    """
 
     def run(batches):
-        left, left_key = None, None
+        left, known, left_id = [], set(), None
+        ends = [], []
         for batch in batches:
-            a, b, expect = (batch.column(i).to_pylist() for i in (0, 2, 4))
-            oa, ob = [], []
-            for i, s in enumerate(shingle_sets(batch.column(3), n)):
-                key = int(mix64(mix64(s).sum(dtype=np.uint64, keepdims=True) + np.uint64(len(s)))[0].astype(np.int64))
-                if key != expect[i]:
-                    continue  # another text under the same id
+            a, b, x, y = (batch.column(c).to_pylist() for c in ("a", "b", "na", "nb"))
+            for i, s in enumerate(shingle_sets(batch.column("text"), n)):
                 if b[i] is None:
-                    left, left_key = s, a[i]
-                elif left_key == a[i]:
-                    at = np.searchsorted(left, s)
-                    at[at == len(left)] = 0
-                    common = int(np.count_nonzero(left[at] == s))
-                    if den * common >= num * (len(left) + len(s) - common):
-                        oa.append(a[i])
-                        ob.append(b[i])
-            yield pa.RecordBatch.from_arrays([pa.array(oa, pa.int64()), pa.array(ob, pa.int64())], ["a", "b"])
+                    if left_id != a[i]:
+                        left, known, left_id = [], set(), a[i]
+                    if (key := class_key(s)) not in known:
+                        known.add(key)
+                        left.append(s)
+                elif left_id == a[i] and any(_similar(t, s, num, den) for t in left):
+                    ends[0].append(x[i])
+                    ends[1].append(y[i])
+        yield forest_of(*(np.array(e, np.int64) for e in ends))
 
     return run
 
 
-def _verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, n: int, num: int, den: int, per_task: int = 256, few: int = 200_000) -> DataFrame:
-    """Those pairs (a, b) of classes, given with their lineage cut, that are linked.
+def _similar(s: np.ndarray, t: np.ndarray, num: int, den: int) -> bool:
+    if not len(s) or not len(t):
+        return False
+    at = np.searchsorted(s, t)
+    at[at == len(s)] = 0
+    common = int(np.count_nonzero(s[at] == t))
+    return den * common >= num * (len(s) + len(t) - common)
 
-    Left texts with many partners are sent to several tasks.  While the pairs
-    are few (counted here) their ids go to the texts, else the texts are dealt.
+
+def _verify(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int, few: int, per_task: int = 256) -> DataFrame:
+    """The forest (child, parent) of the links among pairs (a, b, na, nb), given with their lineage cut.
+
+    a and b are documents, na and nb the vertices that stand for them.  Left
+    texts with many partners are sent to several tasks.  While the pairs are few
+    (counted here) their ids go to the texts, else the texts are dealt.
     """
     n_pairs = pairs.count()
-    if not n_pairs:
-        return pairs
     tasks = pairs.groupBy("a").agg(F.ceil(F.count("*") / per_task).alias("tasks"))
-    salted = pairs.join(tasks, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("tasks")).alias("salt"))
+    salted = pairs.join(tasks.hint("merge"), "a").select("a", F.pmod(F.xxhash64("b"), F.col("tasks")).alias("salt"), "b", "na", "nb", F.col("b").alias("doc"))
+    none = F.lit(None).cast("long")
+    lefts = tasks.select("a", F.explode(F.sequence(F.lit(0).cast("long"), F.col("tasks") - 1)).alias("salt")).select("a", "salt", none.alias("b"), none.alias("na"), none.alias("nb"), F.col("a").alias("doc"))
+    need = salted.union(lefts)
     text = docs.select(F.col("doc_id").alias("doc"), "text")
-    known = nodes.select(F.col("cls").alias("node"), "doc")
-    need = salted.select("a", "salt", F.col("b"), F.col("b").alias("node")).union(salted.select("a", "salt").distinct().select("a", "salt", F.lit(None).cast("long").alias("b"), F.col("a").alias("node")))
-    need = need.join(known, "node")
     if n_pairs <= few:
-        text = text.join(F.broadcast(need.select("doc").distinct()), "doc")  # 2 * few ids at most
-    rows = need.join(text, "doc").select("a", "salt", "b", "text", F.col("node").alias("expect"))
+        ids = pairs.select(F.explode(F.array("a", "b")).alias("doc")).distinct()
+        text = text.join(F.broadcast(ids), "doc")  # 2 * few ids at most
+    rows = need.join(text.hint("merge"), "doc").select("a", "salt", "b", "na", "nb", "text")
     dealt = rows.repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
-    links = cut_and_release(dealt.mapInArrow(_verified(n, num, den), "a long, b long").distinct())
-    release(docs.sparkSession)
-    return links
+    return dealt.mapInArrow(_verified(n, num, den), EDGES)
 
 
-def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, small: int = 32, star_rounds: int = 1) -> DataFrame:
+def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, small: int = 32, few: int = 200_000) -> DataFrame:
     """One row per row of ``docs`` (doc_id, text): doc_id, size, component.
 
     ``size`` is the number of distinct word n-grams (whole sequence where there
@@ -187,109 +221,85 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     the smallest doc_id that links reach; two texts link where
     ``den * |intersection| >= num * |union|``.  Other columns of ``docs`` are
     ignored.  Rows with a null doc_id get their size and no component and link
-    with nothing; repeated rows come back as often as they are there; an empty
-    table gives no rows.
+    with nothing; repeated rows come back as often as they are there; rows that
+    share an id are one document, reached through the links of each of its texts
+    with words; an empty table gives no rows.
     """
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     levels = spark.sparkContext.broadcast(frequency_levels(docs.select("text"), n))
     sign = cut_and_release(docs.mapInArrow(_signatures(levels, n, num, den), "doc_id long, size long, cls long, grp long, prefix array<long>"))
-
-    nodes = sign.where("size > 0 and doc_id is not null").groupBy("cls", "grp", "size").agg(F.min("doc_id").alias("doc"))
-    nodes = cut_and_release(nodes)
-    groups = nodes.groupBy("grp", "size").agg(F.min(F.struct("doc", "cls")).alias("lead"), F.count("*").alias("members"))
-    groups = groups.select("grp", "size", "members", F.col("lead.doc").alias("doc"), F.col("lead.cls").alias("lead"))
-    leads = sign.select(F.col("doc_id").alias("doc"), "cls", "prefix").join(groups, "doc").where("cls = lead").dropDuplicates(["doc", "cls"])
-    postings = leads.select("grp", "lead", "size", F.posexplode("prefix").alias("pos", "key")).repartition("key")
-    shared = postings.groupBy("key").agg(F.count("*").alias("k")).where("k > 1").select("key", "k")
-    postings = cut_and_release(postings.join(shared, "key").select("key", "grp", "lead", "size", "pos", (F.col("k") > small).alias("large")))
-    # of a prefix's n-grams before one that is shared those that no other group has there cannot be common
-    before = Window.partitionBy("grp", "size").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
-    postings = postings.withColumn("lost", F.col("pos") - F.count("key").over(before)).withColumn("big", F.coalesce(F.sum(F.col("large").cast("int")).over(before), F.lit(0)))
-    postings = cut_and_release(postings)
-    release(spark)
+    worded = sign.where("size > 0 and doc_id is not null")
+    classes = cut_and_release(worded.groupBy("grp", "size", "cls").agg(F.min("doc_id").alias("doc")))
+    several = classes.groupBy("grp", "size").agg(F.min("doc").alias("lead"), F.count("*").alias("members")).where("members > 1").drop("members")
+    multi = cut_and_release(classes.join(several.hint("merge"), ["grp", "size"]).select("grp", "size", "doc", "lead"))
+    postings = cut_and_release(_postings(worded, small))
     large = postings.where("large").drop("large")
+    some_multi, some_large = not multi.isEmpty(), not large.isEmpty()
 
-    tried = _stars_within_groups(nodes, groups).union(_pairs_of_small(postings.where("not large"), nodes, num, den))
-    some_large = not large.isEmpty()
-    if some_large:
-        tried = tried.union(_stars(_unsettled(large, nodes, None), num, den, 0))
-    tried = cut_and_release(tried.distinct())
-    links = _verify(tried, nodes, docs, n, num, den)
-    labels = components(links)
+    near = cut_and_release(_meeting_in_small(postings.where("not large"), num, den))
+    tried = near.select("a", "b").union(multi.select(F.col("lead").alias("a"), F.col("doc").alias("b")))
     if some_large:
-        for turn in range(1, star_rounds):
-            stars = cut_and_release(_stars(_unsettled(large, nodes, labels), num, den, turn).join(tried, ["a", "b"], "left_anti"))
-            links = links.union(_verify(stars, nodes, docs, n, num, den))
-            labels = components(links)
-            tried = tried.union(stars)
-        rest = cut_and_release(_remaining(_unsettled(large, nodes, labels), nodes, labels, num, den).join(tried, ["a", "b"], "left_anti"))
-        found = _verify(rest, nodes, docs, n, num, den)
-        labels = components(links.union(found)) if not found.isEmpty() else labels
-    rest = cut_and_release(_split_groups(nodes, groups, labels).join(tried, ["a", "b"], "left_anti"))
-    found_within = _verify(rest, nodes, docs, n, num, den)
-    if not found_within.isEmpty():
-        labels = components(labels.select(F.col("vertex").alias("a"), F.col("label").alias("b")).union(found_within))
-
-    placed = nodes.select("cls", "doc").join(labels.select(F.col("vertex").alias("cls"), "label"), "cls", "left").select("cls", "doc", F.coalesce("label", "cls").alias("label"))
-    least = placed.groupBy("label").agg(F.min("doc").alias("component"))
-    member = placed.join(least, "label").select("cls", "component")
-    alone = F.when(F.col("doc_id").isNull(), None).otherwise(F.col("doc_id"))
-    return sign.select("doc_id", "size", "cls").join(member, "cls", "left").select("doc_id", "size", F.when((F.col("size") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(alone).alias("component"))
-
-
-def _stars_within_groups(nodes: DataFrame, groups: DataFrame) -> DataFrame:
-    """The members of a group against the group's first class."""
-    return nodes.join(groups.where("members > 1").select("grp", "size", "lead"), ["grp", "size"]).where("cls <> lead").select(F.col("lead").alias("a"), F.col("cls").alias("b"))
-
-
-def _split_groups(nodes: DataFrame, groups: DataFrame, labels: DataFrame) -> DataFrame:
-    """The pairs of classes of one group (same prefix, same size) that lie in different components."""
-    several = _labelled(nodes.join(groups.where("members > 1").select("grp", "size"), ["grp", "size"], "left_semi"), labels)
-    x, y = several.alias("x"), several.alias("y")
-    met = x.join(y, (F.col("x.grp") == F.col("y.grp")) & (F.col("x.size") == F.col("y.size")) & (F.col("x.label") != F.col("y.label")) & (F.col("x.cls") < F.col("y.cls")))
-    return met.select(F.col("x.cls").alias("a"), F.col("y.cls").alias("b"))
-
-
-def _pairs_of_small(postings: DataFrame, nodes: DataFrame, num: int, den: int) -> DataFrame:
-    """All pairs of classes whose groups meet in a small bucket and can be linked.
+        tried = tried.union(_stars(large, num, den))
+    tried = cut_and_release(tried.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    same = _one_id_several_texts(worded, classes)
+    found = _verify(tried.select("*", F.col("a").alias("na"), F.col("b").alias("nb")), docs, n, num, den, few)
+    labels = components_of(found if same is None else found.union(same))
+
+    rest = _apart(large if some_large else None, near, multi if some_multi else None, labels, num, den)
+    placed = _labelled(classes.select("cls", "doc"), "doc", labels, "label")
+    if rest is not None:
+        rest = cut_and_release(rest.join(tried.hint("merge"), ["a", "b"], "left_anti"))
+        if not rest.isEmpty():
+            more = components_of(_verify(rest, docs, n, num, den, few))
+            placed = _labelled(placed, "label", more, "label")
+    member = placed.select("cls", F.col("label").alias("component"))
+    has = (F.col("size") > 0) & F.col("doc_id").isNotNull()
+    return sign.select("doc_id", "size", "cls").join(member.hint("merge"), "cls", "left").select("doc_id", "size", F.when(has, F.col("component")).otherwise(F.col("doc_id")).alias("component"))
+
+
+def _one_id_several_texts(worded: DataFrame, classes: DataFrame) -> DataFrame | None:
+    """Edges that make the classes of one id one vertex; None where no id has several."""
+    twice = cut_and_release(worded.groupBy("doc_id").agg(F.min("cls").alias("lo"), F.max("cls").alias("hi")).where("lo <> hi").select("doc_id"))
+    if twice.isEmpty():
+        return None
+    own = worded.select("doc_id", "cls").join(twice.hint("merge"), "doc_id", "left_semi").join(classes.select("cls", "doc").hint("merge"), "cls")
+    return own.where("doc_id <> doc").select(F.col("doc_id").alias("a"), F.col("doc").alias("b")).mapInArrow(local_forest, EDGES)
+
+
+def _postings(worded: DataFrame, small: int) -> DataFrame:
+    """(key, grp, size, lead, pos, large, lost, big): the n-grams of prefixes that several groups have there.
+
+    Of a prefix's n-grams before one that is shared those that no other group has
+    there cannot be common (``lost`` of them); ``big`` counts those before it in
+    large buckets.
+    """
+    groups = cut_and_release(worded.groupBy("grp", "size").agg(F.min("doc_id").alias("lead"), F.first("prefix").alias("prefix")))
+    single = groups.select("grp", "size", "lead", F.posexplode("prefix").alias("pos", "key"))
+    shared = groups.select(F.explode("prefix").alias("key")).groupBy("key").agg(F.count("*").alias("k")).where("k > 1")
+    met = single.join(shared.hint("merge"), "key").select("key", "grp", "size", "lead", "pos", (F.col("k") > small).alias("large"))
+    before = Window.partitionBy("grp", "size").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
+    return met.withColumn("lost", F.col("pos") - F.count("key").over(before)).withColumn("big", F.coalesce(F.sum(F.col("large").cast("int")).over(before), F.lit(0)))
+
+
+def _meeting_in_small(postings: DataFrame, num: int, den: int) -> DataFrame:
+    """(ga, sa, a, gb, sb, b): all pairs of groups, with their leads, that meet in a small bucket and can be linked.
 
     Up to the last n-gram they share there, only the shared ones and those in
     large buckets can be common.
     """
-    met = postings.alias("x").join(postings.alias("y"), "key").where("x.lead < y.lead").where(_sizes_fit(num, den))
-    names = [F.col("x.grp").alias("ga"), F.col("x.size").alias("sa"), F.col("y.grp").alias("gb"), F.col("y.size").alias("sb")]
+    met = postings.alias("x").join(postings.alias("y").hint("merge"), "key").where("x.grp < y.grp or (x.grp = y.grp and x.size < y.size)").where(_sizes_fit(num, den))
+    names = [F.col("x.grp").alias("ga"), F.col("x.size").alias("sa"), F.col("x.lead").alias("a"), F.col("y.grp").alias("gb"), F.col("y.size").alias("sb"), F.col("y.lead").alias("b")]
     pairs = met.groupBy(*names).agg(F.count("*").alias("k"), F.max("x.pos").alias("xp"), F.max("y.pos").alias("yp"), F.max("x.big").alias("xb"), F.max("y.big").alias("yb"))
     most = F.col("k") + F.least("xb", "yb") + F.least(F.col("sa") - F.col("xp") - 1, F.col("sb") - F.col("yp") - 1)
-    pairs = pairs.where(most >= _needed(F.col("sa"), F.col("sb"), num, den)).select("ga", "sa", "gb", "sb")
-    return _members(pairs, nodes.select("grp", "size", "cls")).select("a", "b")
-
+    return pairs.where(most >= _needed(F.col("sa"), F.col("sb"), num, den)).select("ga", "sa", "a", "gb", "sb", "b")
 
-def _members(pairs: DataFrame, of: DataFrame) -> DataFrame:
-    """Pairs of groups expanded to pairs of their classes; further columns of ``of`` come twice, with 1 and 2 at the end."""
-    more = [c for c in of.columns if c not in ("grp", "size", "cls")]
-    xs = of.select(F.col("grp").alias("ga"), F.col("size").alias("sa"), F.col("cls").alias("ca"), *[F.col(c).alias(f"{c}1") for c in more])
-    ys = of.select(F.col("grp").alias("gb"), F.col("size").alias("sb"), F.col("cls").alias("cb"), *[F.col(c).alias(f"{c}2") for c in more])
-    both = pairs.join(xs, ["ga", "sa"]).join(ys, ["gb", "sb"])
-    return both.select(F.least("ca", "cb").alias("a"), F.greatest("ca", "cb").alias("b"), *[f"{c}{k}" for c in more for k in (1, 2)])
 
-
-def _labelled(nodes: DataFrame, labels: DataFrame | None) -> DataFrame:
-    """Classes with the label of their component so far; at first each is its own."""
-    if labels is None:
-        return nodes.select("cls", "grp", "size", F.col("cls").alias("label"))
-    return nodes.join(labels.select(F.col("vertex").alias("cls"), "label"), "cls", "left").select("cls", "grp", "size", F.coalesce("label", "cls").alias("label"))
-
-
-def _unsettled(postings: DataFrame, nodes: DataFrame, labels: DataFrame | None) -> DataFrame:
-    """Postings of the buckets whose groups do not all lie in one component, with the component of each group.
-
-    A group whose members lie in several components has its own ``split`` mark.
-    """
-    of = _labelled(nodes, labels).groupBy("grp", "size").agg(F.min("label").alias("comp"), (F.min("label") != F.max("label")).alias("split"))
-    all_ = postings.join(of, ["grp", "size"])
-    open_ = all_.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.max("split").alias("any")).where("lo <> hi or any").select("key")
-    return all_.join(open_, "key")
+def _labelled(rows: DataFrame, vertex: str, labels: DataFrame, name: str) -> DataFrame:
+    """``rows`` with ``name``: the label of the column ``vertex``, or the vertex itself where it has none."""
+    told = labels.select(F.col("vertex").alias("vertex_"), F.col("label").alias("label_")).hint("merge")
+    out = rows.join(told, rows[vertex] == F.col("vertex_"), "left").withColumn("named_", F.coalesce("label_", vertex))
+    return out.select(*[c for c in rows.columns if c != name], F.col("named_").alias(name))
 
 
 def _band(num: int, den: int):
@@ -316,30 +326,63 @@ def _fits(num: int, den: int):
     return _sizes_fit(num, den) & (most >= _needed(F.col("x.size"), F.col("y.size"), num, den))
 
 
-def _stars(open_: DataFrame, num: int, den: int, turn: int) -> DataFrame:
-    """For every group the two pivots that it shares most n-grams with, one pivot for each bucket and size band."""
-    banded = open_.withColumn("band", _band(num, den))
-    order = F.col("lost") if turn == 0 else F.xxhash64("lead", F.lit(turn))  # at first the group with most in common, later any
-    pivots = banded.groupBy("key", "band").agg(F.min(F.struct(order.cast("bigint").alias("o"), "lead", "size", "pos", "lost", "comp")).alias("p"))
-    pivots = pivots.select("key", F.explode(F.array("band", F.col("band") - 1)).alias("band"), "p.lead", "p.size", "p.pos", "p.lost", "p.comp")
-    met = pivots.alias("x").join(banded.alias("y"), ["key", "band"]).where("x.comp <> y.comp").where(_fits(num, den))
-    counted = met.groupBy(F.col("x.lead").alias("p"), F.col("y.lead").alias("l")).agg(F.count("*").alias("k"))
-    best = counted.groupBy("l").agg(F.max(F.struct("k", "p")).alias("first"))
-    second = counted.join(best, "l").where("p <> first.p").groupBy("l").agg(F.max(F.struct("k", "p")).alias("first"))
-    chosen = best.union(second).select(F.col("first.p").alias("a"), F.col("l").alias("b"))
-    return chosen.select(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y")).distinct().select(F.col("x").alias("a"), F.col("y").alias("b"))
+def _stars(postings: DataFrame, num: int, den: int) -> DataFrame:
+    """(a, b): for every group the two pivots that it shares most n-grams with, one pivot for each bucket and size band."""
+    banded = postings.withColumn("band", _band(num, den))
+    pivots = banded.groupBy("key", "band").agg(F.min(F.struct("lost", "lead", "size", "pos")).alias("p"))
+    pivots = pivots.select("key", F.explode(F.array("band", F.col("band") - 1)).alias("band"), "p.lead", "p.size", "p.pos")
+    met = pivots.alias("x").join(banded.alias("y").hint("merge"), ["key", "band"]).where("x.lead <> y.lead").where(_fits(num, den))
+    counted = met.groupBy(F.col("x.lead").alias("a"), F.col("y.lead").alias("b")).agg(F.count("*").alias("k"))
+    # a group has at most two pivots for each n-gram of its prefix
+    best = counted.groupBy("b").agg(F.slice(F.sort_array(F.collect_list(F.struct("k", "a")), False), 1, 2).alias("best"))
+    return best.select(F.explode("best.a").alias("a"), "b")
 
 
-def _remaining(open_: DataFrame, nodes: DataFrame, labels: DataFrame, num: int, den: int) -> DataFrame:
-    """All pairs of classes in different components whose groups meet and pass the filters.
+def _apart(large: DataFrame | None, near: DataFrame, multi: DataFrame | None, labels: DataFrame, num: int, den: int) -> DataFrame | None:
+    """(a, b, na, nb): pairs of documents that meet, can be linked and lie in different components na and nb.
 
-    Within a bucket only groups outside its largest component look for partners,
-    so a bucket that is one component but for a few groups costs a few rows a member.
+    Leads of groups that meet in large buckets; and where groups have several
+    members those of groups that meet anywhere, and those of one group.
+    """
+    out, meeting = [], near
+    held = _labelled(multi, "doc", labels, "label") if multi is not None else None
+    if large is not None:
+        split = held.groupBy("grp", "size").agg((F.min("label") != F.max("label")).alias("split")).where("split") if held is not None else None
+        pairs = _meeting_in_large(_labelled(large, "lead", labels, "comp"), split, num, den)
+        if held is not None:
+            pairs = cut_and_release(pairs)
+            meeting = near.union(pairs.select("ga", "sa", "a", "gb", "sb", "b"))
+        out.append(pairs.where("na <> nb").select("a", "b", "na", "nb"))
+    if held is not None:
+        held = cut_and_release(held.select("grp", "size", "doc", "label"))
+        of = lambda g, s, d: held.select(F.col("grp").alias(g), F.col("size").alias(s), F.col("doc").alias(d)).hint("merge")
+        both = meeting.join(of("ga", "sa", "da"), ["ga", "sa"], "left").join(of("gb", "sb", "db"), ["gb", "sb"], "left").where("da is not null or db is not null")
+        both = both.select(F.coalesce("da", "a").alias("a"), F.coalesce("db", "b").alias("b"))
+        out.append(_labelled(_labelled(both, "a", labels, "na"), "b", labels, "nb").where("na <> nb").select("a", "b", "na", "nb"))
+        own = held.alias("x").join(held.alias("y").hint("merge"), ["grp", "size"]).where("x.label < y.label")
+        out.append(own.select(F.col("x.doc").alias("a"), F.col("y.doc").alias("b"), F.col("x.label").alias("na"), F.col("y.label").alias("nb")))
+    if not out:
+        return None
+    rest = out[0]
+    for o in out[1:]:
+        rest = rest.union(o)
+    turned = F.col("a") > F.col("b")
+    ordered = rest.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(turned, F.col("nb")).otherwise(F.col("na")).alias("na"), F.when(turned, F.col("na")).otherwise(F.col("nb")).alias("nb"))
+    return ordered.distinct()
+
+
+def _meeting_in_large(postings: DataFrame, split: DataFrame | None, num: int, den: int) -> DataFrame:
+    """(ga, sa, a, na, gb, sb, b, nb): groups that meet in a large bucket, can be linked and lie in different components.
+
+    ``split`` names the groups whose members lie in several components.  Within a
+    bucket only groups outside its largest component look for partners, so a
+    bucket that is one component but for a few groups costs a few rows a member;
+    a bucket that is one component costs nothing.
     """
-    sizes = open_.groupBy("key", "comp").agg(F.count("*").alias("k"))
-    main = sizes.groupBy("key").agg(F.max(F.struct("k", "comp")).alias("m")).select("key", F.col("m.comp").alias("main"))
-    marked = open_.join(main, "key")
-    outside = marked.where("comp <> main or split")
-    met = outside.alias("x").join(marked.alias("y"), "key").where("(x.grp <> y.grp or x.size <> y.size) and (x.comp <> y.comp or x.split or y.split)").where(_fits(num, den))
-    pairs = met.select(F.col("x.grp").alias("ga"), F.col("x.size").alias("sa"), F.col("y.grp").alias("gb"), F.col("y.size").alias("sb")).distinct()
-    return _members(pairs, _labelled(nodes, labels)).where("label1 <> label2").select("a", "b").distinct()
+    marked = postings.withColumn("split", F.lit(False)) if split is None else postings.join(split.hint("merge"), ["grp", "size"], "left").withColumn("split", F.coalesce("split", F.lit(False)))
+    marked = cut_and_release(marked.select("key", "grp", "size", "lead", "pos", "comp", "split"))
+    sizes = marked.groupBy("key", "comp").agg(F.count("*").alias("k"), F.max("split").alias("split"))
+    open_ = sizes.groupBy("key").agg(F.max(F.struct("k", "comp")).alias("m"), F.count("*").alias("comps"), F.max("split").alias("any")).where("comps > 1 or any").select("key", F.col("m.comp").alias("main"))
+    marked = cut_and_release(marked.join(open_.hint("merge"), "key"))
+    met = marked.where("comp <> main or split").alias("x").join(marked.alias("y").hint("merge"), "key").where("(x.grp <> y.grp or x.size <> y.size) and (x.comp <> y.comp or x.split or y.split)").where(_fits(num, den))
+    return met.select(F.col("x.grp").alias("ga"), F.col("x.size").alias("sa"), F.col("x.lead").alias("a"), F.col("x.comp").alias("na"), F.col("y.grp").alias("gb"), F.col("y.size").alias("sb"), F.col("y.lead").alias("b"), F.col("y.comp").alias("nb")).distinct()

@@ -89,10 +89,10 @@ def near_rows(seed, groups=6, size=25, words=60):
     return rows
 
 
-@pytest.mark.parametrize("seed,small", [(1, 32), (2, 2), (3, 4)])
-def test_components_equal_brute_force(docs_of, seed, small):
+@pytest.mark.parametrize("seed,small,few", [(1, 32, 200_000), (2, 2, 0), (3, 4, 200_000), (4, 1, 0)])
+def test_components_equal_brute_force(docs_of, seed, small, few):
     rows = near_rows(seed)
-    got = {r.doc_id: (r["size"], r.component) for r in ngram_components(docs_of(rows), 4, 85, 100, small=small).collect()}
+    got = {r.doc_id: (r["size"], r.component) for r in ngram_components(docs_of(rows), 4, 85, 100, small=small, few=few).collect()}
     assert got == brute_components(rows, 4, 85, 100)
 
 
@@ -240,3 +240,39 @@ def test_decontamination_of_odd_rows(spark, docs_of):
     assert de.find_matches(docs_of(ODD), none).count() == len(ODD)
     assert de.remove_contaminated(docs_of(ODD), none).count() == len(ODD)
     assert de.find_matches(docs_of([]), none).count() == 0
+
+
+def test_members_of_groups_that_are_linked_though_their_leads_are_not(docs_of):
+    """Same prefixes and sizes, but the links run between other members than the first."""
+    rng = random.Random(8)
+    common = [f"c{k}" for k in range(60)]
+    rows = [(100 + k, " ".join(common[j] for j in rng.sample(range(60), 60))) for k in range(30)]  # makes the words frequent
+    rare = [f"r{k}" for k in range(8)]
+    for g in range(12):
+        tail = [common[(g * 5 + j) % 60] for j in range(30)]
+        for k in range(3):
+            own = list(tail)
+            own[7 * k : 7 * k + k] = own[7 * k : 7 * k + k][::-1]
+            rows.append((g * 3 + k, " ".join(rare + own)))
+    for small in (1, 32):
+        got = {r.doc_id: (r["size"], r.component) for r in ngram_components(docs_of(rows), 2, 60, 100, small=small).collect()}
+        assert got == brute_components(rows, 2, 60, 100)
+
+
+def test_an_id_with_several_texts_is_one_document(docs_of):
+    base = [f"w{k}" for k in range(40)]
+    other = [f"v{k}" for k in range(40)]
+    rows = [(1, " ".join(base)), (5, " ".join([*base, "x"])), (5, " ".join(other)), (3, " ".join([*other, "y"])), (9, "alone in the world")]
+    got = sorted((r.doc_id, r.component) for r in ngram_components(docs_of(rows)).collect())
+    assert got == [(1, 1), (3, 1), (5, 1), (5, 1), (9, 9)]
+
+
+def test_components_of_a_random_graph(spark):
+    rng = random.Random(3)
+    links = [(rng.randrange(400), rng.randrange(400)) for _ in range(330)]
+    got = {r.vertex: r.label for r in components(spark.createDataFrame(links, "a bigint, b bigint").repartition(7)).collect()}
+    label = {v: v for e in links for v in e}
+    for _ in range(400):
+        for a, b in links:
+            label[a] = label[b] = min(label[a], label[b])
+    assert got == {v: k for v, k in label.items() if any(v in e and e[0] != e[1] for e in links)}
