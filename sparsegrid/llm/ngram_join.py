@@ -199,7 +199,8 @@ def _verify(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int, few:
     (counted here) their ids go to the texts, else the texts are dealt.
     """
     n_pairs = pairs.count()
-    tasks = pairs.groupBy("a").agg(F.ceil(F.count("*") / per_task).alias("tasks"))
+    # a table of its own, so the join below deals a text with very many partners to several tasks
+    tasks = cut_and_release(pairs.groupBy("a").agg(F.ceil(F.count("*") / per_task).alias("tasks")))
     salted = pairs.join(tasks.hint("merge"), "a").select("a", F.pmod(F.xxhash64("b"), F.col("tasks")).alias("salt"), "b", "na", "nb", F.col("b").alias("doc"))
     none = F.lit(None).cast("long")
     lefts = tasks.select("a", F.explode(F.sequence(F.lit(0).cast("long"), F.col("tasks") - 1)).alias("salt")).select("a", "salt", none.alias("b"), none.alias("na"), none.alias("nb"), F.col("a").alias("doc"))
