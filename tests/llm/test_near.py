@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import random
 import re
+import time
 
 import numpy as np
 import pyarrow as pa
@@ -178,6 +179,26 @@ def test_line_dedup_equals_brute_force(docs_of, seed):
         assert got[i].n_lines == got[i].n_blank + got[i].n_kept + got[i].n_near + got[i].n_exact
 
 
+@pytest.mark.parametrize("many", [3, 1_000_000])
+def test_rows_that_share_an_id_are_told_apart(docs_of, many):
+    """Repeated ids with other texts, repeated rows, near copies under one id, and keys that many lines share."""
+    rng = random.Random(11)
+    base = " ".join(f"w{k}" for k in range(12))
+    rows = [(7, "\n".join([base, base.replace("w5", "other"), f"own line {k}"])) for k in range(4)] + [(7, "own line 1")] * 2
+    rows += [(k % 9, base.replace(f"w{k % 12}", f"x{rng.randrange(5)}")) for k in range(60)]
+    rows += [(1, f"{base}\n\n{base}"), (None, base), (3, None)]
+    order = lambda r: (r[0], hashes[r[1]])
+    docs = docs_of(rows)
+    hashes = {r.text: r.h for r in docs.selectExpr("text", "xxhash64(text) AS h").collect()}
+    own = sorted({r for r in rows if r[0] is not None and r[1] is not None}, key=order)
+    want = brute_lines([(i, t) for i, (_, t) in enumerate(own)], 8)
+    stays = {r: "\n".join(line for k, line in enumerate(r[1].split("\n")) if not line.strip() or want.get((i, k)) is False) for i, r in enumerate(own)}
+    expected = sorted((str(i), str(stays.get((i, t), t))) for i, t in rows)
+    assert sorted((str(r.doc_id), str(r.text)) for r in dedup_lines(docs, many=many).collect()) == expected
+    counts = line_counts(docs, many=many).collect()
+    assert len(counts) == len(rows) and all(min(r.n_kept, r.n_near, r.n_exact, r.n_blank) >= 0 for r in counts)
+
+
 def test_line_dedup_of_odd_rows(docs_of):
     docs = docs_of(ODD)
     out = dedup_lines(docs)
@@ -195,6 +216,15 @@ def test_a_very_long_line(docs_of):
     assert got == {1: (1, 0), 2: (0, 1), 3: (0, 1), 4: (1, 0)}
 
 
+def test_a_text_of_very_many_near_lines(docs_of):
+    words = [f"v{k}" for k in range(9)]
+    near = "\n".join(" ".join([*words, f"n{k}"]) for k in range(32_000))
+    began = time.monotonic()
+    assert [(r.n_kept, r.n_near) for r in line_counts(docs_of([(1, near)])).collect()] == [(1, 31_999)]
+    assert dedup_lines(docs_of([(1, near)])).first().text == " ".join([*words, "n0"])
+    assert time.monotonic() - began < 60
+
+
 ITEM = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 
 
