@@ -29,7 +29,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from sparsegrid.plans.lineage import cut_lineage
+from sparsegrid.plans.lineage import cut_and_release, cut_lineage
 
 SPACE = r"[\x20\x09-\x0D]+"
 WORDED = r"[^\x20\x09-\x0D]"
@@ -73,12 +73,12 @@ def _halves(words: Column, n: Column) -> Column:
 
 
 def _distinct_lines(docs: DataFrame, min_words: int) -> DataFrame:
-    """(h1, h2, doc_id, th, line, n, half0..half3): every distinct line where it is first; no halves for short ones."""
+    """(h1, doc_id, th, line, n, half0..half3): every distinct line where it is first; no halves for short ones."""
     words, n = F.col("words"), F.size("words")
     keyed = _lines(docs).select(F.xxhash64(words).alias("h1"), F.xxhash64(F.lit("line"), words).alias("h2"), n.alias("n"), F.struct(*ROW, "line").alias("at"), F.when(n >= min_words, _halves(words, n)).alias("halves"))
     keyed = keyed.select("h1", "h2", "n", "at", *[F.col("halves")[k].alias(f"half{k}") for k in range(4)])
     first = keyed.groupBy("h1", "h2").agg(F.min("at").alias("at"), F.min("n").alias("n"), *[F.min(f"half{k}").alias(f"half{k}") for k in range(4)])
-    return first.select("h1", "h2", "at.*", "n", *[f"half{k}" for k in range(4)])
+    return first.select("h1", "at.*", "n", *[f"half{k}" for k in range(4)])
 
 
 def _with_shared_half(distinct: DataFrame, many: int) -> DataFrame:
@@ -171,9 +171,9 @@ def _near(found: DataFrame, tasks: int, many: int) -> DataFrame:
 
 def marked_rows(docs: DataFrame, min_words: int = 8, many: int = 1_000_000) -> DataFrame:
     """(doc_id, th, mask, n_kept, n_near): for each row with words which of its lines stay, and how many went for an earlier neighbour."""
-    distinct = cut_lineage(_distinct_lines(docs, min_words))
+    distinct = cut_and_release(_distinct_lines(docs, min_words))
     wanted = _with_shared_half(distinct, many)
-    found = cut_lineage(_with_words(wanted, docs))
+    found = cut_and_release(_with_words(wanted, docs))
     session_tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     n_words = found.agg(F.sum(F.col("n").cast("long"))).first()[0] or 0
     near = wanted.join(_near(found, max(session_tasks, -(-n_words // _WORDS_A_TASK)), many), "ord").select(*ROW, "line", F.lit(True).alias("near"))
