@@ -95,12 +95,12 @@ def _featured(batches):
         )
 
 
-def train_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", fold: tuple[int, int] = (5, 0), max_rows: int = 3000) -> LinearModel:
-    """Fits the classifier on at most ``max_rows`` labelled rows outside the held-out fold.
+def train_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", fold: tuple[int, int] = (5, 0), max_rows: int = 3000, max_bytes: int = 16 << 20) -> LinearModel:
+    """Fits the classifier on at most ``max_rows`` labelled texts, together about ``max_bytes``, outside the held-out fold.
 
     Without any usable row the model is constant at 0.5.
     """
-    sample = labelled_sample(docs, labels, label, fold, max_rows, 11).select("doc_id", "label", "text")
+    sample = labelled_sample(docs, labels, label, fold, max_rows, max_bytes, 11).select("doc_id", "label", "text")
     rows = sample.mapInArrow(_featured, "doc_id long, label int, slot array<int>, value array<float>").toArrow().sort_by("doc_id")
     data = [(int(y), s, v) for y, s, v in zip(rows["label"].to_pylist(), rows["slot"].to_numpy(), rows["value"].to_numpy(), strict=True)]
     zero, one = class_shares(labels, label, fold)

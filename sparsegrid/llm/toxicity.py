@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsegrid.llm.sampling import class_shares, first_bytes, labelled_sample
+from sparsegrid.llm.sampling import class_shares, labelled_sample
 from sparsegrid.llm.textkernel import mix64
 
 SLOT_BITS = 16
@@ -184,8 +184,8 @@ def fit_subwords(texts: list[str], labels: list[int], dim: int = 6, window: int
 
 
 def train_toxicity(docs: DataFrame, labels: DataFrame, label: str = "toxic", fold: tuple[int, int] = (3, 1), max_rows: int = 3000, max_bytes: int = 16 << 20) -> SubwordModel:
-    """Fits on at most ``max_rows`` labelled texts, together at most ``max_bytes``, outside the held-out fold."""
-    rows = first_bytes(labelled_sample(docs, labels, label, fold, max_rows, 23), max_bytes).select("doc_id", "label", "text").toArrow().sort_by("doc_id")
+    """Fits on at most ``max_rows`` labelled texts, together about ``max_bytes``, outside the held-out fold."""
+    rows = labelled_sample(docs, labels, label, fold, max_rows, max_bytes, 23).select("doc_id", "label", "text").toArrow().sort_by("doc_id")
     zero, one = class_shares(labels, label, fold)
     return fit_subwords(rows["text"].to_pylist(), rows["label"].to_pylist(), zero_share=zero / (zero + one) if zero and one else None)
 
