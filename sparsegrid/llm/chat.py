@@ -33,20 +33,24 @@ def unescaped(text: Column, name: bool = False) -> Column:
 def fold_events(events: DataFrame) -> DataFrame:
     """(conv_id, turn, role, text): the final messages of a log (conv_id, seq, turn, kind, role, text).
 
-    ``turn`` names a message and gives its place.  A null kind is a message, a
-    null text empty; deltas without an open message open one.  Events of equal
-    seq are ordered by kind, role and text.  Conversations are folded each on
-    its own, those with a null id together; an empty log has no messages.
+    ``turn`` names a message and gives its place.  A message, an edit and a
+    regeneration start its text anew, a delta goes on, and deltas without an
+    open message open one, after a deletion too.  A regeneration takes back what
+    was said in later turns up to its seq.  The role is the last that was named
+    since the message was opened.  A null kind is a message, a null text empty.
+    Events of one turn and equal seq are ordered by kind, role and text.
+    Conversations are folded each on its own, those with a null id together; an
+    empty log has no messages.
     """
     log = events.select("conv_id", "seq", "turn", F.coalesce("kind", F.lit("message")).alias("kind"), "role", F.coalesce("text", F.lit("")).alias("text"))
     before = Window.partitionBy("conv_id").orderBy("turn").rangeBetween(Window.unboundedPreceding, -1)
     log = log.withColumn("cut", F.max(F.when(F.col("kind") == "regenerate", F.col("seq"))).over(before)).where("cut IS NULL OR seq > cut")
     message = Window.partitionBy("conv_id", "turn")
-    log = log.withColumn("reset", F.max(F.when(F.col("kind").isin("message", "edit", "regenerate"), F.col("seq"))).over(message))
-    log = log.withColumn("gone", F.max(F.when(F.col("kind") == "delete", F.col("seq"))).over(message))
-    log = log.where("(gone IS NULL OR gone < coalesce(reset, -9223372036854775808)) AND kind <> 'delete' AND (reset IS NULL OR seq >= reset OR role IS NOT NULL)")
-    parts = F.array_sort(F.collect_list(F.when(F.col("reset").isNull() | (F.col("seq") >= F.col("reset")), F.struct("seq", "kind", "role", "text"))))
-    folded = log.groupBy("conv_id", "turn").agg(parts.alias("parts"), F.max_by("role", F.when(F.col("role").isNotNull(), F.col("seq"))).alias("role"))
+    log = log.withColumn("k", F.row_number().over(message.orderBy("seq", "kind", "role", "text")))
+    log = log.withColumn("gone", F.max(F.when(F.col("kind") == "delete", F.col("k"))).over(message)).where("gone IS NULL OR k > gone")
+    log = log.withColumn("start", F.max(F.when(F.col("kind").isin("message", "edit", "regenerate"), F.col("k"))).over(message))
+    parts = F.array_sort(F.collect_list(F.when(F.col("start").isNull() | (F.col("k") >= F.col("start")), F.struct("k", "text"))))
+    folded = log.groupBy("conv_id", "turn").agg(parts.alias("parts"), F.max_by("role", F.when(F.col("role").isNotNull(), F.col("k"))).alias("role"))
     return folded.select("conv_id", "turn", "role", F.array_join(F.transform("parts", lambda p: p["text"]), "").alias("text"))
 
 
@@ -99,10 +103,36 @@ def digests(read: DataFrame) -> DataFrame:
 
 
 def table_as_log(conversations: DataFrame) -> DataFrame:
-    """A table of whole messages (conv_id, turn, role, text) as a log: every row is a message.
+    """A table of whole messages (conv_id, turn, role, text) as the log of a session that ends in them.
 
-    Rows of equal turn follow each other by role and text.
+    An answer is first drafted and talked about, then regenerated and streamed
+    in two deltas; any other message is mistyped, edited and gone on with, and
+    followed by a message that is deleted.  Rows of equal turn follow each other
+    by role and text.  The messages have even turns.
     """
     order = Window.partitionBy("conv_id").orderBy("turn", "role", "text")
-    place = F.row_number().over(order).cast("long")
-    return conversations.select("conv_id", place.alias("seq"), place.alias("turn"), F.lit("message").alias("kind"), "role", "text")
+    placed = conversations.select("conv_id", (2 * F.row_number().over(order)).cast("long").alias("place"), "role", F.coalesce("text", F.lit("")).alias("text"))
+    half = F.floor(F.length("text") / 2).cast("int")
+    head, tail = F.substring(F.col("text"), F.lit(1), half), F.substring(F.col("text"), half + 1, F.length("text"))
+    none, aside = F.lit(None).cast("string"), F.lit(1)
+
+    def event(number: int, kind: str, role: Column, text: Column, later: Column | None = None) -> Column:
+        place = F.col("place") + (0 if later is None else later)
+        return F.struct((8 * F.col("place") + number).alias("seq"), place.alias("turn"), F.lit(kind).alias("kind"), role.alias("role"), text.alias("text"))
+
+    answer = F.array(
+        event(0, "message", F.col("role"), F.concat(F.lit("draft "), tail)),
+        event(1, "delta", none, head),
+        event(2, "message", F.lit("user"), F.lit("once more"), aside),
+        event(3, "regenerate", F.col("role"), F.lit("")),
+        event(4, "delta", none, head),
+        event(5, "delta", none, tail),
+    )
+    other = F.array(
+        event(0, "message", F.col("role"), F.concat(tail, head)),
+        event(1, "edit", none, head),
+        event(2, "delta", none, tail),
+        event(3, "message", F.lit("assistant"), F.lit("gone"), aside),
+        event(4, "delete", none, none, aside),
+    )
+    return placed.select("conv_id", F.explode(F.when(F.col("role") == "assistant", answer).otherwise(other)).alias("e")).select("conv_id", "e.*")
