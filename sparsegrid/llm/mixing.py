@@ -5,9 +5,11 @@ DataFrame functions only.
 * The words of each source form one stream, cut into blocks of fixed length (the
   last block of a source is shorter).
 * Every source gets a number of slots in proportion to its target.  The slots of
-  all sources are dealt to output shards by one pseudorandom permutation, so a
-  shard's counts are a multinomial draw given the sources' totals; the totals
-  themselves do not fluctuate.
+  each output shard are drawn independently with those shares, so a shard's
+  counts by source are a multinomial draw.
+* The draws of all shards miss the totals by little.  That is repaired: a source
+  drawn too often gives slots, picked by a pseudorandom permutation of its
+  draws, to those drawn too seldom, so totals do not fluctuate.
 * A source's slots run through its blocks epoch by epoch, each epoch in the order
   of another pseudorandom permutation of the block numbers, so no block is used
   more than once more often than another.
@@ -24,7 +26,8 @@ from pyspark.sql import functions as F
 from sparsegrid.plans.lineage import cut_lineage
 
 WORD = r"[^\x20\x09-\x0D]+"
-_CHUNK = 1 << 15
+_COPIES = 1 << 12  # copies of one row that one task writes out
+_SLOTS = 1 << 18  # slots that one task draws
 _WALK = 16
 
 
@@ -84,7 +87,7 @@ def _mark() -> Column:
     return F.xxhash64(F.col("doc_id").cast("long"), F.col("text")).alias("mark")
 
 
-def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3, block_words: int = 64, shard_slots: int = 2048, seed: int = 17, chunk_rows: int = 4_000) -> Mix:
+def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3, block_words: int = 64, shard_slots: int = 2048, seed: int = 17, chunk_rows: int = 512) -> Mix:
     """Mixes the rows of ``docs`` (doc_id, text, source).
 
     ``pieces``: shard, slot, sid, block, at (words of the block before the
@@ -92,37 +95,82 @@ def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int
     are the mixed corpus.  Null and empty texts take no part; a null source is a
     source of its own; rows with a null or repeated id are rows like others (off,
     the place in the source's stream, tells them apart); an empty table gives
-    empty tables.  Every run gives the same mix.
+    empty tables; other columns are ignored.  Every run gives the same mix.
     """
-    sized = cut_lineage(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"), _mark()))
-    plan = source_targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, cap)
+    sized = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"), _mark())
+    sized = cut_lineage(sized.groupBy("source", "doc_id", "mark", "size").agg(F.count("*").alias("copies")))
+    sums = sized.groupBy("source").agg(F.sum(F.col("size") * F.col("copies")).alias("source_size"), F.count("*").alias("rows"))
+    plan = source_targets(sums.select("source", "source_size"), weights, cap)
     blocks = F.ceil(F.col("source_size") / block_words)
     slots = F.when(F.col("source_size") > 0, F.least(F.round(F.col("target") * blocks / F.col("source_size")).cast("long"), cap * blocks)).otherwise(0)
     plan = plan.withColumn("blocks", blocks).withColumn("slots", slots)
-    plan = plan.withColumn("start", F.sum("slots").over(Window.orderBy("sid")) - F.col("slots")).withColumn("all_slots", F.sum("slots").over(Window.partitionBy()))
-    plan = cut_lineage(plan)
-
-    chunks = max(1, -(-sized.count() // chunk_rows))
-    chunked = sized.join(plan.select("sid", F.col("source").alias("s"), "source_size", "target"), F.col("source").eqNullSafe(F.col("s"))).drop("s")
-    chunked = chunked.withColumn("chunk", F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(chunks)))
-    base = chunked.groupBy("sid", "chunk").agg(F.sum("size").alias("words"))
-    base = base.withColumn("base", F.sum("words").over(Window.partitionBy("sid").orderBy("chunk")) - F.col("words")).drop("words")
-    within = Window.partitionBy("sid", "chunk").orderBy(F.xxhash64("doc_id", F.lit(seed + 1)), "doc_id", "mark").rowsBetween(Window.unboundedPreceding, 0)
-    packed = chunked.withColumn("run", F.sum("size").over(within)).join(base, ["sid", "chunk"])
-    packed = cut_lineage(packed.select("doc_id", "mark", "source", "sid", "size", "source_size", "target", (F.col("base") + F.col("run") - F.col("size")).alias("off")))
+    plan = cut_lineage(plan.withColumn("start", F.sum("slots").over(Window.orderBy("sid")) - F.col("slots")).join(sums.select(F.col("source").alias("s"), "rows"), F.col("source").eqNullSafe(F.col("s"))).drop("s"))
 
+    packed = cut_lineage(_streams(sized, plan, seed, chunk_rows))
     begin, end = F.col("off"), F.col("off") + F.col("size")
     cut = packed.where("size > 0").select("sid", "doc_id", "mark", "off", "size", F.explode(F.sequence(F.floor(begin / block_words), F.floor((end - 1) / block_words))).alias("block"))
     lo, hi = F.greatest(F.col("block") * block_words, F.col("off")), F.least((F.col("block") + 1) * block_words, F.col("off") + F.col("size"))
     cut = cut.select("sid", "block", "doc_id", "mark", "off", (lo - F.col("block") * block_words).alias("at"), (lo - F.col("off")).alias("first_word"), (hi - lo).alias("n_words"))
 
-    spread = plan.where("slots > 0").select("sid", "blocks", "slots", "start", "all_slots", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("slots") - 1) / _CHUNK))).alias("part"))
-    drawn = spread.repartition("sid", "part").select("*", F.explode(F.sequence(F.col("part") * _CHUNK, F.least((F.col("part") + 1) * _CHUNK, F.col("slots")) - 1)).alias("r"))
-    out = permuted(F.col("start") + F.col("r"), F.col("all_slots"), F.lit(seed))
-    epoch = F.floor(F.col("r") / F.col("blocks"))
-    drawn = drawn.select("sid", out.alias("out"), permuted(F.col("r") % F.col("blocks"), F.col("blocks"), F.xxhash64(F.lit(seed), "sid", epoch)).alias("block"))
-    drawn = drawn.select(F.floor(F.col("out") / shard_slots).alias("shard"), (F.col("out") % shard_slots).alias("slot"), "sid", "block")
-    return Mix(plan, packed, drawn.hint("merge").join(cut, ["sid", "block"]))  # the slots are many, though their plan is small
+    dealt = draw_slots(plan, shard_slots, seed).join(plan.select("sid", "blocks"), "sid")
+    epoch = F.floor(F.col("q") / F.col("blocks"))
+    drawn = dealt.select("shard", "slot", "sid", permuted(F.col("q") % F.col("blocks"), F.col("blocks"), F.xxhash64(F.lit(seed), "sid", epoch)).alias("block"))
+    return Mix(plan.drop("rows"), packed, drawn.hint("merge").join(cut, ["sid", "block"]))  # the slots are many, though their plan is small
+
+
+def _streams(sized: DataFrame, plan: DataFrame, seed: int, chunk_rows: int) -> DataFrame:
+    """The rows of each source one after the other in a seeded order: off is where a row begins.
+
+    A source's rows are dealt to chunks of about ``chunk_rows``; a row that is
+    there many times is one row until its place is known.
+    """
+    of = plan.select("sid", F.col("source").alias("s"), "source_size", "target", "rows")
+    chunked = sized.join(of, F.col("source").eqNullSafe(F.col("s"))).drop("s")
+    chunked = chunked.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "mark", F.lit(seed)), F.ceil(F.col("rows") / chunk_rows))).withColumn("words", F.col("size") * F.col("copies"))
+    base = chunked.groupBy("sid", "chunk").agg(F.sum("words").alias("all_words"))
+    base = base.withColumn("base", F.sum("all_words").over(Window.partitionBy("sid").orderBy("chunk")) - F.col("all_words")).drop("all_words")
+    within = Window.partitionBy("sid", "chunk").orderBy(F.xxhash64("doc_id", F.lit(seed + 1)), "doc_id", "mark").rowsBetween(Window.unboundedPreceding, 0)
+    placed = chunked.withColumn("run", F.sum("words").over(within)).join(base, ["sid", "chunk"])
+    first = F.col("base") + F.col("run") - F.col("words")
+    columns = ["doc_id", "mark", "source", "sid", "size", "source_size", "target"]
+    one = placed.where("copies = 1").select(*columns, first.alias("off"))
+    more = placed.where("copies > 1").select(*columns, first.alias("first"), "copies", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("copies") - 1) / _COPIES))).alias("part"))
+    spread = more.repartition("sid", "first", "part").select(*columns, "first", F.explode(F.sequence(F.col("part") * _COPIES, F.least((F.col("part") + 1) * _COPIES, F.col("copies")) - 1)).alias("copy"))
+    return one.union(spread.select(*columns, (F.col("first") + F.col("copy") * F.col("size")).alias("off")))
+
+
+def draw_slots(plan: DataFrame, shard_slots: int, seed: int) -> DataFrame:
+    """(shard, slot, sid, q): a source for every slot, and its number q among the source's slots, from 0.
+
+    Slots draw a number below the sum of all slots; the source whose range holds
+    it is found by a join on cells of equal length.  Ranks of draws within a
+    source come from counts by shard.
+    """
+    spark = plan.sparkSession
+    total = int(plan.agg(F.sum("slots")).first()[0] or 0)
+    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-total // _SLOTS))
+    cell = max(1, total // 4096)
+    ranges = plan.where("slots > 0").select("sid", "slots", "start", F.explode(F.sequence(F.floor(F.col("start") / cell), F.floor((F.col("start") + F.col("slots") - 1) / cell))).alias("cell"))
+    x = spark.range(0, total, 1, tasks).select(F.floor(F.col("id") / shard_slots).alias("shard"), (F.col("id") % shard_slots).alias("slot"), F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(total or 1)).alias("u"))
+    drawn = x.withColumn("cell", F.floor(F.col("u") / cell)).join(ranges, "cell").where("u >= start and u < start + slots").select("shard", "slot", "sid")
+    drawn = cut_lineage(drawn)
+    by_shard = drawn.groupBy("shard", "sid").agg(F.count("*").alias("c"))
+    upto = by_shard.withColumn("before", F.sum("c").over(Window.partitionBy("sid").orderBy("shard")) - F.col("c")).drop("c")
+    rank = F.row_number().over(Window.partitionBy("shard", "sid").orderBy("slot")) - 1
+    ranked = drawn.withColumn("rank", rank).join(upto, ["shard", "sid"]).select("shard", "slot", "sid", (F.col("before") + F.col("rank")).alias("r"))
+
+    counts = plan.where("slots > 0").select("sid", "slots").join(drawn.groupBy("sid").agg(F.count("*").alias("d")), "sid", "left").select("sid", "slots", F.coalesce("d", F.lit(0)).alias("d"))
+    over, under = F.greatest(F.col("d") - F.col("slots"), F.lit(0)), F.greatest(F.col("slots") - F.col("d"), F.lit(0))
+    running = lambda c: F.sum(c).over(Window.orderBy("sid")) - c
+    counts = cut_lineage(counts.select("sid", "slots", "d", running(over).alias("gives"), running(under).alias("takes")))
+    q = permuted(F.col("r"), F.col("d"), F.xxhash64(F.lit(seed + 2), "sid"))
+    numbered = ranked.join(counts.select("sid", "slots", "d", "gives"), "sid").select("shard", "slot", "sid", q.alias("q"), "slots", "gives")
+    numbered = cut_lineage(numbered)
+    missing = counts.where("slots > d").select(F.col("sid").alias("to"), "d", "takes", F.explode(F.sequence(F.lit(0).cast("long"), F.col("slots") - F.col("d") - 1)).alias("k"))
+    missing = missing.select((F.col("takes") + F.col("k")).alias("m"), "to", (F.col("d") + F.col("k")).alias("as"))
+    spare = numbered.where("q >= slots").withColumn("m", F.col("gives") + F.col("q") - F.col("slots"))
+    moved = spare.join(missing, "m").select("shard", "slot", F.col("to").alias("sid"), F.col("as").alias("q"))
+    return numbered.where("q < slots").select("shard", "slot", "sid", "q").union(moved)
 
 
 def taken_words(mix: Mix) -> DataFrame:
@@ -135,7 +183,8 @@ def taken_words(mix: Mix) -> DataFrame:
 
 def mixed_corpus(docs: DataFrame, mix: Mix) -> DataFrame:
     """The pieces of the mix with their words, in whole shards; repeated rows are fetched as often as the mix takes them."""
-    words = docs.select(_mark(), F.regexp_extract_all("text", F.lit(WORD), F.lit(0)).alias("words")).where(F.size("words") > 0).dropDuplicates(["mark"])
-    cut = mix.pieces.select("doc_id", "mark", "shard", "slot", "at", "first_word", "n_words")
+    words = docs.select(F.col("doc_id").cast("long").alias("id_"), _mark(), F.regexp_extract_all("text", F.lit(WORD), F.lit(0)).alias("words")).where(F.size("words") > 0).dropDuplicates(["id_", "mark"])
+    cut = mix.pieces.select("doc_id", F.col("mark").alias("mark_"), "shard", "slot", "at", "first_word", "n_words")
     text = F.array_join(F.slice("words", (F.col("first_word") + 1).cast("int"), F.col("n_words").cast("int")), " ")
-    return cut.join(words, "mark").select("shard", "slot", "at", "doc_id", "first_word", "n_words", text.alias("text"))
+    met = cut.join(words, F.col("doc_id").eqNullSafe(F.col("id_")) & (F.col("mark_") == F.col("mark")))
+    return met.select("shard", "slot", "at", "doc_id", "first_word", "n_words", text.alias("text"))
