@@ -12,7 +12,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -110,9 +110,14 @@ def _printed(decode):
 def fingerprints(table: DataFrame, id_column: str, media_column: str, decode=decode_pcm) -> DataFrame:
     """(media_id, codes) of a media column; ``decode`` gives the samples of a value, one recording at a time.
 
-    Null, empty and too short recordings have no codes.
+    Null, empty and too short recordings have no codes.  A table in fewer
+    partitions than the session's shuffles have is dealt out first: decoding
+    costs far more than its bytes tell.
     """
-    return table.select(F.col(id_column).cast("long").alias("media_id"), media_column).mapInArrow(_printed(decode), "media_id long, codes array<long>")
+    media = table.select(F.col(id_column).cast("long").alias("media_id"), media_column)
+    tasks = int(table.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    media = media.repartition(tasks) if media.rdd.getNumPartitions() < tasks else media
+    return media.mapInArrow(_printed(decode), "media_id long, codes array<long>")
 
 
 def _popcount(x: np.ndarray) -> np.ndarray:
@@ -227,6 +232,50 @@ def _close(held: DataFrame, max_error: float, min_frames: int, codes_asked: int
     return parts.groupBy("query").agg(F.array_sort(F.flatten(F.collect_list("part"))).alias("close"))
 
 
+def _runs(batches):
+    """Runs of equal codes of every recording: (class_id, asked, code, first, last)."""
+    for batch in batches:
+        lists = batch.column(2)
+        codes, ends = lists.flatten().to_numpy(), lists.value_lengths().to_numpy()
+        owner = np.repeat(np.arange(batch.num_rows), ends)
+        place = np.arange(len(codes)) - np.repeat(np.cumsum(ends) - ends, ends)
+        new = np.ones(len(codes), bool)
+        new[1:] = (codes[1:] != codes[:-1]) | (owner[1:] != owner[:-1])
+        at = np.flatnonzero(new)
+        last = np.append(at[1:], len(codes)) - 1
+        yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(owner[at])), batch.column(1).take(pa.array(owner[at])), pa.array(codes[at]), pa.array(place[at]), pa.array(place[last[: len(at)]])], ["class_id", "asked", "code", "first", "last"])
+
+
+def _offsets(held: DataFrame, min_votes: int, per_task: int = 4096) -> DataFrame:
+    """(query, match, offset, votes): for each asked class and other the offset with most equal codes, the smallest of equals.
+
+    Codes are joined as runs.  Two runs of one code agree at a stretch of
+    offsets, in numbers that rise, stay and fall by one a step: four turning
+    points, whatever their lengths.  Votes are what the turning points of all
+    runs add up to; they peak at a turning point or just before one.  A code
+    that many recordings hold is split by salt.
+    """
+    runs = cut_lineage(held.select("class_id", "asked", "codes").mapInArrow(_runs, "class_id long, asked boolean, code long, first long, last long"))
+    asked = runs.where("asked").groupBy("code").agg(F.count("*").alias("k")).select("code")
+    salts = cut_lineage(runs.groupBy("code").agg(F.ceil(F.count("*") / per_task).alias("salts")).join(asked, "code"))
+    index = runs.join(salts, "code").withColumn("salt", F.pmod(F.xxhash64("class_id"), F.col("salts")))
+    asking = runs.where("asked").join(salts, "code").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
+    met = asking.alias("q").join(index.alias("r"), ["code", "salt"]).where("q.class_id <> r.class_id")
+    a1, a2, b1, b2 = (F.col(c) for c in ("q.first", "q.last", "r.first", "r.last"))
+    turn = lambda o, w: F.struct(o.alias("o"), F.lit(w).alias("w"))
+    turns = F.explode(F.array(turn(b1 - a2, 1), turn(b1 - a1 + 1, -1), turn(b2 - a2 + 1, -1), turn(b2 - a1 + 2, 1))).alias("t")
+    pair = ["query", "match"]
+    bent = met.select(F.col("q.class_id").alias("query"), F.col("r.class_id").alias("match"), turns).groupBy(*pair, F.col("t.o").alias("o")).agg(F.sum("t.w").alias("w"))
+    along = Window.partitionBy(*pair).orderBy("o")
+    sloped = bent.withColumn("slope", F.sum("w").over(along)).withColumn("next", F.lead("o").over(along))
+    gained = sloped.withColumn("gain", F.coalesce(F.lag("slope").over(along) * (F.col("o") - F.lag("o").over(along)), F.lit(0)))
+    told = gained.withColumn("votes", F.sum("gain").over(along) + F.col("slope"))
+    peak = lambda votes, o: F.struct(votes.alias("votes"), (-o).alias("o"))
+    later = F.when(F.col("next").isNotNull() & (F.col("slope") > 0), peak(F.col("votes") + F.col("slope") * (F.col("next") - 1 - F.col("o")), F.col("next") - 1))
+    best = told.groupBy(*pair).agg(F.max(F.greatest(peak(F.col("votes"), F.col("o")), later)).alias("b"))
+    return best.select(*pair, (-F.col("b.o")).alias("offset"), "b.votes").where(F.col("votes") >= min_votes)
+
+
 def search_recordings(prints: DataFrame, query_step: int = 20, min_votes: int = 3, max_error: float = 0.3, min_frames: int = 16) -> DataFrame:
     """One row per row of ``prints`` (media_id, codes): media_id, class_id, n_codes, is_query, matches, close.
 
@@ -235,26 +284,22 @@ def search_recordings(prints: DataFrame, query_step: int = 20, min_votes: int =
     the other classes with at least ``min_votes`` equal codes at one offset, at
     least ``min_frames`` compared codes there and at most ``max_error`` of the
     bits different at the offset with most votes (the smallest of equals).  All
-    such classes are found: codes meet by an exact join, without caps.  ``close``
+    such classes are found: runs of codes meet by an exact join, without caps.  ``close``
     lists all other classes that come within ``max_error`` over ``min_frames``
     codes or more, whether codes are equal or not, at the offset of the least
     share of errors; every searched class is compared with every class, so this
     costs searched times all.  Rows without codes have no class, no matches and
-    nothing close; a null id is no query.
+    nothing close; a null id is no query; of the sounds that
+    share a smallest id the one with the smallest hash is searched and found for
+    all; other columns are ignored; an empty table gives no rows.
     """
     prints = cut_lineage(prints.select("media_id", F.coalesce("codes", F.array().cast("array<long>")).alias("codes")).withColumn("print", F.xxhash64("codes")).withColumn("print2", F.xxhash64(F.lit("print"), "codes")))
     is_query = F.coalesce(F.col("media_id") % query_step == 0, F.lit(False))
     some = prints.where("size(codes) > 0 AND media_id IS NOT NULL")
     classes = some.groupBy("print", "print2").agg(F.min("media_id").alias("class_id"), F.max(is_query).alias("asked"))
-    held = some.join(classes, ["print", "print2"]).where("media_id = class_id").dropDuplicates(["class_id"]).select("class_id", "codes", "asked")
-    held = cut_lineage(held)
-    placed = held.select("class_id", "asked", F.posexplode("codes").alias("at", "code"))
-    # equal codes of one recording are counted by place, so a repeated code is a handful of rows, not pairs of them
-    asked = placed.where("asked").groupBy("code").agg(F.count("*").alias("k")).select("code")
-    index = placed.join(asked, "code", "left_semi").repartition("code", "class_id")
-    met = placed.where("asked").alias("q").join(index.alias("r"), "code").where("q.class_id <> r.class_id")
-    votes = met.groupBy(F.col("q.class_id").alias("query"), F.col("r.class_id").alias("match"), (F.col("r.at") - F.col("q.at")).alias("offset")).agg(F.count("*").alias("votes")).where(F.col("votes") >= min_votes)
-    best = votes.groupBy("query", "match").agg(F.max(F.struct("votes", (-F.col("offset")).alias("o"))).alias("b")).select("query", "match", (-F.col("b.o")).alias("offset"), "b.votes")
+    held = some.join(classes, ["print", "print2"]).where("media_id = class_id").groupBy("class_id").agg(F.min(F.struct("print", "print2", "codes", "asked")).alias("m"))
+    held = cut_lineage(held.select("class_id", "m.codes", "m.asked"))
+    best = _offsets(held, min_votes)
     pairs = best.join(held.select(F.col("class_id").alias("query"), F.col("codes").alias("x")), "query").join(held.select(F.col("class_id").alias("match"), F.col("codes").alias("y")), "match")
     judged = pairs.select("query", "match", F.col("offset").cast("long").alias("offset"), "votes", "x", "y").mapInArrow(_aligned, "query long, match long, offset long, votes long, bit_errors long, frames long")
     good = judged.where((F.col("frames") >= min_frames) & (F.col("bit_errors") <= max_error * 32 * F.col("frames")))
