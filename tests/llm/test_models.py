@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import random
 import re
+import time
 
 import numpy as np
 import pyarrow as pa
@@ -15,8 +16,9 @@ from sparsegrid.llm import chroma as ch
 from sparsegrid.llm import personal as pe
 from sparsegrid.llm import toxicity as tx
 from sparsegrid.llm.chat import digests, fold_events, read_back, render, table_as_log
-from sparsegrid.llm.mixing import mix_sources, mixed_corpus, permuted, taken_words
+from sparsegrid.llm.mixing import draw_slots, mix_sources, mixed_corpus, permuted, taken_words
 from sparsegrid.llm.quality import features, keep_good, score_quality, train_quality
+from sparsegrid.llm.sampling import labelled_sample
 from sparsegrid.llm.url_rules import Rule, judge_urls, labelled_pages, listed_rules, mine_rules
 
 SF = "/root/testdata/sf0.01"
@@ -47,6 +49,22 @@ def test_quality_of_odd_rows(spark, docs_of, tables):
     assert {r.score for r in score_quality(docs_of(ODD), nothing).collect()} == {0.5}
 
 
+def test_a_very_long_text_does_not_empty_the_sample(spark, docs_of, tables):
+    """18 MB under the smallest id, one label each way, and an id with several texts."""
+    rows = [(k, ("good words in order " if k % 2 else "!! !! spam ") * (3 + k % 5)) for k in range(2, 60)] + [(1, "w " * (9 << 20)), (2, "shorter"), (3, None)]
+    labels = spark.createDataFrame([(k, k % 2, 1 - k % 2) for k in range(60)] + [(4, 1, None), (None, 1, 1)], "doc_id bigint, quality int, toxic int")
+    docs = docs_of(rows)
+    got = labelled_sample(docs, labels, "quality", (5, 0), 3000, 16 << 20, 11).collect()
+    ids = sorted(r.doc_id for r in got)
+    assert len(ids) == len(set(ids)) and 35 <= len(ids) <= 58 and sum(len(r.text) for r in got) <= 16 << 20
+    assert {r.doc_id: r.text for r in got}.get(2, "shorter") == "shorter" and all(r.label == 1 for r in got if r.doc_id == 4)
+    only = labelled_sample(docs.where("doc_id = 1"), labels, "quality", (5, 0), 10, 1 << 20, 11).collect()
+    assert [r.doc_id for r in only] in ([1], []), "the only text of a class is taken whatever its length"
+    model = train_quality(docs, labels)
+    scores = {r.doc_id: r.score for r in score_quality(docs, model).collect()}
+    assert scores[7] > 0.7 > 0.3 > scores[8]
+
+
 def test_features_do_not_depend_on_neighbours():
     texts = ["a b b!! c", "", None, "é" * 50 + " %% x", "a b b!! c"]
     together = list(features(pa.array(texts)))
@@ -178,6 +196,42 @@ def test_scaled_fingerprints_and_search(spark):
         assert {(m.match, m.offset) for m in rows[q].matches} == want
 
 
+def test_held_notes_repeats_and_odd_rows(spark):
+    """Long runs of one code, an id with several sounds, clashing columns, an empty table."""
+    rng = np.random.default_rng(8)
+    tune = [int(c) for c in rng.integers(0, 1 << 32, 40)]
+    rows = [(0, [7] * 32_000), (1, [7] * 31_990 + tune), (20, tune[:30] + [5] * 20), (3, [5] * 9 + tune), (4, []), (None, tune), (40, tune), (40, [9] * 30)]
+    prints = spark.createDataFrame([(i, c, "x", 1) for i, c in rows], "media_id bigint, codes array<bigint>, matches string, class_id int")
+    began = time.monotonic()
+    got = {}
+    for r in ch.search_recordings(prints, max_error=0.5).collect():
+        got.setdefault(r.media_id, []).append(r)
+    assert time.monotonic() - began < 40 and sum(map(len, got.values())) == len(rows)
+    assert [(m.match, m.offset, m.votes) for m in got[0][0].matches] == [(1, -10, 31_990)]
+    assert (3, 9, 30) in [(m.match, m.offset, m.votes) for m in got[20][0].matches]
+    assert got[4][0].class_id is None and got[None][0].matches == []
+    assert ch.search_recordings(prints.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("salt", [1, 4096])
+def test_votes_of_runs_equal_votes_of_places(spark, salt):
+    rng = random.Random(6)
+    codes = {k: [c for _ in range(rng.randrange(1, 9)) for c in [rng.randrange(4)] * rng.randrange(1, 6)] for k in range(30)}
+    held = spark.createDataFrame([(k, k % 3 == 0, c) for k, c in codes.items()], "class_id bigint, asked boolean, codes array<bigint>")
+    got = {(r.query, r.match): (r.votes, r.offset) for r in ch._offsets(held, 1, salt).collect()}
+    want = {}
+    for q in range(0, 30, 3):
+        for r in (r for r in codes if r != q):
+            votes = {}
+            for i, x in enumerate(codes[q]):
+                for j, y in enumerate(codes[r]):
+                    if x == y:
+                        votes[j - i] = votes.get(j - i, 0) + 1
+            if votes:
+                want[q, r] = max((v, -o) for o, v in votes.items())
+    assert got == {k: (v, -o) for k, (v, o) in want.items()}
+
+
 def test_close_recordings_are_those_of_all_pairs(spark):
     rng = np.random.default_rng(5)
     vectors = rng.normal(0, 1, (40, 64))
@@ -227,6 +281,42 @@ def test_chat_events_fold(spark):
     assert got == [(1, 0, "user", "hello"), (1, 1, "assistant", "Hey"), (1, 2, "user", "again"), (2, 0, "user", "x"), (2, 1, "assistant", "y")]
 
 
+def replayed(log):
+    """The final messages of one conversation, event after event."""
+    held = {}
+    for _, turn, kind, role, text in sorted(log, key=lambda e: (e[0], e[2] or "message", e[3] is not None, e[3] or "", e[4] is not None, e[4] or "")):
+        if kind == "delete":
+            held.pop(turn, None)
+            continue
+        if kind == "regenerate":
+            held = {t: m for t, m in held.items() if t <= turn}
+        old_role, old_text = held.get(turn, (None, ""))
+        held[turn] = (role or old_role, (old_text if kind == "delta" else "") + (text or ""))
+    return sorted((t, *m) for t, m in held.items())
+
+
+def test_folds_equal_a_replay(spark):
+    rng = random.Random(9)
+    kinds = ["message", "delta", "delta", "edit", "regenerate", "delete", None]
+    logs = {c: [(s, rng.randrange(4), rng.choice(kinds), rng.choice(["user", "assistant", None]), rng.choice(["a", "b ", "", None])) for s in range(rng.randrange(1, 14))] for c in range(120)}
+    logs[500] = [(1, 0, "message", "user", "x"), (2, 0, "delete", None, None), (3, 0, "delta", "assistant", "back")]
+    df = spark.createDataFrame([(c, *e) for c, log in logs.items() for e in log], "conv_id bigint, seq bigint, turn bigint, kind string, role string, text string")
+    got = {}
+    for r in fold_events(df).collect():
+        got.setdefault(r.conv_id, []).append((r.turn, r.role, r.text))
+    assert {c: sorted(m) for c, m in got.items()} == {c: m for c, log in logs.items() if (m := replayed(log))}
+
+
+def test_logs_of_tables_fold_back(spark, tables):
+    table = tables["conversations"]
+    log = table_as_log(table)
+    assert {r.kind for r in log.select("kind").distinct().collect()} == {"message", "delta", "edit", "regenerate", "delete"}
+    rows = lambda df: sorted((r.conv_id, str(r.role), r.text) for r in df.collect())
+    assert rows(fold_events(log)) == sorted((r.conv_id, str(r.role), r.text or "") for r in table.collect())
+    empty = spark.createDataFrame([], table.schema)
+    assert read_back(render(fold_events(table_as_log(empty)))).count() == 0
+
+
 def test_url_rules(spark, tables):
     urls = ["http://a.example.com/en/7817?x=1", "HTTP://EXAMPLE.com/en/1", "x://sub.NET/de/8", "https://example.net/de/81", "https://u:p@x.org/es/", "notcom/en/", "http://xcom/en/", None, "a://", "://h/p", "http://example.com#/en/7"]
     pages = spark.createDataFrame([(i, u, "") for i, u in enumerate(urls)], "page_id bigint, url string, html string")
@@ -242,10 +332,22 @@ def test_mined_rules_block_what_labels_say(spark):
     rows = [(f"http://w{k}.cheap-pills.example.com/x/{k}", True) for k in range(40)] + [(f"http://w{k}.news.example.com/x/{k}", k % 20 == 0) for k in range(160)]
     mined = mine_rules(spark.createDataFrame(rows, "url string, bad boolean"), min_support=0.05)
     rules = [r.tokens for r in mined.rules.collect()]
-    assert rules and all(any("pills" in t or "cheap" in t for t in r) for r in rules) and all(len(r) == 1 for r in rules), "longer rules are needless"
+    assert rules == [["host:cheap-pills", "word:cheap", "word:pills"]], "tokens that always come together are one item, longer rules are needless"
     pages = spark.createDataFrame([(1, "http://zz.cheap-pills.example.com/new/9"), (2, "http://zz.news.example.com/new/9")], "page_id bigint, url string")
     assert {r.page_id: r.verdict for r in judge_urls(pages, [Rule("block", "org", "/")], mined).collect()} == {1: "block", 2: "allow"}
     assert mine_rules(spark.createDataFrame([], "url string, bad boolean")) is None
+    assert mine_rules(spark.createDataFrame(rows[:19], "url string, bad boolean")) is None, "fewer pages than a rule needs"
+    odd = spark.createDataFrame([(1, None, 1), (1, None, 2), (None, "http://a.cheap-pills.example.com/", 3), (5, "http://q.org/", 4), (5, "http://q.org/", 4)], "page_id bigint, url string, fired int")
+    got = sorted((str(r.page_id), r.verdict) for r in judge_urls(odd, [Rule("block", "org", "/")], mined).collect())
+    assert got == [("1", "allow"), ("1", "allow"), ("5", "block"), ("5", "block"), ("None", "block")]
+    assert judge_urls(odd.limit(0), listed_rules(), mined).count() == 0
+
+
+def test_labels_that_do_not_depend_on_urls_make_no_rules(spark):
+    rng = random.Random(4)
+    rows = [(f"http://w{rng.randrange(9)}.s{rng.randrange(4)}.example.com/{rng.choice('abc')}/{k}?{rng.choice('xyz')}=1", rng.random() < 0.3) for k in range(2000)]
+    mined = mine_rules(spark.createDataFrame(rows, "url string, bad boolean"))
+    assert mined.rules.count() == 0
 
 
 def test_urls_name_documents(tables):
@@ -297,6 +399,28 @@ def test_mix(docs_of, seed):
     assert max(per_slot.values()) <= 16 and len({s for s, _ in per_slot}) == -(-len(per_slot) // 50)
 
 
+def test_shards_are_multinomial_draws(spark):
+    """Counts by shard scatter like independent draws; totals are exact, and every number of a source is given once."""
+    shares = {0: 5_000, 1: 1_200, 2: 0, 3: 13_800}
+    plan = spark.createDataFrame([(k, n) for k, n in shares.items()], "sid int, slots bigint").withColumn("start", F.expr("sum(slots) over (order by sid) - slots"))
+    slots = draw_slots(plan, 100, 5).toPandas()
+    assert slots.groupby("sid").size().to_dict() == {k: n for k, n in shares.items() if n}
+    assert all(sorted(g.q) == list(range(len(g))) for _, g in slots.groupby("sid"))
+    assert len(slots.drop_duplicates(["shard", "slot"])) == 20_000
+    table = slots.groupby(["shard", "sid"]).size().unstack(fill_value=0)
+    for sid, n in shares.items():
+        if n:
+            p = n / 20_000
+            assert table[sid].mean() == pytest.approx(100 * p) and 0.7 < table[sid].var() / (100 * p * (1 - p)) < 1.4
+
+
+def test_rows_repeated_many_times_are_mixed_each(docs_of):
+    rows = [(1, "a b c", "s")] * 9000 + [(None, "d e", "s")] * 50 + [(2, "f g h i", "t")] * 3000
+    out = taken_words(mix_sources(docs_of(rows), block_words=16, shard_slots=50)).collect()
+    assert len(out) == len(rows) and max(r.taken - 3 * r["size"] for r in out) <= 0
+    assert sum(r.taken for r in out) == pytest.approx(sum(r["size"] for r in out), rel=0.01)
+
+
 @pytest.mark.parametrize("n", [1, 2, 3, 5, 16, 97, 1000])
 def test_permutation(spark, n):
     out = [r.p for r in spark.range(n).select(permuted(F.col("id"), F.lit(n), F.lit(4)).alias("p")).collect()]

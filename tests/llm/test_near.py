@@ -306,3 +306,21 @@ def test_components_of_a_random_graph(spark):
         for a, b in links:
             label[a] = label[b] = min(label[a], label[b])
     assert got == {v: k for v, k in label.items() if any(v in e and e[0] != e[1] for e in links)}
+
+
+def test_many_equal_items_are_searched_once(spark, docs_of):
+    """400 equal one-word items, items of one repeated word, and a text of 20,000 words."""
+    bench = spark.createDataFrame([(k, "a") for k in range(400)] + [(400, "b " * 40), (401, "b " * 13)], "item_id bigint, text string")
+    began = time.monotonic()
+    out = de.judged(de.find_matches(docs_of([(1, "a " * 20_000), (2, "c " + "b " * 5_000), (3, "b " * 12)]), bench)).collect()
+    assert [(r.n_words, r.n_hit, len(r["items"])) for r in out] == [(20_000, 20_000, 400), (5_001, 5_000, 2), (12, 0, 0)]
+    assert sum(len(r.matches) for r in out) <= 25_000 and time.monotonic() - began < 20
+
+
+def test_blocks_are_passed_one_after_the_other(spark, docs_of):
+    bench = spark.createDataFrame([(1, "one two three"), (2, "four five"), (3, "one two three")], "item_id bigint, text string")
+    rows = [(1, "x one two three four five"), (1, "x one two three four five"), (1, "four five"), (None, "four five six"), (7, None), (8, "")]
+    tell = lambda size: sorted((str(r.doc_id), r.n_words, r.n_hit, tuple(r["items"])) for r in de.judged(de.find_matches(docs_of(rows), bench, 3, size)).collect())
+    assert tell(1) == tell(1 << 20) == sorted([("1", 6, 5, (1, 2, 3))] * 2 + [("1", 2, 2, (2,)), ("None", 3, 2, (2,)), ("7", 0, 0, ()), ("8", 0, 0, ())])
+    kept = lambda size: sorted(str(r.doc_id) for r in de.remove_contaminated(docs_of(rows), bench, 3, 20, size).collect())
+    assert kept(1) == kept(1 << 20) == ["7", "8"]
