@@ -16,12 +16,14 @@ class SparseMatrix:
     """Entries (row, col, val), one for each place that holds something.
 
     ``n_rows`` and ``n_cols`` enter cost formulas only; ids may be any BIGINT.
+    ``wide`` says that ids are spread over all of BIGINT, as hashes are.
     """
 
     df: DataFrame
     n_rows: int
     n_cols: int
     semiring: Semiring = PLUS_TIMES
+    wide: bool = False
 
     @property
     def n(self) -> int:

@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from sparsegrid.model import SparseMatrix
-from sparsegrid.operators.multiply import join_multiply
+from sparsegrid.operators.multiply import sparse_multiply
 from sparsegrid.plans.lineage import cut_lineage
 
 
@@ -76,7 +76,7 @@ def trace_of_square_symmetric(a: SparseMatrix) -> DataFrame:
     return a.df.agg(F.coalesce(F.sum(F.col("val") * F.col("val")), F.lit(0)).cast("bigint").alias("trace"))
 
 
-def power(a: SparseMatrix, q: int, multiply=join_multiply) -> SparseMatrix:
+def power(a: SparseMatrix, q: int, multiply=sparse_multiply) -> SparseMatrix:
     """A to the q-th, raised by one sparse factor at a time; every step is cut in the checkpoint folder."""
     if q < 1:
         raise ValueError("the exponent is at least 1")
@@ -86,7 +86,7 @@ def power(a: SparseMatrix, q: int, multiply=join_multiply) -> SparseMatrix:
     return out
 
 
-def multiply_chain(factors: Sequence[SparseMatrix], multiply=join_multiply) -> SparseMatrix:
+def multiply_chain(factors: Sequence[SparseMatrix], multiply=sparse_multiply) -> SparseMatrix:
     """The product of several matrices, associated so that the cheaper neighbours meet first by their profiles."""
     from sparsegrid.operators.stats import totals
 

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from sparsegrid.model import Graph
 from sparsegrid.operators.algebra import diagonal, trace_of_square_symmetric
-from sparsegrid.operators.multiply import join_multiply, sparse_multiply
+from sparsegrid.operators.multiply import sparse_multiply
 
 
 def count_four_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
@@ -23,11 +23,11 @@ def count_four_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
     return trace.crossJoin(back).select("trace", "walks", F.floor((F.col("trace") - F.col("walks")) / 8).alias("four_cycles"))
 
 
-def count_five_cycles(g: Graph) -> DataFrame:
+def count_five_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
     """One row (five_cycles), from the traces of the third and fifth power and the triangles at each vertex."""
     a = g.matrix()
-    square = join_multiply(a, a).cut()
-    cube = join_multiply(square, a).cut()
+    square = multiply(a, a).cut()
+    cube = multiply(square, a).cut()
     fifth = square.df.select("row", "col", F.col("val").alias("x")).join(cube.df.select(F.col("col").alias("row"), F.col("row").alias("col"), F.col("val").alias("y")), ["row", "col"]).agg(F.coalesce(F.sum(F.col("x") * F.col("y")), F.lit(0)).alias("t5"))
     at = diagonal(cube).join(g.degrees().select(F.col("v").alias("id"), F.col("d_out").alias("d")), "id")
     third = at.agg(F.coalesce(F.sum("val"), F.lit(0)).alias("t3"), F.coalesce(F.sum((F.col("d") - 2) * F.col("val")), F.lit(0)).alias("hung"))

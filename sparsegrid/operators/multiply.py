@@ -11,14 +11,15 @@ assignment tables are moved before the entries are.
 from __future__ import annotations
 
 from collections.abc import Sequence
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
+from math import gcd
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sparsegrid.model import SparseMatrix
-from sparsegrid.operators.ranking import deal, ranked
-from sparsegrid.operators.stats import nnz_profile, totals
+from sparsegrid.operators.ranking import deal, ranked, running_sum
+from sparsegrid.operators.stats import Totals, nnz_profile, totals
 from sparsegrid.plans.lineage import cut_lineage
 from sparsegrid.plans.planner import Grid, choose_split
 
@@ -34,8 +35,8 @@ def bands(a: SparseMatrix, axis: str, count: int, mode: str = "stride") -> DataF
         return nnz_profile(a, axis).withColumn("band", F.pmod(F.xxhash64("id", F.lit(42)), F.lit(count)).cast("int"))
     if mode == "adjacent":
         profile = nnz_profile(a, axis).withColumn("one", F.lit(1))
-        return deal(profile, "id", "one", count, mode="ranges").drop("one")
-    return deal(nnz_profile(a, axis), "id", "nz", count, mode=mode)
+        return deal(profile, "id", "one", count, mode="ranges", wide=a.wide).drop("one")
+    return deal(nnz_profile(a, axis), "id", "nz", count, mode=mode, wide=a.wide)
 
 
 def permute(a: SparseMatrix, rows: DataFrame, cols: DataFrame) -> SparseMatrix:
@@ -61,29 +62,61 @@ def slice_lines(a: SparseMatrix, axis: str, chunk: int) -> DataFrame:
 
     The place in the line is a distributed rank, so a hot line is cut by many tasks.
     """
+    return _cut_lines(a.df, axis, chunk, a.wide)
+
+
+def _cut_lines(df: DataFrame, axis: str, chunk: int, wide: bool) -> DataFrame:
     other = "row" if axis == "col" else "col"
-    even = a.df.withColumn("one_", F.lit(1))
-    return ranked(even, other, "one_", [axis]).withColumn("piece", F.floor(F.col("rank") / chunk).cast("int")).drop("rank", "count", "one_")
+    even = df.withColumn("one_", F.lit(1))
+    return ranked(even, other, "one_", [axis], wide).withColumn("piece", F.floor(F.col("rank") / chunk).cast("int")).drop("rank", "count", "one_")
 
 
-def piece_table(profile: DataFrame, chunk: int) -> DataFrame:
+def piece_table(profile: DataFrame, chunk: int, wide: bool = False) -> DataFrame:
     """(id, piece, size, owner): the pieces of all lines and their owners, two pieces to an owner."""
     lines = profile.withColumn("pieces", F.ceil(F.col("nz") / chunk)).withColumn("one", F.lit(1))
-    numbered = _running(lines, "id", "pieces", "first")
+    numbered = running_sum(lines, "id", "pieces", "first", wide)
     cut = numbered.select("id", "nz", "first", "pieces", F.explode(F.sequence(F.lit(0).cast("long"), F.col("pieces") - 1)).alias("piece"))
     size = F.least(F.lit(chunk), F.col("nz") - F.col("piece") * chunk)
     return cut.select("id", F.col("piece").cast("int").alias("piece"), size.cast("bigint").alias("size"), F.floor((F.col("first") + F.col("piece")) / 2).alias("owner"))
 
 
-def _running(lines: DataFrame, key: str, value: str, name: str) -> DataFrame:
-    """Exclusive running sum in the order of ``key``: within runs of neighbouring keys and over the runs' totals."""
-    from pyspark.sql import Window
+_LINES = 1 << 16  # long lines that a chunk may leave
+_HOT = 1 << 12  # entries of a line that one task takes without being cut
+
+
+def chunk_of(nz: int, lines: int) -> int:
+    """The length of pieces: the mean line and one, but not so short that tasks notice, nor so that more than ``_LINES`` lines are longer."""
+    return max(-(-nz // max(lines, 1)) + 1, -(-nz // _LINES), _HOT)
+
+
+@dataclass(frozen=True)
+class Slices:
+    """One factor's entries with ``piece``, and ``long``: (id, pieces) of the lines of more than one piece, None where there are none."""
+
+    entries: DataFrame
+    long: DataFrame | None
+
+    def asked(self, need: DataFrame, line: str) -> DataFrame:
+        """Requests for lines as requests for all their pieces."""
+        if self.long is None:
+            return need.withColumn("piece", F.lit(0))
+        told = need.join(F.broadcast(self.long.withColumnRenamed("id", line)), line, "left")
+        return told.withColumn("piece", F.explode(F.sequence(F.lit(0), F.coalesce("pieces", F.lit(1)) - 1))).drop("pieces")
 
-    runs = lines.withColumn("run_", F.shiftright(key, 12))
-    base = runs.groupBy("run_").agg(F.sum(value).alias("s_"))
-    base = base.select("run_", (F.sum("s_").over(Window.orderBy("run_")) - F.col("s_")).alias("base_"))
-    inner = F.sum(value).over(Window.partitionBy("run_").orderBy(key)) - F.col(value)
-    return runs.withColumn("inner_", inner).join(base, "run_").withColumn(name, F.col("base_") + F.col("inner_")).drop("run_", "base_", "inner_")
+
+def sliced(a: SparseMatrix, axis: str, chunk: int | None, nz: int, lines: int, longest: int) -> Slices:
+    """The lines of more than ``chunk`` entries cut into pieces of that size; ``nz``, ``lines`` and ``longest`` are the matrix's totals along ``axis``.
+
+    There are at most nz / chunk such lines (65,536 with the default chunk), so
+    their table travels to the entries; only their entries are ranked.
+    """
+    size = chunk or chunk_of(nz, lines)
+    if longest <= size:
+        return Slices(a.df.withColumn("piece", F.lit(0)), None)
+    long = cut_lineage(nnz_profile(a, axis).where(F.col("nz") > size).select("id", F.ceil(F.col("nz") / size).cast("int").alias("pieces")))
+    told = F.broadcast(long.select(F.col("id").alias(axis)))
+    short = a.df.join(told, axis, "left_anti").select("row", "col", "val", F.lit(0).alias("piece"))
+    return Slices(short.union(_cut_lines(a.df.join(told, axis, "left_semi").select("row", "col", "val"), axis, size, a.wide).select("row", "col", "val", "piece")), long)
 
 
 def page_weights(s: SparseMatrix, t: SparseMatrix, bands_s: DataFrame, bands_t: DataFrame, keep_idle: Grid | None = None) -> DataFrame:
@@ -102,14 +135,14 @@ def page_weights(s: SparseMatrix, t: SparseMatrix, bands_s: DataFrame, bands_t:
     return met.select("bi", "bj", "page", "ws", "wt", (F.col("ws") + F.col("wt")).alias("w"))
 
 
-def assign_pages(pages: DataFrame, grid: Grid, mode: str = "stride", weight: str = "messages") -> DataFrame:
+def assign_pages(pages: DataFrame, grid: Grid, mode: str = "stride", weight: str = "messages", wide: bool = False) -> DataFrame:
     """Adds ``slot`` and ``worker``: the pages of each block dealt to its c workers.
 
     ``products`` deals by elementary products instead of entries received;
     ``ranges`` gives every worker consecutive pages (a baseline).
     """
     weighed = pages.withColumn("w_", F.col("ws") * F.col("wt") if weight == "products" else F.col("w") if mode != "ranges" else F.lit(1).cast("bigint"))
-    dealt = deal(weighed, "page", "w_", grid.c, within=["bi", "bj"], mode=mode, name="slot").drop("w_")
+    dealt = deal(weighed, "page", "w_", grid.c, within=["bi", "bj"], mode=mode, name="slot", wide=wide).drop("w_")
     return dealt.withColumn("worker", ((F.col("bi") * grid.b + F.col("bj")) * grid.c + F.col("slot")).cast("int"))
 
 
@@ -129,29 +162,35 @@ def plan_product(s: SparseMatrix, t: SparseMatrix, grid: Grid, band_mode: str =
     """Bands, page weights and page assignment for a grid; their lineage is cut, as several joins read them."""
     held = cut_lineage if cut else (lambda x: x)
     bands_s, bands_t = held(bands(s, "row", grid.a, band_mode)), held(bands(t, "col", grid.b, band_mode))
-    pages = held(assign_pages(page_weights(s, t, bands_s, bands_t, grid if keep_idle else None), grid, page_mode, weight))
+    pages = held(assign_pages(page_weights(s, t, bands_s, bands_t, grid if keep_idle else None), grid, page_mode, weight, s.wide or t.wide))
     return Plan(s, t, grid, bands_s, bands_t, pages)
 
 
-def route_entries(plan: Plan, pieces: int | None = None) -> tuple[DataFrame, DataFrame]:
+def reindexed(plan: Plan, step: int) -> Plan:
+    """The same plan with workers under other numbers: number x becomes step * x + 1 modulo their count, one to one where both have no common divisor."""
+    k = plan.grid.workers
+    if gcd(step, k) != 1:
+        raise ValueError("the numbering is not one to one")
+    return replace(plan, pages=plan.pages.withColumn("worker", F.pmod(F.col("worker") * step + 1, F.lit(k))))
+
+
+def route_entries(plan: Plan, chunk: int | None = None, seen: Totals | None = None, whole: bool = False) -> tuple[DataFrame, DataFrame]:
     """Both factors' entries with the workers that need them: (worker, page, row, val) and (worker, page, col, val).
 
-    With ``pieces`` lines are cut into that many pieces first and the join runs on (page,
-    piece), which spreads a hot page over many tasks.
+    A page's entries are held in pieces of at most ``chunk`` (by default
+    ``chunk_of`` the factor's totals ``seen``, which are counted where they are
+    not given); workers ask for each piece of their pages in the band that they
+    need, so the join's key is (band, page, piece) and a hot page is many keys.
+    ``whole`` leaves lines uncut (a baseline).
     """
-    left = plan.s.df.join(plan.bands_s.select(F.col("id").alias("row"), F.col("band").alias("bi")), "row")
-    right = plan.t.df.join(plan.bands_t.select(F.col("id").alias("col"), F.col("band").alias("bj")), "col")
+    seen = seen or (Totals(0, 0, 0) if whole else totals(plan.s, plan.t))
+    left, right = sliced(plan.s, "col", chunk, seen.nz_s, seen.pages_s, seen.longest_s), sliced(plan.t, "row", chunk, seen.nz_t, seen.pages_t, seen.longest_t)
     need = plan.pages.select("bi", "bj", "page", "worker")
-    ask_s, ask_t = need.select("bi", F.col("page").alias("col"), "worker"), need.select("bj", F.col("page").alias("row"), "worker")
-    on_s, on_t = ["bi", "col"], ["bj", "row"]
-    if pieces:
-        left = left.withColumn("piece", F.pmod(F.xxhash64("row"), F.lit(pieces)).cast("int"))
-        right = right.withColumn("piece", F.pmod(F.xxhash64("col"), F.lit(pieces)).cast("int"))
-        every = F.explode(F.sequence(F.lit(0), F.lit(pieces - 1))).alias("piece")
-        ask_s, ask_t = ask_s.select("*", every), ask_t.select("*", every)
-        on_s, on_t = [*on_s, "piece"], [*on_t, "piece"]
-    sent_s = left.join(ask_s, on_s).select("worker", F.col("col").alias("page"), "row", F.col("val").alias("x"))
-    sent_t = right.join(ask_t, on_t).select("worker", F.col("row").alias("page"), "col", F.col("val").alias("y"))
+    held_s = left.entries.join(plan.bands_s.select(F.col("id").alias("row"), F.col("band").alias("bi")), "row")
+    held_t = right.entries.join(plan.bands_t.select(F.col("id").alias("col"), F.col("band").alias("bj")), "col")
+    ask_s, ask_t = left.asked(need.select("bi", F.col("page").alias("col"), "worker"), "col"), right.asked(need.select("bj", F.col("page").alias("row"), "worker"), "row")
+    sent_s = held_s.join(ask_s, ["bi", "col", "piece"]).select("worker", F.col("col").alias("page"), "row", F.col("val").alias("x"))
+    sent_t = held_t.join(ask_t, ["bj", "row", "piece"]).select("worker", F.col("row").alias("page"), "col", F.col("val").alias("y"))
     return sent_s, sent_t
 
 
@@ -173,14 +212,14 @@ def assemble(plan: Plan, partial: DataFrame) -> SparseMatrix:
     return SparseMatrix(whole, plan.s.n_rows, plan.t.n_cols, ring)
 
 
-def balanced_multiply(s: SparseMatrix, t: SparseMatrix, grid: Grid, band_mode: str = "stride", page_mode: str = "stride", weight: str = "messages", pieces: int | None = None) -> SparseMatrix:
+def balanced_multiply(s: SparseMatrix, t: SparseMatrix, grid: Grid, band_mode: str = "stride", page_mode: str = "stride", weight: str = "messages", chunk: int | None = None, seen: Totals | None = None, whole: bool = False) -> SparseMatrix:
     """S T on a given grid."""
     plan = plan_product(s, t, grid, band_mode, page_mode, weight)
-    return assemble(plan, local_products(plan, *route_entries(plan, pieces)))
+    return assemble(plan, local_products(plan, *route_entries(plan, chunk, seen, whole)))
 
 
-def sparse_multiply(s: SparseMatrix, t: SparseMatrix, workers: int | None = None, split: str | tuple[int, int] = "exact", objective: str = "bytes", pieces: int | None = None) -> SparseMatrix:
-    """S T with the grid chosen from the factors' profiles.
+def sparse_multiply(s: SparseMatrix, t: SparseMatrix, workers: int | None = None, split: str | tuple[int, int] = "exact", objective: str = "bytes", chunk: int | None = None, seen: Totals | None = None) -> SparseMatrix:
+    """S T with the grid chosen from the factors' profiles (``seen``, where they are known already).
 
     ``workers`` defaults to the session's shuffle partitions.  Where the best
     grid is (1, 1, workers), pages alone are dealt, and the product is the plain
@@ -188,15 +227,15 @@ def sparse_multiply(s: SparseMatrix, t: SparseMatrix, workers: int | None = None
     """
     spark = s.df.sparkSession
     k = workers or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    seen = seen or totals(s, t)
     if isinstance(split, tuple):
-        return balanced_multiply(s, t, Grid(*split, k // (split[0] * split[1])), pieces=pieces)
-    seen = totals(s, t)
+        return balanced_multiply(s, t, Grid(*split, k // (split[0] * split[1])), chunk=chunk, seen=seen)
     if not seen.products:
         return join_multiply(s, t)
     grid = choose_split(max(s.n, t.n), seen.nz_s, seen.nz_t, k, objective, s.n_rows, t.n_cols, seen.products, split)
     if (grid.a, grid.b) == (1, 1) and objective == "bytes":
         return join_multiply(s, t)
-    return balanced_multiply(s, t, grid, pieces=pieces)
+    return balanced_multiply(s, t, grid, chunk=chunk, seen=seen)
 
 
 def join_multiply(s: SparseMatrix, t: SparseMatrix, hint: str | None = None) -> SparseMatrix:
@@ -218,12 +257,12 @@ def broadcast_multiply(s: SparseMatrix, t: SparseMatrix, most: int = 1_000_000)
 def multiply_fixed_cube(s: SparseMatrix, t: SparseMatrix, workers: int) -> SparseMatrix:
     """Baseline: a cube of equal sides, lines and pages in stored order, whatever the sparsity."""
     side = max(1, round(workers ** (1 / 3)))
-    return balanced_multiply(s, t, Grid(side, side, side), "adjacent", "ranges")
+    return balanced_multiply(s, t, Grid(side, side, side), "adjacent", "ranges", whole=True)
 
 
 def multiply_random(s: SparseMatrix, t: SparseMatrix, grid: Grid) -> SparseMatrix:
     """Baseline: bands by a seeded hash of the ids."""
-    return balanced_multiply(s, t, grid, "random", "ranges")
+    return balanced_multiply(s, t, grid, "random", "ranges", whole=True)
 
 
 def multiply_many(pairs: Sequence[tuple[SparseMatrix, SparseMatrix]]) -> DataFrame:

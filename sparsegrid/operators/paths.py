@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 from sparsegrid.functions.semiring import MIN_PLUS
 from sparsegrid.model import Graph, SparseMatrix
 from sparsegrid.operators.algebra import add, with_identity
-from sparsegrid.operators.multiply import join_multiply
+from sparsegrid.operators.multiply import sparse_multiply
+from sparsegrid.operators.stats import totals
 from sparsegrid.plans.lineage import cut_lineage
 
 
@@ -34,56 +35,57 @@ def diameter_bounds(g: Graph, root: int) -> DataFrame:
     return bfs_levels(g, root).agg(F.max("level").alias("low"), (2 * F.max("level")).alias("high"))
 
 
-def all_pairs_hops(g: Graph, bound: str | int = "fixpoint", root: int | None = None, mode: str = "delta") -> DataFrame:
+def all_pairs_hops(g: Graph, bound: str | int = "fixpoint", root: int | None = None, mode: str = "delta", multiply=sparse_multiply) -> DataFrame:
     """(src, dst, dist) of every pair that is connected, a vertex to itself included.
 
-    Powers over min-plus, raised by the sparse adjacency matrix.  ``bound`` is
-    the power to reach: a number, ``bfs`` for twice the eccentricity of
-    ``root``, or ``fixpoint`` to stop when nothing changes.  Hops are final when
-    first found, so ``delta`` multiplies only what the last step has added;
-    ``full`` multiplies the whole power.
+    Powers over min-plus, raised by the sparse adjacency matrix with the planned
+    product.  ``bound`` is the power to reach: a number, ``bfs`` for twice the
+    eccentricity of ``root``, or ``fixpoint`` to stop when nothing changes.  Hops
+    are final when first found, so ``delta`` multiplies only what the last step
+    has added; ``full`` multiplies the whole power.
     """
     if bound == "bfs":
         limit = int(diameter_bounds(g, root).first()["high"] or 0)
     else:
         limit = bound if isinstance(bound, int) else 1 << 20
-    own = vertices(g).select(F.col("id").alias("src"), F.col("id").alias("dst"), F.lit(0).cast("bigint").alias("dist"))
     if mode == "full":
         step = with_identity(g.matrix(MIN_PLUS, 1), vertices(g)).cut()
         power, size = step, -1
         for _ in range(limit - 1):
-            power = join_multiply(power, step).cut()
+            power = multiply(power, step).cut()
             count = power.nnz()
             if count == size and bound == "fixpoint":
                 break
             size = count
         return power.df.select(F.col("row").alias("src"), F.col("col").alias("dst"), F.col("val").alias("dist"))
-    front = cut_lineage(own)
-    known = front
-    edges = g.edges.select(F.col("src").alias("mid"), F.col("dst").alias("end"))
+    edges = g.matrix(MIN_PLUS, 1)
+    own = vertices(g).select(F.col("id").alias("row"), F.col("id").alias("col"), F.lit(0).cast("bigint").alias("val"))
+    front = edges.with_df(cut_lineage(own))
+    known = front.df
     for dist in range(1, limit + 1):
-        met = front.join(edges, front["dst"] == edges["mid"]).select("src", F.col("end").alias("dst")).distinct()
-        front = cut_lineage(met.join(known, ["src", "dst"], "left_anti").select("src", "dst", F.lit(dist).cast("bigint").alias("dist")))
-        if front.isEmpty():
+        seen = totals(front, edges)
+        if not seen.products:
             break
-        known = cut_lineage(known.union(front)) if dist % 4 == 0 else known.union(front)
-    return known
+        met = multiply(front, edges, seen=seen) if multiply is sparse_multiply else multiply(front, edges)
+        front = edges.with_df(cut_lineage(met.df.join(known.select("row", "col"), ["row", "col"], "left_anti").select("row", "col", "val")))
+        known = cut_lineage(known.union(front.df)) if dist % 4 == 0 else known.union(front.df)
+    return known.select(F.col("row").alias("src"), F.col("col").alias("dst"), F.col("val").alias("dist"))
 
 
-def all_pairs_by_squaring(g: Graph) -> DataFrame:
+def all_pairs_by_squaring(g: Graph, multiply=sparse_multiply) -> DataFrame:
     """Baseline: squares of ever denser powers until nothing changes."""
     power = with_identity(g.matrix(MIN_PLUS, 1), vertices(g)).cut()
     size = -1
     while (count := power.nnz()) != size:
-        size, power = count, join_multiply(power, power).cut()
+        size, power = count, multiply(power, power).cut()
     return power.df.select(F.col("row").alias("src"), F.col("col").alias("dst"), F.col("val").alias("dist"))
 
 
-def closure(a: SparseMatrix, most: int = 1 << 20) -> SparseMatrix:
+def closure(a: SparseMatrix, most: int = 1 << 20, multiply=sparse_multiply) -> SparseMatrix:
     """The best value over all walks of one step or more, for an idempotent plus; only changed entries go on."""
     best = front = a.cut()
     for _ in range(most):
-        made = join_multiply(front, a)
+        made = multiply(front, a)
         merged = add(best, made).cut()
         old = best.df.select("row", "col", F.col("val").alias("old"))
         changed = cut_lineage(merged.df.join(old, ["row", "col"], "left").where(~F.col("val").eqNullSafe(F.col("old"))).select("row", "col", "val"))
@@ -93,6 +95,26 @@ def closure(a: SparseMatrix, most: int = 1 << 20) -> SparseMatrix:
     return best
 
 
+def shortest_paths(g: Graph, weights: DataFrame, most: int = 1 << 20) -> DataFrame:
+    """(src, dst, dist, via): shortest distances with positive weights (src, dst, w), and the vertex before the last, the smallest of equals.
+
+    Min-plus products that keep a witness: each step extends what the last has
+    improved by one edge, and the best of each pair is a minimum of (dist, via).
+    """
+    edges = g.edges.join(weights, ["src", "dst"]).select(F.col("src").alias("via"), F.col("dst").alias("end"), F.col("w").cast("bigint").alias("w"))
+    front = best = cut_lineage(edges.select(F.col("via").alias("src"), F.col("end").alias("dst"), F.col("w").alias("dist"), "via"))
+    for _ in range(most):
+        made = front.select("src", F.col("dst").alias("via"), "dist").join(edges, "via").where("src <> end").select("src", F.col("end").alias("dst"), (F.col("dist") + F.col("w")).alias("dist"), "via")
+        offered = made.union(best).groupBy("src", "dst").agg(F.min(F.struct("dist", "via")).alias("b"))
+        merged = cut_lineage(offered.select("src", "dst", "b.dist", "b.via"))
+        old = best.select("src", "dst", F.col("dist").alias("old"))
+        front = cut_lineage(merged.join(old, ["src", "dst"], "left").where("old IS NULL OR dist < old").select("src", "dst", "dist"))
+        best = merged
+        if front.isEmpty():
+            break
+    return best
+
+
 def girth_upto(g: Graph, most: int = 8) -> int | None:
     """The length of a shortest cycle of an undirected graph: 3 or 4 from counts, longer ones from two walks that meet; None beyond ``most``."""
     from sparsegrid.operators.cycles import count_four_cycles

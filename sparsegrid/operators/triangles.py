@@ -8,13 +8,14 @@ cycle and is listed once.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from math import ceil
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from sparsegrid.model import Graph
+from sparsegrid.model import Graph, SparseMatrix
 from sparsegrid.operators.algebra import trace_of_product
-from sparsegrid.operators.multiply import join_multiply
+from sparsegrid.operators.multiply import multiply_bilinear, sliced, sparse_multiply
 from sparsegrid.operators.ranking import deal
 from sparsegrid.plans.lineage import cut_lineage
 
@@ -81,6 +82,8 @@ class Layers:
     sets: DataFrame
     cells: DataFrame
     third: DataFrame
+    vertices: int
+    most: int
 
 
 def plan_layers(g: Graph, workers: int | None = None, parts: str = "degree") -> Layers:
@@ -92,34 +95,54 @@ def plan_layers(g: Graph, workers: int | None = None, parts: str = "degree") ->
     sets = cut_lineage(split_parts(tagged, max(m, 1), p))
     cells = cut_lineage(assign_cells(sets, p))
     third = cut_lineage(third_parts(tagged, part_matrix(tagged).select("pi", "pj"), p))
-    return Layers(g, p, m, split, tagged, sets, cells, third)
+    line = split.agg(F.count("*"), F.max("d")).first()  # no line of edges is longer than the largest degree
+    return Layers(g, p, m, split, tagged, sets, cells, third, int(line[0]), int(line[1] or 0))
 
 
-def _workers(cells: DataFrame, p: int) -> tuple[DataFrame, Column]:
-    return cells.select("pi", "pj", "l", "set_id"), (F.col("set_id") * p + F.col("d")).cast("int")
+def packets(x: Layers, holders: int, edges: DataFrame | None = None) -> DataFrame:
+    """(src, dst, set_id, holder): every edge with the set that has to learn it, dealt evenly to ``holders``.
+
+    Edges are numbered set by set; a set holds about m / p^2 edges, so numbering
+    one is a window of bounded size, and the sets' offsets are a table of 2 p^2
+    rows.  No holder has more than one packet above the mean.
+    """
+    sets = x.sets.select("pi", "pj", F.col("v").alias("src"), "l").join(x.cells.select("pi", "pj", "l", "set_id"), ["pi", "pj", "l"]).select("pi", "pj", "src", "set_id")
+    told = (x.tagged if edges is None else edges).join(sets, ["pi", "pj", "src"]).select("src", "dst", "set_id")
+    sizes = told.groupBy("set_id").agg(F.count("*").alias("c_"))
+    offsets = sizes.select("set_id", (F.sum("c_").over(Window.orderBy("set_id")) - F.col("c_")).alias("first_"))
+    place = F.row_number().over(Window.partitionBy("set_id").orderBy("src", "dst")) - 1
+    return told.withColumn("at_", place).join(offsets, "set_id").select("src", "dst", "set_id", F.pmod(F.col("first_") + F.col("at_"), F.lit(holders)).cast("int").alias("holder"))
 
 
-def learned_edges(x: Layers, canonical: bool = True, directed: bool = True) -> tuple[DataFrame, DataFrame, DataFrame]:
+def learned_edges(x: Layers, canonical: bool = True, directed: bool = True, holders: int | None = None, chunk: int | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
     """The three edge sets of every worker: first edges, edges to the third vertex, edges back.
 
     With ``canonical`` only edges that a triangle told from its smallest vertex
-    can use are sent, which halves the copies or better.
+    can use are sent, which halves the copies or better.  First edges go to
+    ``holders`` in even packets (by default one for each shuffle partition), and
+    from there to all members of their set's cell.  The others are routed like a
+    product's entries: the lines of the third vertices are held in pieces of at
+    most ``chunk``, and a cell's third part asks for each piece.
     """
-    cells, worker = _workers(x.cells, x.p)
-    first = x.tagged.where("src < dst") if canonical else x.tagged
-    sets = x.sets.select("pi", "pj", F.col("v").alias("src"), "l")
+    worker = (F.col("set_id") * x.p + F.col("d")).cast("int")
+    k = holders or int(x.g.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = packets(x, k, x.tagged.where("src < dst") if canonical else None).repartitionById(k, F.col("holder"))
     every = F.explode(F.sequence(F.lit(0), F.lit(x.p - 1))).alias("d")
-    e1 = first.join(sets, ["pi", "pj", "src"]).join(cells, ["pi", "pj", "l"]).select("set_id", F.col("src").alias("v1"), F.col("dst").alias("v2"), every)
-    e1 = e1.select(worker.alias("worker"), "v1", "v2")
-    third, in_use = x.third.select("pi", "pj", F.col("v").alias("v3"), "d"), cells.select("pi", "pj", "set_id")
-    middle = x.tagged if not canonical or directed else x.tagged.where("src < dst")
-    e2 = middle.select(F.col("src").alias("v2"), F.col("dst").alias("v3"), F.col("pi").alias("pj")).join(third, ["pj", "v3"]).join(in_use, ["pi", "pj"]).select(worker.alias("worker"), "v2", "v3")
-    back = x.tagged.where("dst < src") if canonical else x.tagged
-    e3 = back.select(F.col("src").alias("v3"), F.col("dst").alias("v1"), F.col("pj").alias("pi")).join(third, ["pi", "v3"]).join(in_use, ["pi", "pj"]).select(worker.alias("worker"), "v3", "v1")
-    return e1, e2, e3
-
-
-def list_triangles(g: Graph, workers: int | None = None, parts: str = "degree", tasks: int | None = None) -> DataFrame:
+    e1 = dealt.select("set_id", F.col("src").alias("v1"), F.col("dst").alias("v2"), every).select(worker.alias("worker"), "v1", "v2")
+    third, in_use = x.third.select("pi", "pj", F.col("v").alias("v3"), "d"), x.cells.select("pi", "pj", "set_id")
+    a = SparseMatrix(x.tagged.select(F.col("src").alias("row"), F.col("dst").alias("col"), (F.col("pi") * x.p + F.col("pj")).alias("val")), x.g.n, x.g.n)
+    paths = []
+    for line, keep, part, near, far in (("col", None if not canonical or directed else "row < col", F.floor(F.col("val") / x.p), "pj", "v2"), ("row", "col < row" if canonical else None, F.pmod("val", F.lit(x.p)), "pi", "v1")):
+        lines = sliced(a, line, chunk, x.m, x.vertices, x.most)
+        held = lines.entries.where(keep) if keep else lines.entries
+        asked = lines.asked(third, "v3")
+        other = "row" if line == "col" else "col"
+        told = held.select(F.col(line).alias("v3"), F.col(other).alias(far), part.cast("int").alias(near), "piece").join(asked, [near, "v3", "piece"])
+        paths.append(told.join(in_use, ["pi", "pj"]).select(worker.alias("worker"), "v3", far))
+    return e1, paths[0].select("worker", "v2", "v3"), paths[1].select("worker", "v3", "v1")
+
+
+def list_triangles(g: Graph, workers: int | None = None, parts: str = "degree", tasks: int | None = None, chunk: int | None = None) -> DataFrame:
     """(v1, v2, v3): every triangle once, smallest vertex first (in an undirected graph in rising order).
 
     ``workers`` logical workers are dealt to ``tasks`` tasks.  Edges are copied
@@ -128,7 +151,7 @@ def list_triangles(g: Graph, workers: int | None = None, parts: str = "degree",
     """
     k = tasks or int(g.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     x = plan_layers(g, workers or min(g.n, 8 * k), parts)
-    e1, e2, e3 = (e.repartitionById(k, F.pmod("worker", F.lit(k))) for e in learned_edges(x, True, g.directed))
+    e1, e2, e3 = (e.repartitionById(k, F.pmod("worker", F.lit(k))) for e in learned_edges(x, True, g.directed, k, chunk))
     met = e1.join(e2.hint("shuffle_hash"), ["worker", "v2"]).where("v1 < v3").join(e3.hint("shuffle_hash"), ["worker", "v3", "v1"])
     return met.select("v1", "v2", "v3")
 
@@ -177,17 +200,41 @@ def triangles_oriented(g: Graph) -> DataFrame:
     return closed.select(three[0].alias("v1"), three[1].alias("v2"), three[2].alias("v3"))
 
 
-def triangles_by_trace(g: Graph) -> DataFrame:
-    """One row: the number of triangles from the trace of the cube."""
+def triangles_by_trace(g: Graph, multiply=sparse_multiply) -> DataFrame:
+    """One row: the number of triangles from the trace of the cube; ``multiply`` may be the seven-product scheme."""
     a = g.matrix()
-    trace = trace_of_product(join_multiply(a, a), a)
+    trace = trace_of_product(multiply(a, a), a)
     return trace.select(F.floor(F.col("trace") / (3 if g.directed else 6)).alias("triangles"))
 
 
+def degeneracy_bounds(g: Graph, slack: float = 0.1, most: int = 1 << 12) -> DataFrame:
+    """One row (low, high) with low <= arboricity <= high for an undirected graph.
+
+    Vertices of at most 2 (1 + slack) times the density are peeled in rounds,
+    whose number grows with the logarithm of the graph.  The densest rest has a
+    forest cover of m / (n - 1) at least; with edges oriented toward what is
+    peeled later no vertex keeps more than it had when peeled.
+    """
+    edges, low, high = cut_lineage(g.edges), 0, 0
+    for _ in range(most):
+        degrees = cut_lineage(edges.groupBy("src").agg(F.count("*").alias("d")))
+        n, ends = degrees.agg(F.count("*"), F.sum("d")).first()
+        if not n:
+            break
+        m = ends / 2
+        low = max(low, ceil(m / (n - 1)) if n > 1 else 0)
+        bar = 2 * (1 + slack) * m / n
+        gone = degrees.where(F.col("d") <= bar)
+        high = max(high, int(gone.agg(F.max("d")).first()[0] or 0))
+        rest = degrees.where(F.col("d") > bar).select("src")
+        edges = cut_lineage(edges.join(rest, "src", "left_semi").join(rest.select(F.col("src").alias("dst")), "dst", "left_semi").select("src", "dst"))
+    return g.edges.sparkSession.range(1).select(F.lit(low).cast("bigint").alias("low"), F.lit(high).cast("bigint").alias("high"))
+
+
 def count_triangles(g: Graph, method: str = "layered", p: int = 4, workers: int | None = None) -> DataFrame:
     """One row (triangles) by any of the methods."""
-    if method == "trace":
-        return triangles_by_trace(g)
+    if method in ("trace", "fast_trace"):
+        return triangles_by_trace(g, multiply_bilinear if method == "fast_trace" else sparse_multiply)
     listed = {
         "layered": lambda: list_triangles(g, workers),
         "random": lambda: list_triangles(g, workers, parts="random"),

@@ -78,6 +78,11 @@ def triangles_arboricity_floor(n: float, m: float) -> float:
     return m**2 / n**3
 
 
+def rounds_listing_floor(n: float) -> float:
+    """Below this no method lists the triangles of a graph with n^2 edges, but for a logarithmic factor."""
+    return n ** (1 / 3)
+
+
 def crossover_four_cycles(n: float) -> float:
     """Up to this number of edges, counting 4-cycles takes constantly many rounds."""
     return n**1.5

@@ -7,9 +7,13 @@ from math import ceil
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsegrid.operators.multiply import Plan
-from sparsegrid.operators.triangles import Layers
+from sparsegrid.model import SparseMatrix
+from sparsegrid.operators.multiply import Plan, local_products, piece_table, route_entries, slice_lines
+from sparsegrid.operators.ranking import ranked
+from sparsegrid.operators.stats import nnz_profile
+from sparsegrid.operators.triangles import Layers, packets
 from sparsegrid.plans.cost import band_bound, intake_bound, listing_alpha, listing_beta
+from sparsegrid.plans.planner import Grid
 
 
 def balance_check(plan: Plan, nz_s: int, nz_t: int) -> DataFrame:
@@ -29,6 +33,13 @@ def page_loads(plan: Plan) -> DataFrame:
     return out.withColumn("ok", F.col("received") <= F.col("bound"))
 
 
+def block_intake(plan: Plan, nz_s: int, nz_t: int) -> DataFrame:
+    """(bi, bj, received, bound, ok): what the workers of each block receive together, against both bands and two longest lines."""
+    block = plan.pages.groupBy("bi", "bj").agg(F.sum("w").alias("received"))
+    bound = nz_s / plan.grid.a + nz_t / plan.grid.b + 2 * max(plan.s.n, plan.t.n)
+    return block.withColumn("bound", F.lit(float(bound))).withColumn("ok", F.col("received") <= F.col("bound"))
+
+
 def product_ledger(plan: Plan, nz_s: int, nz_t: int) -> DataFrame:
     """(phase, worker, received): what each worker receives of both factors and of page counters, and asks for.
 
@@ -40,6 +51,58 @@ def product_ledger(plan: Plan, nz_s: int, nz_t: int) -> DataFrame:
     return stacked.select("x.phase", "worker", "x.received")
 
 
+def message_ledger(plan: Plan, chunk: int) -> DataFrame:
+    """(phase, worker, sent, received): the messages of the phases in which entries move, by sender and by receiver.
+
+    Lines are held in pieces of ``chunk`` entries, two to an owner, owners in
+    turn over the workers.  A worker asks the owner of every piece of its pages
+    (``requests``); owners send each entry to the worker of its page in its band
+    (``deliver_s``, ``deliver_t``); workers send their partial results to the
+    owner of the row, that is its id modulo the workers (``assemble``).
+    Messages of a worker to itself are counted.
+    """
+    k = plan.grid.workers
+    need = plan.pages.select("bi", "bj", "page", "worker")
+    out = []
+    for phase, a, line, other, bands, band in (("deliver_s", plan.s, "col", "row", plan.bands_s, "bi"), ("deliver_t", plan.t, "row", "col", plan.bands_t, "bj")):
+        pieces = piece_table(nnz_profile(a, line), chunk, a.wide).select(F.col("id").alias("page"), "piece", F.pmod("owner", F.lit(k)).alias("owner"))
+        held = slice_lines(a, line, chunk).join(bands.select(F.col("id").alias(other), F.col("band").alias(band)), other)
+        counts = held.groupBy(band, F.col(line).alias("page"), "piece").agg(F.count("*").alias("m")).join(pieces, ["page", "piece"])
+        asked = need.join(pieces, "page").select(F.lit("requests").alias("phase"), F.col("worker").alias("from_"), F.col("owner").alias("to_"), F.lit(1).cast("bigint").alias("m"))
+        out += [counts.join(need, [band, "page"]).select(F.lit(phase).alias("phase"), F.col("owner").alias("from_"), F.col("worker").alias("to_"), "m"), asked]
+    partial = local_products(plan, *route_entries(plan, whole=True))
+    out.append(partial.select(F.lit("assemble").alias("phase"), F.col("worker").alias("from_"), F.pmod("row", F.lit(k)).alias("to_"), F.lit(1).cast("bigint").alias("m")))
+    moves = out[0]
+    for o in out[1:]:
+        moves = moves.union(o)
+    ends = moves.select("phase", F.explode(F.array(F.struct(F.col("from_").cast("int").alias("worker"), F.col("m").alias("sent"), F.lit(0).cast("bigint").alias("received")), F.struct(F.col("to_").cast("int").alias("worker"), F.lit(0).cast("bigint").alias("sent"), F.col("m").alias("received")))).alias("e"))
+    return ends.groupBy("phase", "e.worker").agg(F.sum("e.sent").alias("sent"), F.sum("e.received").alias("received"))
+
+
+def phase_rounds(ledger: DataFrame, workers: int) -> DataFrame:
+    """(phase, most_sent, most_received, rounds): rounds that deliver each phase when everyone sends and takes ``workers`` - 1 messages in each."""
+    most = ledger.groupBy("phase").agg(F.max("sent").alias("most_sent"), F.max("received").alias("most_received"))
+    return most.withColumn("rounds", F.ceil(F.greatest("most_sent", "most_received") / F.lit(max(workers - 1, 1))))
+
+
+def sender_loads(s: SparseMatrix, t: SparseMatrix, grid: Grid, chunk: int | None) -> DataFrame:
+    """(worker, sent): entries that each worker has to send when every page is asked for in all bands.
+
+    With ``chunk`` lines are held in pieces of that size; without it (a baseline)
+    the owner of a line, in the order of ids, sends all of it.
+    """
+    k, loads = grid.workers, None
+    for a, axis, copies in ((s, "col", grid.b), (t, "row", grid.a)):
+        profile = nnz_profile(a, axis)
+        if chunk:
+            held = piece_table(profile, chunk, a.wide).select("owner", "size")
+        else:
+            held = ranked(profile.withColumn("one", F.lit(1)), "id", "one", wide=a.wide).select(F.col("rank").alias("owner"), F.col("nz").alias("size"))
+        sent = held.groupBy(F.pmod("owner", F.lit(k)).cast("int").alias("worker")).agg((F.sum("size") * copies).alias("sent"))
+        loads = sent if loads is None else loads.union(sent)
+    return loads.groupBy("worker").agg(F.sum("sent").alias("sent"))
+
+
 def fixed_phases(n: int, nz_s: int, nz_t: int, grid_ab: int) -> list[tuple[str, int, float]]:
     """(phase, messages, rounds) of the phases whose volume follows from totals alone."""
     return [
@@ -75,6 +138,7 @@ def listing_report(x: Layers) -> DataFrame:
         x.cells.agg(F.max("edges").alias("most")).select(F.lit("set edges").alias("measure"), "most", F.lit(beta).alias("bound")),
         x.cells.agg(F.count("*").alias("most")).select(F.lit("sets").alias("measure"), "most", F.lit(2.0 * p * p).alias("bound")),
         x.third.groupBy("pi", "pj", "d").agg(F.sum("w").alias("w")).agg(F.max("w").alias("most")).select(F.lit("third part edges").alias("measure"), "most", F.lit(4 * beta).alias("bound")),
+        packets(x, n).groupBy("holder").agg(F.count("*").alias("c")).agg(F.max("c").alias("most")).select(F.lit("packets").alias("measure"), "most", F.lit(x.m / n + 1).alias("bound")),
     ]
     joined = out[0]
     for o in out[1:]:

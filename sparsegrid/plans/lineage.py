@@ -1,12 +1,14 @@
 """Cutting lineage in a folder that all executors share.
 
-The cluster names that folder in ``spark.checkpoint.dir``.  Only where the
-session has none (tests on one machine) a temporary one is set.
+The cluster names that folder in ``spark.checkpoint.dir``.  A session on one
+machine that names none gets a temporary one; on a cluster that is an error, as
+executors do not share local folders.
 """
 
 from __future__ import annotations
 
 import gc
+import re
 import tempfile
 import time
 
@@ -14,12 +16,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> str:
-    """The session's checkpoint folder, set to a temporary one where it has none."""
+    """The session's checkpoint folder, set to a temporary one where a session on one machine has none."""
     context = spark.sparkContext
     current = context._jsc.sc().getCheckpointDir()
     if current.isDefined():
         return current.get()
     named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.fullmatch(r"local(\[.*\])?", context.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
     context.setCheckpointDir(named or tempfile.mkdtemp(prefix="sparsegrid-checkpoint-"))
     return context._jsc.sc().getCheckpointDir().get()
 
@@ -56,3 +60,9 @@ def release(spark: SparkSession, every: float = 0.0) -> None:
         gc.collect()
         spark.sparkContext._jvm.System.gc()
         _released[0] = time.monotonic()
+
+
+def drop_folder(spark: SparkSession, path: str) -> None:
+    """Deletes a folder of intermediate tables, on whatever file system it is."""
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from sparsegrid.model import Graph
 from sparsegrid.operators import cycles, paths
 from sparsegrid.operators import triangles as tri
+from sparsegrid.plans import ledger
 from sparsegrid.queries.registry import CUBE_SIDE, dealt, over, query
 from sparsegrid.sources import tables as src
 
@@ -33,22 +34,33 @@ def four_cycles_supply(spark, folder):
     return cycles.count_four_cycles(Graph.of(pairs, s.n_rows + s.n_cols, directed=False).cut()).select("four_cycles")
 
 
-@query("SELECT 12::BIGINT AS k5, 0::BIGINT AS k33, 1::BIGINT AS c5")
-def five_cycles_handmade(spark, folder):
-    """5-cycles of the complete graph on five vertices, the complete bipartite one on three and three, and a ring of five."""
-    n = src.load_table(spark, folder, "region", ["r_regionkey"]).select(F.col("r_regionkey").cast("bigint").alias("v"))
-    k5 = n.select(F.col("v").alias("src")).crossJoin(n.select(F.col("v").alias("dst")))
-    k33 = n.where("v < 3").select(F.col("v").alias("src")).crossJoin(n.where("v < 3").select((F.col("v") + 10).alias("dst")))
-    ring = n.select(F.col("v").alias("src"), F.pmod(F.col("v") + 1, F.lit(5)).alias("dst"))
-    counts = [cycles.count_five_cycles(Graph.of(e, 6, directed=False).cut()).withColumnRenamed("five_cycles", name) for e, name in ((k5, "k5"), (k33, "k33"), (ring, "c5"))]
-    return counts[0].crossJoin(counts[1]).crossJoin(counts[2])
+_C5 = """WITH p2 AS MATERIALIZED (SELECT x.u, y.v, count(*) AS k FROM {0} x JOIN {0} y ON x.v = y.u GROUP BY 1, 2), p3 AS MATERIALIZED (SELECT p2.u, e.v, sum(k) AS k FROM p2 JOIN {0} e ON p2.v = e.u GROUP BY 1, 2),
+d AS (SELECT u, count(*) AS d FROM {0} GROUP BY 1), t5 AS (SELECT coalesce(sum(p2.k * p3.k), 0) AS t FROM p2 JOIN p3 ON p2.u = p3.v AND p2.v = p3.u), t3 AS (SELECT coalesce(sum(k), 0) AS t, coalesce(sum((d - 2) * k), 0) AS h FROM p3 JOIN d USING (u) WHERE p3.u = p3.v)
+SELECT CAST((t5.t - 5 * t3.t - 5 * h) // 10 AS BIGINT) AS five_cycles FROM t5, t3"""
+_BOTH = "SELECT u, v FROM handoff_purchase UNION SELECT v, u FROM handoff_purchase"
 
 
-@query("SELECT CAST(NULL AS INTEGER) AS girth")
-def girth_forest(spark, folder):
-    """A forest has no cycle."""
-    found = paths.girth_upto(src.forest(spark, folder).cut(), 6)
-    return spark.range(1).select(F.lit(found).cast("int").alias("girth"))
+@query(over("handoff_purchase", f"WITH bo AS MATERIALIZED ({_BOTH}), " + _C5.format("bo")[5:]))
+def five_cycles_handoff_purchase(spark, folder):
+    """5-cycles of the hand-offs between purchases, taken both ways."""
+    g = src.handoff(spark, folder, "purchase")
+    return cycles.count_five_cycles(Graph.of(g.edges, g.n, directed=False).cut())
+
+
+@query(over("forest", _C5.format("forest")))
+def five_cycles_forest(spark, folder):
+    return cycles.count_five_cycles(src.forest(spark, folder).cut())
+
+
+@query(over("forest handoff_purchase", f"""WITH bo AS MATERIALIZED ({_BOTH}), c AS (SELECT (SELECT count(*) FROM (SELECT u FROM forest UNION SELECT v FROM forest)) AS n, (SELECT count(*) // 2 FROM forest) AS m, (SELECT count(*) FROM region) AS trees),
+t AS (SELECT count(*) AS t FROM bo x JOIN bo y ON x.v = y.u JOIN bo z ON y.v = z.u AND z.v = x.u)
+SELECT 'forest' AS view, CASE WHEN m <> n - trees THEN 0 END::INTEGER AS girth FROM c UNION ALL SELECT 'handoff_purchase', CASE WHEN t > 0 THEN 3 END::INTEGER FROM t"""))
+def girth_views(spark, folder):
+    """The length of a shortest cycle: none in the forest, whose trees have an edge less than vertices; triangles among the hand-offs."""
+    g = src.handoff(spark, folder, "purchase")
+    both = Graph.of(g.edges, g.n, directed=False).cut()
+    rows = [("forest", paths.girth_upto(src.forest(spark, folder).cut(), 6)), ("handoff_purchase", paths.girth_upto(both, 6))]
+    return spark.createDataFrame(rows, "view string, girth int")
 
 
 def _hops(view: str, most: int) -> str:
@@ -101,12 +113,24 @@ def bfs_levels_forest(spark, folder):
     return paths.bfs_levels(src.forest(spark, folder).cut(), 4 * 10**12)
 
 
-@query("SELECT CAST(2 AS BIGINT) AS low, CAST(4 AS BIGINT) AS high")
+@query(over("forest", "WITH t AS (SELECT 4000000000000 AS v), r(v, level) AS (SELECT v, CAST(0 AS BIGINT) FROM t UNION SELECT e.v, r.level + 1 FROM r JOIN forest e ON e.u = r.v WHERE r.level < 5), l AS (SELECT v, min(level) AS level FROM r GROUP BY 1) SELECT max(level) AS low, 2 * max(level) AS high FROM l", recursive=True))
 def diameter_bounds_forest(spark, folder):
-    """Two hops from a region to its customers: the diameter lies between two and four."""
+    """The diameter of a region's tree lies between the eccentricity of the region and twice that."""
     return paths.diameter_bounds(src.forest(spark, folder).cut(), 4 * 10**12)
 
 
+@query(over("order_chain", """WITH o AS (SELECT o_orderkey AS k, o_custkey AS c, row_number() OVER w AS i, CAST(round(o_totalprice) AS BIGINT) + 1 AS p FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)),
+s AS (SELECT *, CAST(sum(p + coalesce(q, 0)) OVER (PARTITION BY c ORDER BY i) AS BIGINT) AS at FROM (SELECT *, CASE WHEN i > 1 THEN lag(p) OVER (PARTITION BY c ORDER BY i) END AS q FROM o))
+SELECT count(*) AS pairs, CAST(sum(abs(x.at - y.at)) AS BIGINT) AS total, CAST(sum(v.k) AS BIGINT) AS witnesses FROM s x JOIN s y ON x.c = y.c AND x.k <> y.k JOIN s v ON v.c = y.c AND v.i = CASE WHEN x.i < y.i THEN y.i - 1 ELSE y.i + 1 END"""))
+def weighted_paths_order_chain(spark, folder):
+    """Shortest weighted paths along chains of orders (an edge weighs both prices), with the vertex before the last as witness."""
+    g = src.order_chain(spark, folder).cut()
+    price = src.load_table(spark, folder, "orders", ["o_orderkey", "o_totalprice"]).select("o_orderkey", (F.round("o_totalprice").cast("bigint") + 1).alias("p"))
+    at = lambda end, name: price.select(F.col("o_orderkey").alias(end), F.col("p").alias(name))
+    weights = g.edges.join(at("src", "p1"), "src").join(at("dst", "p2"), "dst").select("src", "dst", (F.col("p1") + F.col("p2")).alias("w"))
+    return paths.shortest_paths(g, weights).agg(F.count("*").alias("pairs"), F.sum("dist").alias("total"), F.sum("via").alias("witnesses"))
+
+
 _TRI_DIRECTED = "SELECT a.u AS v1, a.v AS v2, b.v AS v3 FROM {0} a JOIN {0} b ON a.v = b.u JOIN {0} c ON b.v = c.u AND c.v = a.u WHERE a.u < a.v AND a.u < b.v"
 _TRI_RISING = "SELECT a.u AS v1, a.v AS v2, b.v AS v3 FROM {0} a JOIN {0} b ON a.v = b.u JOIN {0} c ON b.v = c.u AND c.v = a.u WHERE a.u < a.v AND a.v < b.v"
 
@@ -120,9 +144,10 @@ def _listed(name: str, method, view: str = "handoff_purchase"):
 
 _listed("triangles_handoff_directed", tri.list_triangles, "handoff")
 _listed("triangles_handoff_purchase", tri.list_triangles)
-_listed("tri_fixed_triples", lambda g: tri.triangles_fixed_triples(g, 3))
-_listed("tri_two_hop", tri.triangles_two_hop)
-_listed("tri_random_parts", lambda g: tri.list_triangles(g, parts="random"))
+_listed("triangles_handoff_sliced", lambda g: tri.list_triangles(g, chunk=20), "handoff")
+_listed("tri_fixed_triples", lambda g: tri.triangles_fixed_triples(g, 3), "handoff")
+_listed("tri_two_hop", tri.triangles_two_hop, "handoff")
+_listed("tri_random_parts", lambda g: tri.list_triangles(g, parts="random"), "handoff")
 
 
 def _counted(name: str, method: str, view: str, make):
@@ -132,7 +157,7 @@ def _counted(name: str, method: str, view: str, make):
 
 for _m in ("layered", "oriented", "trace"):
     _counted(f"triangle_count_co_order_{_m}", _m, "co_order", src.co_order)
-for _m in ("layered", "fixed", "two_hop", "random", "trace"):
+for _m in ("layered", "fixed", "two_hop", "random", "trace", "fast_trace"):
     _counted(f"triangle_count_handoff_{_m}", _m, "handoff", src.handoff)
 
 
@@ -180,6 +205,31 @@ def tri_cells(spark, folder):
     return _layers(spark, folder).cells.select("pi", "pj", "l", "edges", F.col("set_id").cast("bigint").alias("set_id"), "wave", "cell")
 
 
+@query(over("handoff", _LAYERS + """ SELECT count(*) AS holders, min(c) AS least, max(c) AS most, CAST(sum(c) AS BIGINT) AS packets FROM (SELECT holder, count(*) AS c FROM (
+  SELECT (row_number() OVER (ORDER BY ce.set_id, tg.src, tg.dst) - 1) % 64 AS holder FROM tg JOIN sp ON sp.pi = tg.pi AND sp.pj = tg.pj AND sp.v = tg.src JOIN ce ON ce.pi = sp.pi AND ce.pj = sp.pj AND ce.l = sp.l) GROUP BY 1)"""))
+def tri_packets(spark, folder):
+    """First edges dealt in packets to 64 holders: the least and the most that one holds."""
+    of = tri.packets(_layers(spark, folder), 64).groupBy("holder").agg(F.count("*").alias("c"))
+    return of.agg(F.count("*").alias("holders"), F.min("c").alias("least"), F.max("c").alias("most"), F.sum("c").alias("packets"))
+
+
+@query(over("handoff", _LAYERS + """, nn AS (SELECT CAST(p AS DOUBLE) AS p, CAST(m AS DOUBLE) AS m FROM n0)
+SELECT *, most <= bound AS ok FROM (SELECT 'part degrees' AS measure, CAST(max(w) AS BIGINT) AS most, any_value(2 * (m / p + p * p * p)) AS bound FROM (SELECT sum(d) AS w FROM pt GROUP BY part), nn
+  UNION ALL SELECT 'set edges', max(edges), any_value(m / (p * p) + p * p * p) FROM ce, nn UNION ALL SELECT 'sets', count(*), any_value(2 * p * p) FROM ce, nn
+  UNION ALL SELECT 'third part edges', CAST(max(w) AS BIGINT), any_value(4 * (m / (p * p) + p * p * p)) FROM (SELECT sum(w) AS w FROM td GROUP BY pi, pj, d), nn
+  UNION ALL SELECT 'packets', CAST(ceil(any_value(m) / any_value(p * p * p)) AS BIGINT), any_value(m / (p * p * p) + 1) FROM nn)"""))
+def ledger_triangles(spark, folder):
+    """The loads of the layered listing against their proved bounds."""
+    report = ledger.listing_report(_layers(spark, folder))
+    return report.select("measure", "most", F.col("bound").cast("double").alias("bound"), "ok")
+
+
+@query()
+def degeneracy_co_order(spark, folder):
+    """Bounds on the arboricity of the co-order graph by peeling."""
+    return tri.degeneracy_bounds(src.co_order(spark, folder).cut())
+
+
 @query(over("handoff", _LAYERS + " SELECT CAST(set_id * (SELECT p FROM n0) + q AS INTEGER) AS worker, count(*) AS edges FROM tg JOIN sp ON sp.pi = tg.pi AND sp.pj = tg.pj AND sp.v = tg.src JOIN ce ON ce.pi = sp.pi AND ce.pj = sp.pj AND ce.l = sp.l, range(0, (SELECT p FROM n0)) r(q) GROUP BY 1"))
 def tri_edge_loads(spark, folder):
     """First edges that each member of each cell learns."""
@@ -195,3 +245,11 @@ def tri_third_loads(spark, folder):
 @query(over("handoff", "SELECT d_out, d_in, count(*) AS vertices FROM (SELECT v, CAST(sum(o) AS BIGINT) AS d_out, CAST(sum(i) AS BIGINT) AS d_in FROM (SELECT u AS v, 1 AS o, 0 AS i FROM handoff UNION ALL SELECT v, 0, 1 FROM handoff) GROUP BY 1) GROUP BY 1, 2"))
 def agg_degree_hist(spark, folder):
     return src.handoff(spark, folder).degrees().groupBy("d_out", "d_in").agg(F.count("*").alias("vertices"))
+
+
+@query(over("alike", f"SELECT label, count(*) AS triangles FROM ({_TRI_RISING.format('alike')}) JOIN embeddings ON vec_id = v1 GROUP BY 1"))
+def triangles_similar_by_label(spark, folder):
+    """Triangles of similar vectors, by their label."""
+    label = src.load_table(spark, folder, "embeddings", ["vec_id", "label"])
+    listed = tri.list_triangles(src.similar(spark, folder).cut())
+    return listed.join(label, listed["v1"] == label["vec_id"]).groupBy("label").agg(F.count("*").alias("triangles"))

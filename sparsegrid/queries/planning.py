@@ -8,7 +8,6 @@ from sparsegrid.functions.table_functions import divisor_grid
 from sparsegrid.operators import multiply as mu
 from sparsegrid.operators.ranking import deal
 from sparsegrid.operators.stats import nnz_profile, totals
-from sparsegrid.operators.triangles import plan_layers
 from sparsegrid.plans import cost, ledger
 from sparsegrid.plans.planner import Grid
 from sparsegrid.queries.registry import CUBE_SIDE, dealt, over, query
@@ -237,17 +236,64 @@ def _skew(plan):
     return of.agg(F.round(F.max("w") * plan.grid.workers / F.sum("w"), 3).alias("messages"), F.round(F.max("p") * plan.grid.workers / F.sum("p"), 3).alias("products"))
 
 
-@query()
+_TERMS = "WITH t AS MATERIALIZED (SELECT u, CAST('0x' || substr(md5(v), 1, 15) AS BIGINT) AS v FROM doc_term), pr AS (SELECT u AS id, count(*) AS nz FROM t GROUP BY 1)"
+_RANGE = "CAST((row_number() OVER (PARTITION BY {0} ORDER BY {1}) - 1) * 4 // count(*) OVER (PARTITION BY {0}) AS INTEGER)"
+
+
+def _ablated(name: str, bands: str, slots: str) -> str:
+    """One variant of the dealing, as common table expressions and a row."""
+    return f""", b{name} AS (SELECT id, {bands} AS band FROM pr), s{name} AS (SELECT band AS bi, v AS page, count(*) AS ws FROM t JOIN b{name} ON id = u GROUP BY 1, 2),
+g{name} AS (SELECT bi, bj, page, coalesce(ws, 0) AS ws, coalesce(wt, 0) AS wt, coalesce(ws, 0) + coalesce(wt, 0) AS w FROM (SELECT bi, page, ws, bj FROM s{name}, range(0, 4) r(bj)) FULL JOIN (SELECT bi AS bj, page, ws AS wt, q AS bi FROM s{name}, range(0, 4) r(q)) USING (bi, bj, page)),
+w{name} AS (SELECT sum(w) AS w, sum(ws * wt) AS p FROM (SELECT *, {slots} AS slot FROM g{name}) GROUP BY bi, bj, slot), r{name} AS (SELECT round(max(w) * 64 / sum(w), 3) AS messages, round(max(p) * 64 / sum(p), 3) AS products FROM w{name})"""
+
+
+_DEALT_B, _DEALT_P = dealt("id", "nz", "4"), dealt("page", "w", "4", "bi, bj")
+_NEXT_B, _NEXT_P = "CAST((row_number() OVER (ORDER BY id) - 1) * 4 // count(*) OVER () AS INTEGER)", _RANGE.format("bi, bj", "page")
+_VARIANTS = (("full", _DEALT_B, _DEALT_P), ("bands", _NEXT_B, _DEALT_P), ("pages", _DEALT_B, _NEXT_P), ("neither", _NEXT_B, _NEXT_P))
+
+
+@query(over("doc_term", _TERMS + "".join(_ablated(*v) for v in _VARIANTS) + " SELECT 'full' AS variant, * FROM rfull UNION ALL SELECT 'adjacent bands', * FROM rbands UNION ALL SELECT 'adjacent pages', * FROM rpages UNION ALL SELECT 'neither', * FROM rneither"))
 def ablation_doc_term(spark, folder):
     """Largest over mean intake on the 4 x 4 x 4 grid of documents by terms, with and without each balancing step."""
     d = src.doc_term(spark, folder).cut()
     out = None
-    for name, bands, pages in (("full", "stride", "stride"), ("adjacent bands", "adjacent", "stride"), ("adjacent pages", "stride", "ranges"), ("neither", "adjacent", "ranges"), ("random bands", "random", "ranges")):
+    for name, bands, pages in (("full", "stride", "stride"), ("adjacent bands", "adjacent", "stride"), ("adjacent pages", "stride", "ranges"), ("neither", "adjacent", "ranges")):
         row = _skew(mu.plan_product(d, d.transpose(), Grid(4, 4, 4), bands, pages, keep_idle=True)).select(F.lit(name).alias("variant"), "messages", "products")
         out = row if out is None else out.union(row)
     return out
 
 
+@query()
+def ablation_random_bands(spark, folder):
+    """The same with bands by a seeded hash, which SQL engines do not share."""
+    d = src.doc_term(spark, folder).cut()
+    return _skew(mu.plan_product(d, d.transpose(), Grid(4, 4, 4), "random", "ranges", keep_idle=True))
+
+
+@query(over("doc_term", _TERMS + """, l AS (SELECT v AS id, count(*) AS nz FROM t GROUP BY 1), c AS (SELECT CAST(ceil(sum(nz) / count(*)) AS BIGINT) AS c FROM l),
+q AS (SELECT nz, c, CAST(sum((nz + c - 1) // c) OVER (ORDER BY id) AS BIGINT) - (nz + c - 1) // c AS f, row_number() OVER (ORDER BY id) - 1 AS rank FROM l, c),
+pc AS (SELECT ((f + i) // 2) % 64 AS worker, sum(least(c, nz - i * c)) * 8 AS sent FROM (SELECT *, unnest(range(0, (nz + c - 1) // c)) AS i FROM q) GROUP BY 1),
+wl AS (SELECT rank % 64 AS worker, sum(nz) * 8 AS sent FROM q GROUP BY 1)
+SELECT 'pieces' AS senders, round(max(sent) * 64 / sum(sent), 3) AS skew FROM pc UNION ALL SELECT 'whole lines', round(max(sent) * 64 / sum(sent), 3) FROM wl"""))
+def ablation_senders_doc_term(spark, folder):
+    """Largest over mean number of entries that an owner sends: lines held in pieces of the mean length, and whole lines."""
+    d = src.doc_term(spark, folder).cut()
+    r = nnz_profile(d, "col").agg(F.sum("nz"), F.count("*")).first()
+    out = None
+    for name, chunk in (("pieces", max(1, -(-r[0] // r[1]))), ("whole lines", None)):
+        loads = ledger.sender_loads(d, d.transpose(), Grid(4, 4, 4), chunk)
+        row = loads.agg(F.round(F.max("sent") * 64 / F.sum("sent"), 3).alias("skew")).select(F.lit(name).alias("senders"), "skew")
+        out = row if out is None else out.union(row)
+    return out
+
+
+@query(over("co_order handoff handoff_purchase", f"SELECT view, round(pow(n, 1.0 / 3), 4) AS floor, m >= CAST(n AS DOUBLE) * (n - 1) / 2 AS dense FROM {_VIEW_SIZES}"))
+def listing_floor(spark, folder):
+    """The lower bound on listing triangles that holds for dense graphs, and which views are dense."""
+    rows = [(v, cost.rounds_listing_floor(n), m >= n * (n - 1) / 2) for v, n, m in _view_sizes(spark, folder)]
+    return spark.createDataFrame(rows, "view string, floor double, dense boolean").withColumn("floor", F.round("floor", 4))
+
+
 @query("SELECT 64 AS k, a, b, c FROM (SELECT CAST(a AS INTEGER) AS a, CAST(b AS INTEGER) AS b, CAST(64 // (a * b) AS INTEGER) AS c FROM range(1, 65) x(a), range(1, 65) y(b) WHERE 64 % a = 0 AND (64 // a) % b = 0)")
 def udtf_divisor_grid(spark, folder):
     return divisor_grid(F.lit(64)).select(F.lit(64).alias("k"), "a", "b", "c")
@@ -263,19 +309,48 @@ def tri_alpha_beta(spark, folder):
     return spark.createDataFrame([(p, m, round(cost.listing_alpha(p**3, m), 4), round(cost.listing_beta(p**3, m), 4))], "p int, m bigint, alpha double, beta double")
 
 
-@query("SELECT CAST(4 AS BIGINT) AS measures, CAST(4 AS BIGINT) AS within")
-def ledger_triangles(spark, folder):
-    """How many of the proved bounds of the layered listing hold on the hand-off graph."""
-    report = ledger.listing_report(plan_layers(src.handoff(spark, folder).cut()))
-    return report.agg(F.count("*").alias("measures"), F.sum(F.col("ok").cast("bigint")).alias("within"))
+@query(over("handoff", _HO_PAGES + """, l AS (SELECT CAST(sum(w) AS BIGINT) AS w FROM asg GROUP BY bi, bj, slot),
+z AS (SELECT (SELECT count(*) FROM handoff) AS nz, (SELECT count(DISTINCT user_id) FROM events) AS n)
+SELECT most, round(mean, 6) AS mean, bound, most <= bound AS ok FROM (SELECT max(w) AS most, sum(w) / 24.0::DOUBLE AS mean, any_value(nz) * 3 / 24.0::DOUBLE + any_value(nz) * 2 / 24.0::DOUBLE + 6 * any_value(n) AS bound FROM l, z)"""))
+def intake_handoff(spark, folder):
+    """The largest and the mean intake of a worker, and the bound."""
+    plan = _handoff_plan(spark, folder)
+    nz = plan.s.nnz()
+    return ledger.intake_report(plan, nz, nz).select("most", F.round("mean", 6).alias("mean"), "bound", "ok")
 
 
-@query(over("handoff", "SELECT true AS ok"))
-def intake_handoff(spark, folder):
-    """The largest intake of a worker against its bound."""
+@query(over("handoff", _HO_PAGES + """, z AS (SELECT (SELECT count(*) FROM handoff) AS nz, (SELECT count(DISTINCT user_id) FROM events) AS n)
+SELECT *, received <= bound AS ok FROM (SELECT bi, bj, CAST(sum(w) AS BIGINT) AS received, any_value(nz) / 2.0::DOUBLE + any_value(nz) / 3.0::DOUBLE + 2 * any_value(n) AS bound FROM asg, z GROUP BY bi, bj)"""))
+def ledger_block_intake(spark, folder):
+    """What the workers of each block receive together, against its bound."""
     plan = _handoff_plan(spark, folder)
     nz = plan.s.nnz()
-    return ledger.intake_report(plan, nz, nz).select("ok")
+    return ledger.block_intake(plan, nz, nz)
+
+
+_MESSAGES = _HO_PAGES + """, wk AS (SELECT *, (bi * 3 + bj) * 4 + slot AS worker FROM asg),
+qs AS (SELECT page, CAST(sum((nz + 19) // 20) OVER (ORDER BY page) AS BIGINT) - (nz + 19) // 20 AS f, (nz + 19) // 20 AS c FROM (SELECT v AS page, count(*) AS nz FROM handoff GROUP BY 1)),
+qt AS (SELECT page, CAST(sum((nz + 19) // 20) OVER (ORDER BY page) AS BIGINT) - (nz + 19) // 20 AS f, (nz + 19) // 20 AS c FROM (SELECT u AS page, count(*) AS nz FROM handoff GROUP BY 1)),
+es AS (SELECT br.band AS bi, v AS page, (row_number() OVER (PARTITION BY v ORDER BY u) - 1) // 20 AS piece FROM handoff JOIN br ON br.id = u),
+et AS (SELECT bc.band AS bj, u AS page, (row_number() OVER (PARTITION BY u ORDER BY v) - 1) // 20 AS piece FROM handoff JOIN bc ON bc.id = v),
+mv AS (SELECT 'deliver_s' AS phase, (f + piece) // 2 % 24 AS a, worker AS b FROM es JOIN qs USING (page) JOIN wk USING (bi, page)
+  UNION ALL SELECT 'deliver_t', (f + piece) // 2 % 24, worker FROM et JOIN qt USING (page) JOIN wk USING (bj, page)
+  UNION ALL SELECT 'requests', worker, (f + i) // 2 % 24 FROM wk JOIN qs USING (page), range(0, 100000) r(i) WHERE i < c
+  UNION ALL SELECT 'requests', worker, (f + i) // 2 % 24 FROM wk JOIN qt USING (page), range(0, 100000) r(i) WHERE i < c
+  UNION ALL SELECT 'assemble', worker, row % 24 FROM (SELECT DISTINCT worker, x.u AS row, y.v AS col FROM handoff x JOIN handoff y ON x.v = y.u JOIN br ON br.id = x.u JOIN bc ON bc.id = y.v JOIN wk ON wk.page = x.v AND wk.bi = br.band AND wk.bj = bc.band)),
+led AS (SELECT phase, worker, CAST(sum(s) AS BIGINT) AS sent, CAST(sum(r) AS BIGINT) AS received FROM (SELECT phase, a AS worker, 1 AS s, 0 AS r FROM mv UNION ALL SELECT phase, b, 0, 1 FROM mv) GROUP BY 1, 2)"""
+
+
+@query(over("handoff", _MESSAGES + " SELECT phase, CAST(worker AS INTEGER) AS worker, sent, received FROM led"))
+def ledger_sent_received(spark, folder):
+    """Messages of each phase by sender and receiver; lines are held in pieces of twenty entries."""
+    return ledger.message_ledger(_handoff_plan(spark, folder), 20)
+
+
+@query(over("handoff", _MESSAGES + " SELECT phase, max(sent) AS most_sent, max(received) AS most_received, CAST(ceil(greatest(max(sent), max(received)) / 23.0::DOUBLE) AS BIGINT) AS rounds FROM led GROUP BY 1"))
+def ledger_rounds(spark, folder):
+    """Rounds that the 24 workers need for each phase."""
+    return ledger.phase_rounds(ledger.message_ledger(_handoff_plan(spark, folder), 20), 24)
 
 
 @query(f"SELECT r_regionkey AS id, {dealt('r_regionkey', 'w', '3')} AS band FROM (SELECT r_regionkey, length(r_name) AS w FROM region)")

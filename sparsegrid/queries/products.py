@@ -22,6 +22,13 @@ def _handoff(spark, folder) -> SparseMatrix:
     return src.handoff(spark, folder).cut().matrix()
 
 
+@query(over("supply", "SELECT count(*) AS parts, 0::BIGINT AS split FROM (SELECT DISTINCT u FROM supply)"))
+def own_by_row_supply(spark, folder):
+    """Parts, and parts whose entries lie in several partitions once rows are owned: none."""
+    held = mu.own_by(src.supply(spark, folder), "row", 6).select("row", F.spark_partition_id().alias("p"))
+    return held.groupBy("row").agg(F.countDistinct("p").alias("k")).agg(F.count("*").alias("parts"), F.count(F.when(F.col("k") > 1, 1)).alias("split"))
+
+
 def _square_with(multiply):
     def run(spark, folder) -> DataFrame:
         a = _handoff(spark, folder)
@@ -35,7 +42,7 @@ for _name, _multiply in {
     "sparse_multiply_bytes_objective": lambda a, b: mu.sparse_multiply(a, b, 24, objective="bytes"),
     "sparse_multiply_closed_form": lambda a, b: mu.sparse_multiply(a, b, 24, split="closed_form", objective="rounds"),
     "balanced_multiply_fixed_grid": lambda a, b: mu.balanced_multiply(a, b, Grid(2, 3, 4)),
-    "balanced_multiply_pieces": lambda a, b: mu.balanced_multiply(a, b, Grid(2, 2, 2), pieces=4),
+    "balanced_multiply_pieces": lambda a, b: mu.balanced_multiply(a, b, Grid(2, 2, 2), chunk=20),
     "balanced_multiply_serpentine": lambda a, b: mu.balanced_multiply(a, b, Grid(2, 3, 2), "serpentine", "serpentine"),
     "balanced_multiply_by_products": lambda a, b: mu.balanced_multiply(a, b, Grid(2, 2, 3), weight="products"),
     "fixed_cube_handoff": lambda a, b: mu.multiply_fixed_cube(a, b, 8),
@@ -228,3 +235,65 @@ def join_full_compare(spark, folder):
     """Places where the planned product and the plain one differ: none."""
     a = _handoff(spark, folder)
     return al.compare(mu.balanced_multiply(a, a, Grid(2, 2, 2)), mu.join_multiply(a, a)).agg(F.count("*").alias("differing"))
+
+
+_SQUARE_SIZE = over("co_order", f"SELECT count(*) AS nz, CAST(sum(val) AS BIGINT) AS total FROM ({PRODUCT.format('co_order', 'co_order')})")
+
+
+def _size_of_square(multiply):
+    def run(spark, folder) -> DataFrame:
+        a = src.co_order(spark, folder).cut().matrix()
+        return multiply(a, a).df.agg(F.count("*").alias("nz"), F.sum("val").alias("total"))
+
+    return run
+
+
+# the square of a graph that gets sparser as it grows, by the planned product and its baselines
+for _name, _multiply in {
+    "square_co_order": mu.sparse_multiply,
+    "square_co_order_join": mu.join_multiply,
+    "square_co_order_fixed_cube": lambda a, b: mu.multiply_fixed_cube(a, b, 8),
+    "square_co_order_random": lambda a, b: mu.multiply_random(a, b, Grid(2, 2, 2)),
+}.items():
+    query(_SQUARE_SIZE, _name)(_size_of_square(_multiply))
+
+
+@query(over("supply", "WITH g AS (SELECT x.v AS u, y.v, count(*) AS w FROM supply x JOIN supply y ON x.u = y.u GROUP BY 1, 2) SELECT g.u AS row, CAST(s_nationkey AS BIGINT) AS col, CAST(sum(w) AS BIGINT) AS val FROM g JOIN supplier ON s_suppkey = g.v GROUP BY 1, 2"))
+def multiply_one_sided(spark, folder):
+    """A dense factor (suppliers by suppliers) times a sparse one (suppliers by nations)."""
+    s = src.supply(spark, folder).cut()
+    dense = mu.sparse_multiply(s.transpose(), s).cut()
+    at = src.load_table(spark, folder, "supplier", ["s_suppkey", "s_nationkey"])
+    sparse = SparseMatrix.of(at.select(F.col("s_suppkey").alias("row"), F.col("s_nationkey").alias("col"), F.lit(1).alias("val")), s.n_cols, 25)
+    return mu.sparse_multiply(dense, sparse, 8, objective="rounds").df.select("row", "col", "val")
+
+
+_SHARED = """WITH b AS (SELECT item_id AS u, term AS v, count(*) AS w FROM (SELECT item_id, unnest(string_split_regex(lower(text), '[^\\p{L}]+')) AS term FROM benchmark) WHERE term <> '' GROUP BY 1, 2)"""
+
+
+@query(over("doc_term", _SHARED + " SELECT d.u AS doc, b.u AS item, CAST(sum(d.w * b.w) AS BIGINT) AS val FROM doc_term d JOIN b USING (v) GROUP BY 1, 2 ORDER BY val DESC, doc, item LIMIT 50"))
+def doc_benchmark_topk(spark, folder):
+    """The fifty pairs of a document and a benchmark item with the largest inner products of term counts."""
+    d = src.doc_term(spark, folder).cut()
+    items = src.terms_matrix(src.load_table(spark, folder, "benchmark", ["item_id", "text"]), "item_id", "text")
+    b = d.with_df(items.select(src.hashed_id(F.col("term")).alias("row"), F.col("row").alias("col"), "val"))
+    return al.top_k(mu.sparse_multiply(d, b).df, "val", 50, ties=["row", "col"]).select(F.col("row").alias("doc"), F.col("col").alias("item"), "val")
+
+
+@query(_SHARED + " SELECT x.v AS one, y.v AS other, CAST(sum(x.w * y.w) AS BIGINT) AS val FROM b x JOIN b y USING (u) WHERE x.v < y.v GROUP BY 1, 2 ORDER BY val DESC, one, other LIMIT 50")
+def term_cooccurrence_topk(spark, folder):
+    """The fifty pairs of terms that the benchmark's items use together most."""
+    counts = src.terms_matrix(src.load_table(spark, folder, "benchmark", ["item_id", "text"]), "item_id", "text")
+    names = counts.select(src.hashed_id(F.col("term")).alias("id"), "term").distinct()
+    b = SparseMatrix(counts.select("row", src.hashed_id(F.col("term")).alias("col"), "val"), 1, 1, wide=True).cut()
+    pairs = mu.sparse_multiply(b.transpose(), b).df.where("row <> col")
+    told = pairs.join(names.select(F.col("id").alias("row"), F.col("term").alias("one")), "row").join(names.select(F.col("id").alias("col"), F.col("term").alias("other")), "col").where("one < other")
+    return al.top_k(told, "val", 50, ties=["one", "other"]).select("one", "other", "val")
+
+
+@query(HANDOFF_SQUARE)
+def balanced_multiply_any_index(spark, folder):
+    """The workers of the grid renamed by a one-to-one map: the product stays the same."""
+    a = _handoff(spark, folder)
+    plan = mu.reindexed(mu.plan_product(a, a, Grid(2, 3, 4)), 7)
+    return mu.assemble(plan, mu.local_products(plan, *mu.route_entries(plan))).df.select("row", "col", "val")

@@ -28,8 +28,10 @@ VIEWS = {
     "supply": "SELECT DISTINCT l_partkey AS u, l_suppkey AS v FROM lineitem",
     "qty": "SELECT l_partkey AS u, l_suppkey AS v, CAST(sum(CAST(round(l_quantity * 100) AS BIGINT)) AS BIGINT) AS w FROM lineitem GROUP BY 1, 2",
     "cust_supp": "SELECT DISTINCT o_custkey AS u, l_suppkey AS v FROM orders JOIN lineitem ON l_orderkey = o_orderkey",
-    "doc_term": "SELECT doc_id AS u, term AS v, count(*) AS w FROM (SELECT doc_id, unnest(string_split_regex(lower(text), '[^a-z]+')) AS term FROM documents) WHERE term <> '' GROUP BY 1, 2",
+    "doc_term": "SELECT doc_id AS u, term AS v, count(*) AS w FROM (SELECT doc_id, unnest(string_split_regex(lower(text), '[^\\p{L}]+')) AS term FROM documents) WHERE term <> '' GROUP BY 1, 2",
     "page_link": "SELECT DISTINCT page_id AS u, unnest(regexp_extract_all(html, 'href=\"/([^\"]+)\"', 1)) AS v FROM pages",
+    "alike": """SELECT x.vec_id AS u, y.vec_id AS v FROM (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS e FROM embeddings) x JOIN (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS e FROM embeddings) y
+      ON x.label = y.label AND x.vec_id <> y.vec_id AND list_cosine_similarity(x.e, y.e) >= 0.15""",
     "forest": """SELECT u, v FROM (SELECT 1000000000000 + c_custkey AS u, 3000000000000 + c_nationkey AS v FROM customer
       UNION ALL SELECT 2000000000000 + s_suppkey, 3000000000000 + s_nationkey FROM supplier
       UNION ALL SELECT 3000000000000 + n_nationkey, 4000000000000 + n_regionkey FROM nation)

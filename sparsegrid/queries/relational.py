@@ -63,12 +63,15 @@ def graph_forest(spark, folder):
     return src.forest(spark, folder).edges
 
 
-@query(over("co_order", "SELECT u AS src, v AS dst FROM co_order WHERE u % 10 = 0 AND v % 10 = 0"))
+_DEAR = "SELECT p_partkey FROM part WHERE p_retailprice >= (SELECT avg(p_retailprice) FROM part)"
+
+
+@query(over("co_order", f"SELECT u AS src, v AS dst FROM co_order WHERE u IN ({_DEAR}) AND v IN ({_DEAR})"))
 def filter_induced(spark, folder):
-    """The subgraph that the parts divisible by ten induce."""
-    g = src.co_order(spark, folder)
-    ids = src.load_table(spark, folder, "part", ["p_partkey"]).where("p_partkey % 10 = 0").select(F.col("p_partkey").alias("v"))
-    return rel.induced(g, ids).edges
+    """The subgraph that the parts of at least the mean price induce."""
+    part = src.load_table(spark, folder, "part", ["p_partkey", "p_retailprice"])
+    mean = part.agg(F.avg("p_retailprice")).first()[0]
+    return rel.induced(src.co_order(spark, folder), part.where(F.col("p_retailprice") >= mean).select(F.col("p_partkey").alias("v"))).edges
 
 
 @query(over("handoff", "SELECT y.u AS page, count(*) AS products FROM handoff x JOIN handoff y ON x.v = y.u GROUP BY 1"))
@@ -164,11 +167,14 @@ def agg_min_by(spark, folder):
     return src.load_table(spark, folder, "orders", ["o_custkey", "o_orderkey", "o_orderdate"]).groupBy("o_custkey").agg(F.min_by("o_orderkey", key).alias("first"), F.max_by("o_orderkey", key).alias("last"))
 
 
-@query("SELECT c_nationkey, " + ", ".join(f"count(*) FILTER (c_mktsegment = '{s}') AS {s.lower()}" for s in ("AUTOMOBILE", "BUILDING")) + " FROM customer GROUP BY 1")
+SEGMENTS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
+
+
+@query("SELECT c_nationkey, " + ", ".join(f"count(*) FILTER (c_mktsegment = '{s}') AS {s.lower()}" for s in SEGMENTS) + " FROM customer GROUP BY 1")
 def agg_pivot_segment(spark, folder):
     c = src.load_table(spark, folder, "customer", ["c_nationkey", "c_mktsegment"])
-    wide = c.groupBy("c_nationkey").pivot("c_mktsegment", ["AUTOMOBILE", "BUILDING"]).agg(F.count(F.lit(1)))
-    return wide.select("c_nationkey", F.coalesce("AUTOMOBILE", F.lit(0)).alias("automobile"), F.coalesce("BUILDING", F.lit(0)).alias("building"))
+    wide = c.groupBy("c_nationkey").pivot("c_mktsegment", list(SEGMENTS)).agg(F.count(F.lit(1)))
+    return wide.select("c_nationkey", *[F.coalesce(s, F.lit(0)).alias(s.lower()) for s in SEGMENTS])
 
 
 @query("SELECT event_type, CAST(quantile_disc(value, 0.5) AS DOUBLE) AS median FROM events GROUP BY 1")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from dataclasses import replace
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -26,15 +27,13 @@ def matrix_from_table(df: DataFrame, row: str, col: str, val: Column | None = No
 
 def matrix_from_arrays(df: DataFrame, key: str, array: str, width: int, n_rows: int = 1) -> SparseMatrix:
     """A matrix of doubles from an array column: the place in the array is the column id."""
-    from dataclasses import replace
-
     doubles = replace(PLUS_TIMES, name="double_plus_times", kind="double")
     return SparseMatrix.of(df.select(F.col(key).alias("row"), F.posexplode(array).alias("col", "val")), n_rows, width, doubles)
 
 
 def terms_matrix(df: DataFrame, key: str, text: str) -> DataFrame:
-    """(row, term, val): counts of the runs of a-z in lower-cased texts."""
-    words = df.select(F.col(key).cast("bigint").alias("row"), F.explode(F.split(F.lower(text), "[^a-z]+")).alias("term")).where("term <> ''")
+    """(row, term, val): counts of the runs of letters, of any script, in lower-cased texts."""
+    words = df.select(F.col(key).cast("bigint").alias("row"), F.explode(F.split(F.lower(text), r"[^\p{L}]+")).alias("term")).where("term <> ''")
     return words.groupBy("row", "term").agg(F.count("*").alias("val"))
 
 
@@ -44,8 +43,13 @@ def links_matrix(df: DataFrame, key: str, html: str) -> DataFrame:
 
 
 def numbered(df: DataFrame, key: str) -> DataFrame:
-    """(key, id): the distinct values of a column with 62-bit hashed ids, so no order over all values is needed."""
-    return df.select(key).distinct().select(key, F.xxhash64(key).bitwiseAND(F.lit((1 << 62) - 1)).alias("id"))
+    """(key, id): the distinct values of a column with 60-bit hashed ids, so no order over all values is needed."""
+    return df.select(key).distinct().select(key, hashed_id(F.col(key)).alias("id"))
+
+
+def hashed_id(value: Column) -> Column:
+    """A 60-bit id for a text, which any SQL engine can compute as well: the first 15 digits of its MD5."""
+    return F.conv(F.substring(F.md5(value.cast("binary")), 1, 15), 16, 10).cast("bigint")
 
 
 def graph_from_cooccurrence(df: DataFrame, group: str, item: str, n: int) -> Graph:
@@ -60,7 +64,8 @@ def graph_from_sequence(df: DataFrame, order: Sequence[str], item: str, n: int,
 
     Without a partition the rows are dealt by ranges of the order, neighbours
     are taken within each range, and the ends of the ranges are stitched
-    together: no window runs over all rows.
+    together: no window runs over all rows.  By default a range holds about a
+    million rows, and there are as many as the session's shuffles have at least.
     """
     if partition:
         follow = F.lead(item).over(Window.partitionBy(*partition).orderBy(*order))
@@ -68,7 +73,7 @@ def graph_from_sequence(df: DataFrame, order: Sequence[str], item: str, n: int,
         return Graph.of(pairs, n, directed)
     from sparsegrid.plans.lineage import cut_lineage
 
-    parts = ranges or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    parts = ranges or max(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), df.count() >> 20)
     keyed = df.select(F.struct(*order).alias("o"), F.col(item).alias("i"))
     dealt = cut_lineage(keyed.repartitionByRange(parts, "o").withColumn("p", F.spark_partition_id()))
     within = Window.partitionBy("p").orderBy("o")
@@ -102,7 +107,7 @@ def handoff(spark: SparkSession, folder: str, event_type: str | None = None) ->
     events = load_table(spark, folder, "events", ["ts", "event_id", "user_id", "event_type"])
     users = events.select("user_id").distinct().count()
     events = events.where(F.col("event_type") == event_type) if event_type else events
-    return graph_from_sequence(events, ["ts", "event_id"], "user_id", users, ranges=8)
+    return graph_from_sequence(events, ["ts", "event_id"], "user_id", users)
 
 
 def supply(spark: SparkSession, folder: str) -> SparseMatrix:
@@ -128,8 +133,8 @@ def cust_supp(spark: SparkSession, folder: str) -> SparseMatrix:
 def doc_term(spark: SparkSession, folder: str) -> SparseMatrix:
     """Documents by terms, with counts; terms have hashed ids."""
     counts = terms_matrix(load_table(spark, folder, "documents", ["doc_id", "text"]), "doc_id", "text")
-    hashed = counts.select("row", F.xxhash64("term").bitwiseAND(F.lit((1 << 62) - 1)).alias("col"), "val")
-    return SparseMatrix.of(hashed, _rows(spark, folder, "documents"), 1)
+    hashed = counts.select("row", hashed_id(F.col("term")).alias("col"), "val")
+    return replace(SparseMatrix.of(hashed, _rows(spark, folder, "documents"), 1), wide=True)
 
 
 def forest(spark: SparkSession, folder: str) -> Graph:
@@ -139,6 +144,15 @@ def forest(spark: SparkSession, folder: str) -> Graph:
     return graph_from_keys([(customer, "c_custkey", "c_nationkey", 1, 3), (supplier, "s_suppkey", "s_nationkey", 2, 3), (nation, "n_nationkey", "n_regionkey", 3, 4)], n)
 
 
+def similar(spark: SparkSession, folder: str, least: float = 0.15) -> Graph:
+    """Vectors of one label whose cosine is at least ``least``; only vectors of a label are compared."""
+    e = load_table(spark, folder, "embeddings", ["vec_id", "label", "embedding"]).select("vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
+    inner = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
+    unit = e.withColumn("size", F.sqrt(inner(F.col("v"), F.col("v"))))
+    pairs = unit.alias("x").join(unit.alias("y"), "label").where("x.vec_id < y.vec_id").where(inner(F.col("x.v"), F.col("y.v")) >= least * F.col("x.size") * F.col("y.size"))
+    return Graph.of(pairs.select(F.col("x.vec_id").alias("src"), F.col("y.vec_id").alias("dst")), _rows(spark, folder, "embeddings"), directed=False)
+
+
 def order_chain(spark: SparkSession, folder: str) -> Graph:
     """Consecutive orders of each customer."""
     orders = load_table(spark, folder, "orders", ["o_orderkey", "o_custkey", "o_orderdate"])
