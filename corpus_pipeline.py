@@ -3,7 +3,8 @@
 Every stage takes (spark, docs, folder of the tables) and returns the documents
 that it keeps with all their columns; the last returns the mixed corpus in
 pieces (shard, slot, at, doc_id, first_word, n_words, text).  Between stages the
-documents are written as Parquet in the shared checkpoint folder.
+documents are written as Parquet in the shared checkpoint folder; a stage's folder
+goes when the next has been written, the last one stays for the lazy result.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from sparsegrid.llm.line_dedup import dedup_lines
 from sparsegrid.llm.mixing import mix_sources, mixed_corpus
 from sparsegrid.llm.ngram_join import ngram_components
 from sparsegrid.llm.quality import keep_good, train_quality
-from sparsegrid.plans.lineage import ensure_checkpoint_dir
+from sparsegrid.plans.lineage import drop_folder, ensure_checkpoint_dir
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, folder: str) -> DataFrame:
@@ -42,12 +43,21 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, folder: str) -> D
 
 
 def benchmark_stage(spark: SparkSession, docs: DataFrame, folder: str) -> DataFrame:
-    """Documents of which less than one word in twenty lies in a 13-word window of a benchmark item."""
+    """Documents of which less than one word in twenty lies in a 13-word window of a benchmark item.
+
+    Null and empty texts stay; each of repeated rows is judged on its own, all
+    alike; an empty benchmark removes nothing, an empty table stays empty.
+    """
     return remove_contaminated(docs, spark.read.parquet(f"{folder}/benchmark.parquet"), window=13, share=20)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, folder: str) -> DataFrame:
-    """The mixed corpus: sources weigh 1, 2, 3 in turn, none more than three times its own size."""
+    """The mixed corpus: sources weigh 1, 2, 3 in turn, none more than three times its own size.
+
+    Null and empty texts are in no piece; a null source is one of its own;
+    repeated rows are mixed each; ties of order are broken by id and text; an
+    empty table gives no pieces.
+    """
     return mixed_corpus(docs, mix_sources(docs, weights=(1, 2, 3), cap=3))
 
 
@@ -70,4 +80,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     for k, (_, stage) in enumerate(STAGES[:-1]):
         stage(spark, docs, sf_dir).write.parquet(f"{shared}/{k}")
         docs = spark.read.parquet(f"{shared}/{k}")
+        if k:
+            drop_folder(spark, f"{shared}/{k - 1}")
     return STAGES[-1][1](spark, docs, sf_dir)
