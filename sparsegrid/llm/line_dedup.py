@@ -29,7 +29,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from sparsegrid.plans.lineage import cut_and_release, cut_lineage
+from sparsegrid.plans.lineage import cut_and_release, cut_lineage, release
 
 SPACE = r"[\x20\x09-\x0D]+"
 WORDED = r"[^\x20\x09-\x0D]"
@@ -94,28 +94,33 @@ def _with_shared_half(distinct: DataFrame, many: int) -> DataFrame:
 
 def _marked(lines: Column) -> Column:
     """A byte string with ``1`` at the places of a sorted array of line numbers and ``0`` before and between."""
-    gap = lambda x, i: x - F.when(i == 0, F.lit(-1)).otherwise(F.element_at(lines, F.greatest(i, F.lit(1)))) - 1
-    return F.encode(F.array_join(F.transform(lines, lambda x, i: F.concat(F.repeat(F.lit("0"), gap(x, i)), F.lit("1"))), ""), "UTF-8")
+
+    def marks(held: Column) -> Column:
+        gap = lambda x, i: x - F.when(i == 0, F.lit(-1)).otherwise(F.element_at(held, F.greatest(i, F.lit(1)))) - 1
+        return F.array_join(F.transform(held, lambda x, i: F.concat(F.repeat(F.lit("0"), gap(x, i)), F.lit("1"))), "")
+
+    # a lambda holds the array, so it is made once and not for every element
+    return F.encode(F.transform(F.array(lines), marks)[0], "UTF-8")
 
 
 def _is_marked(mask: Column, i: Column) -> Column:
     return F.coalesce(F.substring(mask, i + 1, F.lit(1)) == F.lit(b"1"), F.lit(False))
 
 
-def _with_words(wanted: DataFrame, docs: DataFrame) -> DataFrame:
-    """(ord, n, hot, words): the words of the lines wanted, taken out of each text in one pass over its lines."""
+def _with_bodies(wanted: DataFrame, docs: DataFrame) -> DataFrame:
+    """(ord, n, hot, body): the lines wanted, taken out of each text in one pass over its lines."""
     by_row = wanted.groupBy(*ROW).agg(F.array_sort(F.collect_list(F.struct("line", "ord", "n", "hot"))).alias("w"))  # no more than the lines of one text
     marked = by_row.select(*ROW, "w", _marked(F.col("w.line")).alias("mask"))
     met = marked.join(_rows(docs), ROW)
     bodies = F.filter(F.split("text", "\n"), lambda line, i: _is_marked(F.col("mask"), i))
     each = met.select(F.explode(F.arrays_zip(bodies.alias("body"), F.col("w").alias("w"))).alias("z"))
-    return each.select("z.w.ord", "z.w.n", "z.w.hot", words_of_line(F.col("z.body")).alias("words")).dropDuplicates(["ord"])
+    return each.select("z.w.ord", "z.w.n", "z.w.hot", "z.body").dropDuplicates(["ord"])
 
 
 def _emitted(found: DataFrame, tasks: int) -> DataFrame:
     """(key, ord, role, hot): for each line its variants at their position (role 0), its variants anywhere (1) and itself (2)."""
     # dealt before the words are taken apart, so sums along a line move nothing
-    single = found.repartition(tasks, "ord").select("ord", "n", "hot", F.posexplode("words").alias("i", "w"))
+    single = found.repartition(tasks, "ord").select("ord", "n", "hot", F.posexplode(words_of_line(F.col("body"))).alias("i", "w"))
     values = {f"{name}{seed}": F.xxhash64(F.lit(seed), "w", F.col("i") + shift).bitwiseAND(F.lit(_MASK)) for name, shift in (("own", 0), ("left", -1)) for seed in (1, 2)}
     sums = single.select("ord", "n", "hot", "i", *[v.alias(k) for k, v in values.items()])
     whole = Window.partitionBy("ord")
@@ -150,7 +155,7 @@ def _packed(emitted: DataFrame) -> DataFrame:
 
 
 def _near(found: DataFrame, tasks: int, many: int) -> DataFrame:
-    """(ord) of the lines (ord, n, hot, words) that have an earlier one within one edit.
+    """(ord) of the lines (ord, n, hot, body) that have an earlier one within one edit.
 
     Lines that share a key share a half, so keys of more than ``many`` rows are
     found among the lines of hot halves; their minima are taken before dealing.
@@ -164,23 +169,29 @@ def _near(found: DataFrame, tasks: int, many: int) -> DataFrame:
         dealt, crowded = _packed(emitted.join(hot, "key", "left_anti")), emitted.join(hot, "key", "left_semi")
         met = _meeting(dealt, _least(dealt)).union(_meeting(crowded, cut_lineage(_least(crowded))))
     earlier = met.groupBy("ord").agg(F.min("first").alias("first"))
-    mine = earlier.join(found.select("ord", "words"), "ord")
-    theirs = found.select(F.col("ord").alias("first"), F.col("words").alias("earlier"))
-    return mine.join(theirs, "first").where(within_one_edit(F.col("words"), F.col("earlier"))).select("ord")
+    mine = earlier.join(found.select("ord", "body"), "ord")
+    theirs = found.select(F.col("ord").alias("first"), F.col("body").alias("earlier"))
+    both = mine.join(theirs, "first").select("ord", words_of_line(F.col("body")).alias("a"), words_of_line(F.col("earlier")).alias("b"))
+    return both.where(within_one_edit(F.col("a"), F.col("b"))).select("ord")
 
 
 def marked_rows(docs: DataFrame, min_words: int = 8, many: int = 1_000_000) -> DataFrame:
     """(doc_id, th, mask, n_kept, n_near): for each row with words which of its lines stay, and how many went for an earlier neighbour."""
     distinct = cut_and_release(_distinct_lines(docs, min_words))
     wanted = _with_shared_half(distinct, many)
-    found = cut_and_release(_with_words(wanted, docs))
+    firsts = cut_lineage(distinct.groupBy(*ROW).agg(F.collect_list("line").alias("firsts")))
+    del distinct  # so its files go at the next cut
+    found = cut_and_release(_with_bodies(wanted, docs))
     session_tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     n_words = found.agg(F.sum(F.col("n").cast("long"))).first()[0] or 0
-    near = wanted.join(_near(found, max(session_tasks, -(-n_words // _WORDS_A_TASK)), many), "ord").select(*ROW, "line", F.lit(True).alias("near"))
-    both = distinct.select(*ROW, "line", F.lit(False).alias("near")).union(near)
-    one = both.groupBy(*ROW).agg(F.collect_list(F.when(~F.col("near"), F.col("line"))).alias("firsts"), F.collect_list(F.when(F.col("near"), F.col("line"))).alias("nears"))
-    kept = one.select(*ROW, F.array_sort(F.array_except("firsts", "nears")).alias("kept"), F.size("nears").cast("long").alias("n_near"))
-    return kept.select(*ROW, _marked(F.col("kept")).alias("mask"), F.size("kept").cast("long").alias("n_kept"), "n_near")
+    near = wanted.join(_near(found, max(session_tasks, -(-n_words // _WORDS_A_TASK)), many), "ord").groupBy(*ROW).agg(F.collect_list("line").alias("nears"))
+    near = cut_lineage(near)
+    del found, wanted
+    none = F.array().cast("array<int>")
+    kept = firsts.join(near, ROW, "left").select(*ROW, F.array_sort(F.array_except("firsts", F.coalesce("nears", none))).alias("kept"), F.coalesce(F.size("nears"), F.lit(0)).cast("long").alias("n_near"))
+    out = kept.select(*ROW, _marked(F.col("kept")).alias("mask"), F.size("kept").cast("long").alias("n_kept"), F.greatest("n_near", F.lit(0)).alias("n_near"))
+    release(docs.sparkSession)
+    return out
 
 
 def line_counts(docs: DataFrame, min_words: int = 8, many: int = 1_000_000) -> DataFrame:
