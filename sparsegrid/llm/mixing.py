@@ -23,7 +23,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from sparsegrid.plans.lineage import cut_lineage
+from sparsegrid.plans.lineage import cut_and_release, cut_lineage
 
 WORD = r"[^\x20\x09-\x0D]+"
 _COPIES = 1 << 12  # copies of one row that one task writes out
@@ -54,11 +54,13 @@ def permuted(x: Column, n: Column, key: Column) -> Column:
 
 @dataclass
 class Mix:
-    """``plan``: a row for each source; ``packed``: a row for each document; ``pieces``: what the mix takes."""
+    """``plan``: a row for each source; ``packed``: a row for each document; ``drawn``: a row for each slot; ``pieces``: what the mix takes."""
 
     plan: DataFrame
     packed: DataFrame
+    drawn: DataFrame
     pieces: DataFrame
+    block_words: int
 
 
 def source_targets(sizes: DataFrame, weights: tuple[int, ...], cap: int) -> DataFrame:
@@ -106,16 +108,26 @@ def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int
     plan = plan.withColumn("blocks", blocks).withColumn("slots", slots)
     plan = cut_lineage(plan.withColumn("start", F.sum("slots").over(Window.orderBy("sid")) - F.col("slots")).join(sums.select(F.col("source").alias("s"), "rows"), F.col("source").eqNullSafe(F.col("s"))).drop("s"))
 
-    packed = cut_lineage(_streams(sized, plan, seed, chunk_rows))
-    begin, end = F.col("off"), F.col("off") + F.col("size")
-    cut = packed.where("size > 0").select("sid", "doc_id", "mark", "off", "size", F.explode(F.sequence(F.floor(begin / block_words), F.floor((end - 1) / block_words))).alias("block"))
-    lo, hi = F.greatest(F.col("block") * block_words, F.col("off")), F.least((F.col("block") + 1) * block_words, F.col("off") + F.col("size"))
-    cut = cut.select("sid", "block", "doc_id", "mark", "off", (lo - F.col("block") * block_words).alias("at"), (lo - F.col("off")).alias("first_word"), (hi - lo).alias("n_words"))
+    packed = cut_and_release(_streams(sized, plan, seed, chunk_rows))
+    at = _pieces_of(block_words)
+    cut = packed.where("size > 0").select("sid", "doc_id", "mark", "off", F.explode(at).alias("p")).select("sid", "p.block", "doc_id", "mark", "off", "p.at", "p.first_word", "p.n_words")
 
     dealt = draw_slots(plan, shard_slots, seed).join(plan.select("sid", "blocks"), "sid")
     epoch = F.floor(F.col("q") / F.col("blocks"))
     drawn = dealt.select("shard", "slot", "sid", permuted(F.col("q") % F.col("blocks"), F.col("blocks"), F.xxhash64(F.lit(seed), "sid", epoch)).alias("block"))
-    return Mix(plan.drop("rows"), packed, drawn.hint("merge").join(cut, ["sid", "block"]))  # the slots are many, though their plan is small
+    # the slots are many, though their plan is small
+    return Mix(plan.drop("rows"), packed, drawn, drawn.hint("merge").join(cut, ["sid", "block"]), block_words)
+
+
+def _pieces_of(block_words: int) -> Column:
+    """What of a row at ``off`` with ``size`` words lies in which block: (block, at, first_word, n_words) in order."""
+    begin, end = F.col("off"), F.col("off") + F.col("size")
+
+    def piece(block: Column) -> Column:
+        lo, hi = F.greatest(block * block_words, begin), F.least((block + 1) * block_words, end)
+        return F.struct(block.alias("block"), (lo - block * block_words).alias("at"), (lo - begin).alias("first_word"), (hi - lo).alias("n_words"))
+
+    return F.transform(F.sequence(F.floor(begin / block_words), F.floor((end - 1) / block_words)), piece)
 
 
 def _streams(sized: DataFrame, plan: DataFrame, seed: int, chunk_rows: int) -> DataFrame:
@@ -151,26 +163,27 @@ def draw_slots(plan: DataFrame, shard_slots: int, seed: int) -> DataFrame:
     tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-total // _SLOTS))
     cell = max(1, total // 4096)
     ranges = plan.where("slots > 0").select("sid", "slots", "start", F.explode(F.sequence(F.floor(F.col("start") / cell), F.floor((F.col("start") + F.col("slots") - 1) / cell))).alias("cell"))
-    x = spark.range(0, total, 1, tasks).select(F.floor(F.col("id") / shard_slots).alias("shard"), (F.col("id") % shard_slots).alias("slot"), F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(total or 1)).alias("u"))
-    drawn = x.withColumn("cell", F.floor(F.col("u") / cell)).join(ranges, "cell").where("u >= start and u < start + slots").select("shard", "slot", "sid")
-    drawn = cut_lineage(drawn)
+    shard = F.floor(F.col("x") / shard_slots).alias("shard")
+    x = spark.range(0, total, 1, tasks).select(F.col("id").alias("x"), F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(total or 1)).alias("u"))
+    drawn = x.withColumn("cell", F.floor(F.col("u") / cell)).join(ranges, "cell").where("u >= start and u < start + slots").select("x", "sid")
+    drawn = cut_and_release(drawn).select("x", "sid", shard)
     by_shard = drawn.groupBy("shard", "sid").agg(F.count("*").alias("c"))
     upto = by_shard.withColumn("before", F.sum("c").over(Window.partitionBy("sid").orderBy("shard")) - F.col("c")).drop("c")
-    rank = F.row_number().over(Window.partitionBy("shard", "sid").orderBy("slot")) - 1
-    ranked = drawn.withColumn("rank", rank).join(upto, ["shard", "sid"]).select("shard", "slot", "sid", (F.col("before") + F.col("rank")).alias("r"))
+    rank = F.row_number().over(Window.partitionBy("shard", "sid").orderBy("x")) - 1
+    ranked = drawn.withColumn("rank", rank).join(upto, ["shard", "sid"]).select("x", "sid", (F.col("before") + F.col("rank")).alias("r"))
 
     counts = plan.where("slots > 0").select("sid", "slots").join(drawn.groupBy("sid").agg(F.count("*").alias("d")), "sid", "left").select("sid", "slots", F.coalesce("d", F.lit(0)).alias("d"))
     over, under = F.greatest(F.col("d") - F.col("slots"), F.lit(0)), F.greatest(F.col("slots") - F.col("d"), F.lit(0))
     running = lambda c: F.sum(c).over(Window.orderBy("sid")) - c
     counts = cut_lineage(counts.select("sid", "slots", "d", running(over).alias("gives"), running(under).alias("takes")))
     q = permuted(F.col("r"), F.col("d"), F.xxhash64(F.lit(seed + 2), "sid"))
-    numbered = ranked.join(counts.select("sid", "slots", "d", "gives"), "sid").select("shard", "slot", "sid", q.alias("q"), "slots", "gives")
-    numbered = cut_lineage(numbered)
+    numbered = ranked.join(counts.select("sid", "slots", "d", "gives"), "sid").select("x", "sid", "slots", "gives", q.alias("q"))
+    # m numbers the slots that are given away
+    numbered = cut_and_release(numbered.select("x", "sid", "q", F.when(F.col("q") >= F.col("slots"), F.col("gives") + F.col("q") - F.col("slots")).alias("m")))
     missing = counts.where("slots > d").select(F.col("sid").alias("to"), "d", "takes", F.explode(F.sequence(F.lit(0).cast("long"), F.col("slots") - F.col("d") - 1)).alias("k"))
     missing = missing.select((F.col("takes") + F.col("k")).alias("m"), "to", (F.col("d") + F.col("k")).alias("as"))
-    spare = numbered.where("q >= slots").withColumn("m", F.col("gives") + F.col("q") - F.col("slots"))
-    moved = spare.join(missing, "m").select("shard", "slot", F.col("to").alias("sid"), F.col("as").alias("q"))
-    return numbered.where("q < slots").select("shard", "slot", "sid", "q").union(moved)
+    moved = numbered.where("m IS NOT NULL").select("x", "m").join(missing, "m").select("x", F.col("to").alias("sid"), F.col("as").alias("q"))
+    return numbered.where("m IS NULL").select("x", "sid", "q").union(moved).select(shard, (F.col("x") % shard_slots).alias("slot"), "sid", "q")
 
 
 def taken_words(mix: Mix) -> DataFrame:
@@ -182,9 +195,20 @@ def taken_words(mix: Mix) -> DataFrame:
 
 
 def mixed_corpus(docs: DataFrame, mix: Mix) -> DataFrame:
-    """The pieces of the mix with their words, in whole shards; repeated rows are fetched as often as the mix takes them."""
-    words = docs.select(F.col("doc_id").cast("long").alias("id_"), _mark(), F.regexp_extract_all("text", F.lit(WORD), F.lit(0)).alias("words")).where(F.size("words") > 0).dropDuplicates(["id_", "mark"])
-    cut = mix.pieces.select("doc_id", F.col("mark").alias("mark_"), "shard", "slot", "at", "first_word", "n_words")
-    text = F.array_join(F.slice("words", (F.col("first_word") + 1).cast("int"), F.col("n_words").cast("int")), " ")
-    met = cut.join(words, F.col("doc_id").eqNullSafe(F.col("id_")) & (F.col("mark_") == F.col("mark")))
-    return met.select("shard", "slot", "at", "doc_id", "first_word", "n_words", text.alias("text"))
+    """The pieces of the mix with their words, in whole shards; repeated rows are taken as often as the mix takes them.
+
+    Each text is cut into the pieces of its blocks where its place is told, once;
+    pieces, not texts, then meet the slots.
+    """
+    texts = docs.where(F.col("text").isNotNull()).select(F.col("doc_id").cast("long").alias("id_"), _mark(), "text").dropDuplicates(["id_", "mark"])
+    placed = mix.packed.where("size > 0").select("doc_id", F.col("mark").alias("mark_"), "sid", "off", "size")
+    met = placed.join(texts, F.col("doc_id").eqNullSafe(F.col("id_")) & (F.col("mark_") == F.col("mark")))
+
+    def pieces(words: Column) -> Column:
+        text = lambda p: F.array_join(F.slice(words, (p["first_word"] + 1).cast("int"), p["n_words"].cast("int")), " ")
+        return F.transform(_pieces_of(mix.block_words), lambda p: F.struct(p["block"].alias("block"), p["at"].alias("at"), p["first_word"].alias("first_word"), p["n_words"].alias("n_words"), text(p).alias("text")))
+
+    # a lambda holds the words, so a text is taken apart once and not for every piece
+    made = F.transform(F.array(F.regexp_extract_all("text", F.lit(WORD), F.lit(0))), pieces)[0]
+    cut = met.select("sid", "doc_id", F.explode(made).alias("p")).select("sid", "doc_id", "p.*")
+    return mix.drawn.hint("merge").join(cut, ["sid", "block"]).select("shard", "slot", "at", "doc_id", "first_word", "n_words", "text")
