@@ -421,6 +421,14 @@ def test_rows_repeated_many_times_are_mixed_each(docs_of):
     assert sum(r.taken for r in out) == pytest.approx(sum(r["size"] for r in out), rel=0.01)
 
 
+def test_a_very_long_text_is_cut_once(docs_of):
+    docs = docs_of([(1, "w " * 400_000, "s"), (2, "a b c", "t")])
+    began = time.monotonic()
+    mix = mix_sources(docs)
+    assert mixed_corpus(docs, mix).agg(F.sum("n_words")).first()[0] == taken_words(mix).agg(F.sum("taken")).first()[0]
+    assert time.monotonic() - began < 40
+
+
 @pytest.mark.parametrize("n", [1, 2, 3, 5, 16, 97, 1000])
 def test_permutation(spark, n):
     out = [r.p for r in spark.range(n).select(permuted(F.col("id"), F.lit(n), F.lit(4)).alias("p")).collect()]
