@@ -80,6 +80,7 @@ def piece_table(profile: DataFrame, chunk: int, wide: bool = False) -> DataFrame
     return cut.select("id", F.col("piece").cast("int").alias("piece"), size.cast("bigint").alias("size"), F.floor((F.col("first") + F.col("piece")) / 2).alias("owner"))
 
 
+_PLACES = 1 << 22  # results that a worker sums
 _LINES = 1 << 16  # long lines that a chunk may leave
 _HOT = 1 << 12  # entries of a line that one task takes without being cut
 
@@ -221,13 +222,16 @@ def balanced_multiply(s: SparseMatrix, t: SparseMatrix, grid: Grid, band_mode: s
 def sparse_multiply(s: SparseMatrix, t: SparseMatrix, workers: int | None = None, split: str | tuple[int, int] = "exact", objective: str = "bytes", chunk: int | None = None, seen: Totals | None = None) -> SparseMatrix:
     """S T with the grid chosen from the factors' profiles (``seen``, where they are known already).
 
-    ``workers`` defaults to the session's shuffle partitions.  Where the best
-    grid is (1, 1, workers), pages alone are dealt, and the product is the plain
-    join on pages with summation.
+    ``workers`` defaults to a power of two, so grids can be near to square: eight
+    for each of the session's shuffle partitions, and so many that a worker sums
+    at most about four million places, which stay in a task's hash table.  Where the best grid is (1, 1,
+    workers), pages alone are dealt, and the product is the plain join on pages
+    with summation.
     """
     spark = s.df.sparkSession
-    k = workers or int(spark.conf.get("spark.sql.shuffle.partitions"))
     seen = seen or totals(s, t)
+    wanted = max(8 * int(spark.conf.get("spark.sql.shuffle.partitions")), min(seen.products, s.n_rows * t.n_cols) // _PLACES)
+    k = workers or 1 << (wanted - 1).bit_length()
     if isinstance(split, tuple):
         return balanced_multiply(s, t, Grid(*split, k // (split[0] * split[1])), chunk=chunk, seen=seen)
     if not seen.products:
