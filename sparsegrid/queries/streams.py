@@ -66,3 +66,12 @@ def daily_snapshots(spark, folder):
     """The hand-off graph of every day: edges and sources."""
     events = src.load_table(spark, folder, "events").withColumn("at", st.instant("ts"))
     return st.snapshots(events, 86400, lambda e: e.groupBy("start").agg(F.count("*").alias("edges"), F.countDistinct("src").alias("sources")))
+
+
+@query("""WITH e AS (SELECT CAST(floor(epoch(ts) / 86400) AS BIGINT) * 86400 AS start, user_id AS u, lead(user_id) OVER (PARTITION BY CAST(floor(epoch(ts) / 86400) AS BIGINT) ORDER BY ts, event_id) AS v FROM events),
+d AS MATERIALIZED (SELECT DISTINCT start, u, v FROM e WHERE v IS NOT NULL AND u <> v),
+t AS (SELECT a.start, count(*) AS triangles FROM d a JOIN d b ON a.start = b.start AND a.v = b.u JOIN d c ON c.start = a.start AND b.v = c.u AND c.v = a.u WHERE a.u < a.v AND a.u < b.v GROUP BY 1)
+SELECT d.start, count(*) AS edges, CAST(coalesce(any_value(triangles), 0) AS BIGINT) AS triangles FROM d LEFT JOIN t USING (start) GROUP BY 1""")
+def stream_window_triangles(spark, folder):
+    """A triangle count for every day's hand-offs as the stream closes the day."""
+    return st.closed_windows(_events(spark, folder), 86400, 3600, st.triangles_by_window)[0]

@@ -59,28 +59,35 @@ def graph_from_cooccurrence(df: DataFrame, group: str, item: str, n: int) -> Gra
     return Graph.of(pairs.select(F.col(f"x.{item}").alias("src"), F.col(f"y.{item}").alias("dst")), n, directed=False)
 
 
-def graph_from_sequence(df: DataFrame, order: Sequence[str], item: str, n: int, partition: Sequence[str] = (), directed: bool = True, ranges: int | None = None) -> Graph:
-    """An edge from each row's item to the next row's, in order (within ``partition`` where given).
+def neighbours(df: DataFrame, order: Sequence[str], item: str, group: str | None = None, ranges: int | None = None) -> DataFrame:
+    """(src, dst), with ``group`` in front where given: each row's item and the next row's, in order (within the group).
 
-    Without a partition the rows are dealt by ranges of the order, neighbours
-    are taken within each range, and the ends of the ranges are stitched
-    together: no window runs over all rows.  By default a range holds about a
-    million rows, and there are as many as the session's shuffles have at least.
+    The rows are dealt by ranges of the order, neighbours are taken within each
+    range, and the ends of the ranges are stitched together: no window runs over
+    all rows, nor over all of a group.  By default a range holds about a million
+    rows, and there are as many as the session's shuffles have at least.
     """
-    if partition:
-        follow = F.lead(item).over(Window.partitionBy(*partition).orderBy(*order))
-        pairs = df.select(F.col(item).alias("src"), follow.alias("dst")).where("dst IS NOT NULL")
-        return Graph.of(pairs, n, directed)
     from sparsegrid.plans.lineage import cut_lineage
 
     parts = ranges or max(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), df.count() >> 20)
-    keyed = df.select(F.struct(*order).alias("o"), F.col(item).alias("i"))
+    keyed = df.select((F.col(group) if group else F.lit(0)).alias("g"), F.struct(*([group] if group else []), *order).alias("o"), F.col(item).alias("i"))
     dealt = cut_lineage(keyed.repartitionByRange(parts, "o").withColumn("p", F.spark_partition_id()))
     within = Window.partitionBy("p").orderBy("o")
-    inner = dealt.select(F.col("i").alias("src"), F.lead("i").over(within).alias("dst")).where("dst IS NOT NULL")
-    ends = dealt.groupBy("p").agg(F.min_by("i", "o").alias("first"), F.max_by("i", "o").alias("last"))  # one row for each range
-    across = ends.select(F.col("last").alias("src"), F.lead("first").over(Window.orderBy("p")).alias("dst")).where("dst IS NOT NULL")
-    return Graph.of(inner.union(across), n, directed)
+    inner = dealt.select("g", F.col("i").alias("src"), F.lead("i").over(within).alias("dst"), F.lead("g").over(within).alias("h"))
+    ends = dealt.groupBy("p").agg(F.min_by(F.struct("g", "i"), "o").alias("first"), F.max_by(F.struct("g", "i"), "o").alias("last"))  # one row for each range
+    follow = F.lead("first").over(Window.orderBy("p"))
+    across = ends.select("last.g", F.col("last.i").alias("src"), follow["i"].alias("dst"), follow["g"].alias("h"))
+    met = inner.union(across).where("g = h AND dst IS NOT NULL")
+    return met.select(*([F.col("g").alias(group)] if group else []), "src", "dst")
+
+
+def graph_from_sequence(df: DataFrame, order: Sequence[str], item: str, n: int, partition: Sequence[str] = (), directed: bool = True, ranges: int | None = None) -> Graph:
+    """An edge from each row's item to the next row's, in order (within ``partition`` where given: groups of one task each)."""
+    if partition:
+        follow = F.lead(item).over(Window.partitionBy(*partition).orderBy(*order))
+        pairs = df.select(F.col(item).alias("src"), follow.alias("dst")).where("dst IS NOT NULL")
+        return Graph.of(pairs, n, directed)
+    return Graph.of(neighbours(df, order, item, ranges=ranges), n, directed)
 
 
 def graph_from_keys(links: Sequence[tuple[DataFrame, str, str, int, int]], n: int) -> Graph:

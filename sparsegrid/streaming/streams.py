@@ -82,16 +82,63 @@ def running_degrees(events: DataFrame) -> DataFrame:
 
 
 def snapshots(events: DataFrame, width_seconds: int, measure: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """``measure`` of the events of every closed window, in batch form: (start, ...).
+    """``measure`` of the hand-offs inside every window, in batch form: (start, ...).
 
-    ``measure`` gets (start, user_id, next_user) rows of hand-offs inside the
-    window and must aggregate by ``start``.
+    ``measure`` gets distinct (start, src, dst) rows and must aggregate by
+    ``start``.  A window's events may lie in many tasks.
     """
-    from pyspark.sql import Window
+    from sparsegrid.sources.tables import neighbours
 
     base = events.withColumn("start", F.floor(F.unix_seconds("at") / width_seconds) * width_seconds)
-    w = Window.partitionBy("start").orderBy("at", "event_id")
-    return measure(base.select("start", F.col("user_id").alias("src"), F.lead("user_id").over(w).alias("dst")).where("dst IS NOT NULL AND src <> dst").distinct())
+    return measure(neighbours(base, ["at", "event_id"], "user_id", "start").where("src <> dst").distinct())
+
+
+def triangles_by_window(edges: DataFrame) -> DataFrame:
+    """(start, edges, triangles) of directed graphs (start, src, dst)."""
+    one = edges.select("start", F.col("src").alias("v1"), F.col("dst").alias("v2"))
+    two = edges.select("start", F.col("src").alias("v2"), F.col("dst").alias("v3"))
+    back = edges.select("start", F.col("src").alias("v3"), F.col("dst").alias("v1"))
+    found = one.join(two, ["start", "v2"]).where("v1 < v2 AND v1 < v3").join(back, ["start", "v3", "v1"], "left_semi")
+    counts = found.groupBy("start").agg(F.count("*").alias("triangles"))
+    return edges.groupBy("start").agg(F.count("*").alias("edges")).join(counts, "start", "left").select("start", "edges", F.coalesce("triangles", F.lit(0)).alias("triangles"))
+
+
+def closed_windows(events: DataFrame, width_seconds: int, late_seconds: int, measure: Callable[[DataFrame], DataFrame]) -> tuple[DataFrame, int]:
+    """A graph job for every window of a stream once it is closed: ``measure`` of its hand-offs, and how many events came too late.
+
+    Each trigger's events are kept by window; a window is closed when the latest
+    event is ``late_seconds`` past its end, and all are when the stream ends.
+    Events of closed windows are counted and left out.  The kept events lie in
+    the shared checkpoint folder; the driver holds one number for each window.
+    """
+    spark = events.sparkSession
+    base = f"{ensure_checkpoint_dir(spark)}/windows-{uuid.uuid4().hex}"
+    state = {"latest": None, "late": 0, "closed": set(), "jobs": 0}
+
+    def close(upto: int | None) -> None:
+        held = spark.read.parquet(f"{base}/events")
+        starts = {r.start for r in held.select("start").distinct().collect()} - state["closed"]
+        ready = sorted(s for s in starts if upto is None or s + width_seconds <= upto)
+        if ready:
+            snapshots(held.where(F.col("start").isin(ready)), width_seconds, measure).write.parquet(f"{base}/out/{state['jobs']}")
+            state["closed"].update(ready)
+            state["jobs"] += 1
+
+    def take(batch: DataFrame, number: int) -> None:
+        batch = batch.withColumn("start", F.floor(F.unix_seconds("at") / width_seconds) * width_seconds)
+        late = F.col("start").isin(sorted(state["closed"])) if state["closed"] else F.lit(False)
+        seen = batch.agg(F.max(F.unix_seconds("at")).alias("latest"), F.count(F.when(late, 1)).alias("late")).first()
+        if seen.latest is None:
+            return
+        batch.where(~late).write.mode("overwrite").parquet(f"{base}/events/batch={number}")
+        state["late"] += seen.late
+        state["latest"] = max(seen.latest, state["latest"] or seen.latest)
+        close(state["latest"] - late_seconds)
+
+    query = events.writeStream.foreachBatch(take).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    close(None)
+    return spark.read.parquet(f"{base}/out/*"), state["late"]
 
 
 def wedges_within(events: DataFrame, seconds: int, late: str = "2 hours") -> DataFrame:
