@@ -47,4 +47,23 @@ MAX_MIN = Semiring("max_min", F.max, _least, None, None, "bigint")
 MIN_MAX = Semiring("min_max", F.min, _greatest, None, None, "bigint")
 MAX_TIMES = Semiring("max_times", F.max, lambda x, y: x * y, 0, 1, "double")
 
+
+
+def own_plus(reduce: Callable[[object, object], object], kind: str) -> Callable[[Column], Column]:
+    """A semiring's plus from a Python function of two values, as a grouped aggregate over Arrow batches.
+
+    For operations that no built-in aggregate has.  The values of one group are
+    in memory together, and nothing is summed before the exchange.
+    """
+    from functools import reduce as fold
+
+    import pandas as pd
+
+    def plus(values):
+        return fold(reduce, values)
+
+    plus.__annotations__ = {"values": pd.Series, "return": int}  # what makes it a grouped aggregate
+    return F.pandas_udf(plus, kind)
+
+
 SEMIRINGS = {s.name: s for s in (PLUS_TIMES, DECIMAL_PLUS_TIMES, MIN_PLUS, MAX_PLUS, OR_AND, MAX_MIN, MIN_MAX, MAX_TIMES)}

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsegrid.functions.semiring import MAX_MIN, MIN_PLUS, OR_AND
+from sparsegrid.functions.semiring import MAX_MIN, MIN_PLUS, OR_AND, Semiring, own_plus
 from sparsegrid.functions.tiles import block_multiply
 from sparsegrid.model import SparseMatrix
 from sparsegrid.operators import algebra as al
@@ -297,3 +297,25 @@ def balanced_multiply_any_index(spark, folder):
     a = _handoff(spark, folder)
     plan = mu.reindexed(mu.plan_product(a, a, Grid(2, 3, 4)), 7)
     return mu.assemble(plan, mu.local_products(plan, *mu.route_entries(plan))).df.select("row", "col", "val")
+
+
+@query(over("qty", "SELECT x.v AS row, y.v AS col, CAST(list_reduce(list(x.w * y.w), lambda a, b: gcd(a, b)) AS BIGINT) AS val FROM qty x JOIN qty y ON x.u = y.u GROUP BY 1, 2"))
+def semiring_own_gcd(spark, folder):
+    """A semiring of the user's: plus is the greatest common divisor, by a grouped aggregate, times the product."""
+    from math import gcd
+
+    ring = Semiring("gcd_times", own_plus(gcd, "bigint"), lambda x, y: x * y, 0, 1, "bigint")
+    q = src.quantities(spark, folder)
+    q = SparseMatrix(q.df, q.n_rows, q.n_cols, ring).cut()
+    return mu.join_multiply(q.transpose(), q).df.select("row", "col", "val")
+
+
+@query(over("supply", "SELECT u AS id, row_number() OVER (ORDER BY nz, u) - 1 AS place, CAST((row_number() OVER (ORDER BY nz, u) - 1) % 8 AS INTEGER) AS hand FROM (SELECT u, count(*) AS nz FROM supply GROUP BY 1)"))
+def udtf_deal_ranks(spark, folder):
+    """Parts dealt to eight hands by a table function."""
+    from sparsegrid.functions.table_functions import deal_ranks
+    from sparsegrid.operators.stats import nnz_profile
+
+    deal_ranks(spark)
+    nnz_profile(src.supply(spark, folder), "row").createOrReplaceTempView("deal_ranks_input")
+    return spark.sql("SELECT * FROM deal_ranks(TABLE(deal_ranks_input) WITH SINGLE PARTITION ORDER BY (nz, id), 8)")
