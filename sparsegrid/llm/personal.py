@@ -27,7 +27,6 @@ BASE_KINDS = ("email", "ip", "card", "phone")
 KINDS = (*BASE_KINDS, "secret")
 OUT = len(KINDS)  # the kind of a token that is no entity
 LONGEST = 16  # tokens of an entity
-AROUND = 5  # tokens of context on either side
 
 # The base patterns.
 _DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")

@@ -72,6 +72,10 @@ def op7_decontaminate(spark: SparkSession, folder: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join(names, ","), 256).alias("items_sha256"), "contaminated")
 
 
+def _base_count(kind: str):
+    return F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+
+
 def op8_personal_data(spark: SparkSession, folder: str) -> DataFrame:
     """Personal data in every document: base patterns, and what the random field adds."""
     found = find_personal(_table(spark, folder, "documents"), train_field())
@@ -81,10 +85,7 @@ def op8_personal_data(spark: SparkSession, folder: str) -> DataFrame:
         ordered = F.array_sort(F.transform(spans, lambda s: F.struct(rank[s["kind"]].alias("r"), s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
         return F.array_join(F.transform(ordered, lambda s: F.concat(s["kind"], F.lit(":"), s["start"], F.lit(":"), s["end"])), ",")
 
-    def count(kind):
-        return F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
-
-    return found.select("doc_id", *map(count, BASE_KINDS), F.sha2(told(F.col("base")), 256).alias("base_sha256"), told(F.concat("base", "added")).alias("spans"))
+    return found.select("doc_id", *map(_base_count, BASE_KINDS), F.sha2(told(F.col("base")), 256).alias("base_sha256"), told(F.concat("base", "added")).alias("spans"))
 
 
 def op9_url_rules(spark: SparkSession, folder: str) -> DataFrame:
@@ -100,6 +101,24 @@ def op10_quality(spark: SparkSession, folder: str) -> DataFrame:
     return scored.select("doc_id", (_fold(5) == 0).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
 
 
+def mix_targets(spark: SparkSession, folder: str) -> DataFrame:
+    """Sizes of documents and sources, and the sources' targets: what of the mix does not depend on the draw."""
+    mix = mix_sources(_table(spark, folder, "documents"), weights=(1, 2, 3), cap=3)
+    return mix.packed.select("doc_id", "size", "source_size", F.round("target", 3).alias("target"))
+
+
+def personal_base_counts(spark: SparkSession, folder: str) -> DataFrame:
+    """What the base patterns find in every document, by kind."""
+    found = find_personal(_table(spark, folder, "documents"), train_field(60, 1))
+    return found.select("doc_id", *map(_base_count, BASE_KINDS))
+
+
+def url_listed_rules(spark: SparkSession, folder: str) -> DataFrame:
+    """Host, path and listed rule of every page url."""
+    return judge_urls(_table(spark, folder, "pages").select("page_id", "url"), listed_rules(), None).select("page_id", "host", "path", "rule")
+
+
+#: One query for each operator, and the parts of three of them that SQL can express.
 QUERIES = {
     "op1_line_dedup": op1_line_dedup,
     "op2_mix_sources": op2_mix_sources,
@@ -111,6 +130,9 @@ QUERIES = {
     "op8_personal_data": op8_personal_data,
     "op9_url_rules": op9_url_rules,
     "op10_quality": op10_quality,
+    "mix_targets": mix_targets,
+    "personal_base_counts": personal_base_counts,
+    "url_listed_rules": url_listed_rules,
 }
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -171,4 +193,24 @@ t AS (SELECT doc_id, count(*) AS n_items, sha256(string_agg(item, ',' ORDER BY i
 SELECT d.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(n_items, 0) AS BIGINT) AS n_items,
   coalesce(items_sha256, sha256('')) AS items_sha256, coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(ws) AS contaminated
 FROM d LEFT JOIN h USING (doc_id) LEFT JOIN t USING (doc_id)""",
+    "mix_targets": r"""
+WITH d AS MATERIALIZED (SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size FROM documents),
+s AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, [1, 2, 3][(row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1] AS w FROM d GROUP BY source),
+o AS (SELECT *, row_number() OVER (ORDER BY source_size / w, source) AS i FROM s),
+l AS (SELECT a.i, a.w, a.source_size, ((SELECT sum(source_size) FROM o) - 3 * (SELECT coalesce(sum(source_size), 0) FROM o b WHERE b.i < a.i)) / (SELECT sum(w) FROM o b WHERE b.i >= a.i) AS level FROM o a),
+c AS (SELECT arg_min(level, i) AS level FROM l WHERE level * w <= 3 * source_size)
+SELECT doc_id, size, source_size, round(CAST(CASE WHEN level IS NULL THEN 3 * source_size ELSE least(level * w, 3 * source_size) END AS DOUBLE), 3) AS target FROM d JOIN s ON d.source IS NOT DISTINCT FROM s.source, c""",
+    "personal_base_counts": r"""
+WITH m AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+') AS e, regexp_extract_all(coalesce(text, ''), '[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)') AS i,
+  regexp_extract_all(coalesce(text, ''), '[0-9]([\x20-]?[0-9])+') AS c, regexp_extract_all(coalesce(text, ''), '\+[0-9][\x20().0-9-]+[0-9]') AS p FROM documents),
+n AS (SELECT doc_id, e, list_filter(i, lambda x: list_bool_and(list_transform(string_split(x, '.'), lambda q: coalesce(TRY_CAST(q AS HUGEINT) <= 255, false)))) AS i,
+  list_filter(list_transform(c, lambda x: regexp_replace(x, '[^0-9]', '', 'g')), lambda x: len(x) BETWEEN 13 AND 19) AS c, list_filter(p, lambda x: len(regexp_replace(x, '[^0-9]', '', 'g')) BETWEEN 9 AND 15) AS p FROM m)
+SELECT doc_id, CAST(len(e) AS BIGINT) AS n_email, CAST(len(i) AS BIGINT) AS n_ip,
+  CAST(len(list_filter(c, lambda x: list_sum(list_transform(range(1, len(x) + 1), lambda k: CASE WHEN k % 2 = 1 THEN CAST(substr(x, len(x) - k + 1, 1) AS INTEGER) ELSE 2 * CAST(substr(x, len(x) - k + 1, 1) AS INTEGER) // 10 + 2 * CAST(substr(x, len(x) - k + 1, 1) AS INTEGER) % 10 END)) % 10 = 0)) AS BIGINT) AS n_card,
+  CAST(len(p) AS BIGINT) AS n_phone FROM n""",
+    "url_listed_rules": f"""
+WITH r AS (SELECT page_id, coalesce(instr(url, '://'), 0) AS pos, substr(url, instr(url, '://') + 3) AS rest FROM pages),
+h AS (SELECT page_id, CASE WHEN pos > 0 THEN translate(regexp_extract(rest, '^([^/?#]*)', 1), '{_UPPER}', '{_LOWER}') ELSE '' END AS host, CASE WHEN pos > 0 THEN regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) ELSE '' END AS path FROM r)
+SELECT page_id, host, path, CASE WHEN (host = 'example.com' OR ends_with(host, '.example.com')) AND starts_with(path, '/en/7') THEN 'example.com/en/7' WHEN (host = 'example.net' OR ends_with(host, '.example.net')) AND starts_with(path, '/de/8') THEN 'example.net/de/8'
+  WHEN (host = 'com' OR ends_with(host, '.com')) AND starts_with(path, '/en/') THEN 'com/en/' WHEN (host = 'net' OR ends_with(host, '.net')) AND starts_with(path, '/de/') THEN 'net/de/' WHEN (host = 'org' OR ends_with(host, '.org')) AND starts_with(path, '/es/') THEN 'org/es/' END AS rule FROM h""",
 }

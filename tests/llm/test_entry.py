@@ -20,10 +20,10 @@ def test_names():
     assert "pipeline" in entry.queries() and set(entry.oracle_sql()) <= set(entry.queries())
 
 
-@pytest.mark.parametrize("name", ["op1_line_dedup", "op4_ngram_join", "op5_chat_format", "op7_decontaminate"])
+@pytest.mark.parametrize("name", ["op1_line_dedup", "op4_ngram_join", "op5_chat_format", "op7_decontaminate", "mix_targets", "personal_base_counts", "url_listed_rules"])
 def test_query_equals_sql(spark, sf, name):
     con = duckdb.connect()
-    for t in ("documents", "benchmark", "conversations"):
+    for t in ("documents", "benchmark", "conversations", "pages"):
         con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
     want = con.execute(entry.oracle_sql()[name]).df()
     got = entry.queries()[name](spark, sf).toPandas()
