@@ -12,7 +12,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -132,15 +132,55 @@ def bit_errors(a: np.ndarray, b: np.ndarray, offset: int) -> tuple[int, int]:
     return int(_popcount(a[lo:hi] ^ b[lo + offset : hi + offset]).sum()), hi - lo
 
 
+def _runs(codes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Runs of equal codes, ordered by code: (code, first, last)."""
+    new = np.ones(len(codes), bool)
+    new[1:] = codes[1:] != codes[:-1]
+    first = np.flatnonzero(new)
+    last = np.append(first[1:], len(codes)) - 1
+    order = np.argsort(codes[first], kind="stable")
+    return codes[first][order], first[order], last[order]
+
+
+def best_offset(x: np.ndarray, y: np.ndarray) -> tuple[int, int]:
+    """(votes, offset): the offset at which most codes of y equal those of x, the smallest of equals.
+
+    Two runs of one code agree at a stretch of offsets, in numbers that rise,
+    stay and fall by one a step: four turning points, whatever their lengths.
+    Votes are what the turning points of all runs add up to.  A code with very
+    many runs on both sides is counted by a cross-correlation instead.
+    """
+    if not len(x) or not len(y):
+        return 0, 0
+    (cx, a1, a2), (cy, b1, b2) = _runs(x), _runs(y)
+    shared = np.intersect1d(cx, cy)
+    zero, size = len(x) - 1, len(x) + len(y)
+    bends, votes = np.zeros(size + 3, np.int64), np.zeros(size + 3, np.int64)
+    many = []
+    for code in shared:
+        i, j = slice(*np.searchsorted(cx, [code, code + 1])), slice(*np.searchsorted(cy, [code, code + 1]))
+        if (i.stop - i.start) * (j.stop - j.start) > 8 * size:
+            many.append(code)
+            continue
+        for at, w in ((b1[None, j] - a2[i, None], 1), (b1[None, j] - a1[i, None] + 1, -1), (b2[None, j] - a2[i, None] + 1, -1), (b2[None, j] - a1[i, None] + 2, 1)):
+            np.add.at(bends, (at + zero).ravel(), w)
+    votes += np.cumsum(np.cumsum(bends))
+    for code in many:
+        f = np.fft.rfft((x == code).astype(float)[::-1], size)
+        votes[: size - 1] += np.rint(np.fft.irfft(f * np.fft.rfft((y == code).astype(float), size), size)).astype(np.int64)[: size - 1]
+    best = int(votes.argmax())
+    return (int(votes[best]), best - zero) if votes[best] else (0, 0)
+
+
 def _aligned(batches):
     for batch in batches:
-        errors, frames = [], []
-        for a, b, k in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist(), batch.column("offset").to_pylist(), strict=True):
-            e, n = bit_errors(np.asarray(a, np.uint32), np.asarray(b, np.uint32), k)
-            errors.append(e)
-            frames.append(n)
-        kept = [batch.column(c) for c in ("query", "match", "offset", "votes")]
-        yield pa.RecordBatch.from_arrays([*kept, pa.array(errors, pa.int64()), pa.array(frames, pa.int64())], ["query", "match", "offset", "votes", "bit_errors", "frames"])
+        told = []
+        for a, b in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist(), strict=True):
+            x, y = np.asarray(a, np.int64), np.asarray(b, np.int64)
+            votes, offset = best_offset(x, y)
+            told.append((offset, votes, *bit_errors(x.astype(np.uint32), y.astype(np.uint32), offset)))
+        found = [pa.array([t[k] for t in told], pa.int64()) for k in range(4)]
+        yield pa.RecordBatch.from_arrays([batch.column("query"), batch.column("match"), *found], ["query", "match", "offset", "votes", "bit_errors", "frames"])
 
 
 def _spectra(block: list[np.ndarray], size: int) -> np.ndarray:
@@ -232,48 +272,21 @@ def _close(held: DataFrame, max_error: float, min_frames: int, codes_asked: int
     return parts.groupBy("query").agg(F.array_sort(F.flatten(F.collect_list("part"))).alias("close"))
 
 
-def _runs(batches):
-    """Runs of equal codes of every recording: (class_id, asked, code, first, last)."""
-    for batch in batches:
-        lists = batch.column(2)
-        codes, ends = lists.flatten().to_numpy(), lists.value_lengths().to_numpy()
-        owner = np.repeat(np.arange(batch.num_rows), ends)
-        place = np.arange(len(codes)) - np.repeat(np.cumsum(ends) - ends, ends)
-        new = np.ones(len(codes), bool)
-        new[1:] = (codes[1:] != codes[:-1]) | (owner[1:] != owner[:-1])
-        at = np.flatnonzero(new)
-        last = np.append(at[1:], len(codes)) - 1
-        yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(owner[at])), batch.column(1).take(pa.array(owner[at])), pa.array(codes[at]), pa.array(place[at]), pa.array(place[last[: len(at)]])], ["class_id", "asked", "code", "first", "last"])
-
-
-def _offsets(held: DataFrame, min_votes: int, per_task: int = 4096) -> DataFrame:
-    """(query, match, offset, votes): for each asked class and other the offset with most equal codes, the smallest of equals.
-
-    Codes are joined as runs.  Two runs of one code agree at a stretch of
-    offsets, in numbers that rise, stay and fall by one a step: four turning
-    points, whatever their lengths.  Votes are what the turning points of all
-    runs add up to; they peak at a turning point or just before one.  A code
-    that many recordings hold is split by salt.
+def _sharing(held: DataFrame, min_votes: int, per_task: int = 4096) -> DataFrame:
+    """(query, match): asked classes and others with enough codes in common to have ``min_votes`` equal ones at one offset.
+
+    One row for each distinct code that two recordings share, however often they
+    hold it: no offset has more equal codes than the smaller of both counts
+    add up to.  A code that many recordings hold is split by salt.
     """
-    runs = cut_lineage(held.select("class_id", "asked", "codes").mapInArrow(_runs, "class_id long, asked boolean, code long, first long, last long"))
-    asked = runs.where("asked").groupBy("code").agg(F.count("*").alias("k")).select("code")
-    salts = cut_lineage(runs.groupBy("code").agg(F.ceil(F.count("*") / per_task).alias("salts")).join(asked, "code"))
-    index = runs.join(salts, "code").withColumn("salt", F.pmod(F.xxhash64("class_id"), F.col("salts")))
-    asking = runs.where("asked").join(salts, "code").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
+    counts = cut_lineage(held.select("class_id", "asked", F.explode("codes").alias("code")).groupBy("class_id", "asked", "code").agg(F.count("*").alias("n")))
+    asked = counts.where("asked").groupBy("code").agg(F.count("*").alias("k")).select("code")
+    salts = cut_lineage(counts.groupBy("code").agg(F.ceil(F.count("*") / per_task).alias("salts")).join(asked, "code"))
+    index = counts.join(salts, "code").withColumn("salt", F.pmod(F.xxhash64("class_id"), F.col("salts")))
+    asking = counts.where("asked").join(salts, "code").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
     met = asking.alias("q").join(index.alias("r"), ["code", "salt"]).where("q.class_id <> r.class_id")
-    a1, a2, b1, b2 = (F.col(c) for c in ("q.first", "q.last", "r.first", "r.last"))
-    turn = lambda o, w: F.struct(o.alias("o"), F.lit(w).alias("w"))
-    turns = F.explode(F.array(turn(b1 - a2, 1), turn(b1 - a1 + 1, -1), turn(b2 - a2 + 1, -1), turn(b2 - a1 + 2, 1))).alias("t")
-    pair = ["query", "match"]
-    bent = met.select(F.col("q.class_id").alias("query"), F.col("r.class_id").alias("match"), turns).groupBy(*pair, F.col("t.o").alias("o")).agg(F.sum("t.w").alias("w"))
-    along = Window.partitionBy(*pair).orderBy("o")
-    sloped = bent.withColumn("slope", F.sum("w").over(along)).withColumn("next", F.lead("o").over(along))
-    gained = sloped.withColumn("gain", F.coalesce(F.lag("slope").over(along) * (F.col("o") - F.lag("o").over(along)), F.lit(0)))
-    told = gained.withColumn("votes", F.sum("gain").over(along) + F.col("slope"))
-    peak = lambda votes, o: F.struct(votes.alias("votes"), (-o).alias("o"))
-    later = F.when(F.col("next").isNotNull() & (F.col("slope") > 0), peak(F.col("votes") + F.col("slope") * (F.col("next") - 1 - F.col("o")), F.col("next") - 1))
-    best = told.groupBy(*pair).agg(F.max(F.greatest(peak(F.col("votes"), F.col("o")), later)).alias("b"))
-    return best.select(*pair, (-F.col("b.o")).alias("offset"), "b.votes").where(F.col("votes") >= min_votes)
+    most = met.groupBy(F.col("q.class_id").alias("query"), F.col("r.class_id").alias("match")).agg(F.sum(F.least("q.n", "r.n")).alias("most"))
+    return most.where(F.col("most") >= min_votes).select("query", "match")
 
 
 def search_recordings(prints: DataFrame, query_step: int = 20, min_votes: int = 3, max_error: float = 0.3, min_frames: int = 16) -> DataFrame:
@@ -284,7 +297,7 @@ def search_recordings(prints: DataFrame, query_step: int = 20, min_votes: int =
     the other classes with at least ``min_votes`` equal codes at one offset, at
     least ``min_frames`` compared codes there and at most ``max_error`` of the
     bits different at the offset with most votes (the smallest of equals).  All
-    such classes are found: runs of codes meet by an exact join, without caps.  ``close``
+    such classes are found: codes meet by an exact join, without caps.  ``close``
     lists all other classes that come within ``max_error`` over ``min_frames``
     codes or more, whether codes are equal or not, at the offset of the least
     share of errors; every searched class is compared with every class, so this
@@ -299,9 +312,9 @@ def search_recordings(prints: DataFrame, query_step: int = 20, min_votes: int =
     classes = some.groupBy("print", "print2").agg(F.min("media_id").alias("class_id"), F.max(is_query).alias("asked"))
     held = some.join(classes, ["print", "print2"]).where("media_id = class_id").groupBy("class_id").agg(F.min(F.struct("print", "print2", "codes", "asked")).alias("m"))
     held = cut_lineage(held.select("class_id", "m.codes", "m.asked"))
-    best = _offsets(held, min_votes)
-    pairs = best.join(held.select(F.col("class_id").alias("query"), F.col("codes").alias("x")), "query").join(held.select(F.col("class_id").alias("match"), F.col("codes").alias("y")), "match")
-    judged = pairs.select("query", "match", F.col("offset").cast("long").alias("offset"), "votes", "x", "y").mapInArrow(_aligned, "query long, match long, offset long, votes long, bit_errors long, frames long")
+    sharing = _sharing(held, min_votes)
+    pairs = sharing.join(held.select(F.col("class_id").alias("query"), F.col("codes").alias("x")), "query").join(held.select(F.col("class_id").alias("match"), F.col("codes").alias("y")), "match")
+    judged = pairs.select("query", "match", "x", "y").mapInArrow(_aligned, "query long, match long, offset long, votes long, bit_errors long, frames long").where(F.col("votes") >= min_votes)
     good = judged.where((F.col("frames") >= min_frames) & (F.col("bit_errors") <= max_error * 32 * F.col("frames")))
     lists = good.groupBy("query").agg(F.array_sort(F.collect_list(F.struct("match", "offset", "votes", "bit_errors", "frames"))).alias("found"))
     out = prints.join(classes.select("print", "print2", "class_id"), ["print", "print2"], "left").withColumn("is_query", is_query)
