@@ -213,23 +213,33 @@ def test_held_notes_repeats_and_odd_rows(spark):
     assert ch.search_recordings(prints.limit(0)).count() == 0
 
 
-@pytest.mark.parametrize("salt", [1, 4096])
-def test_votes_of_runs_equal_votes_of_places(spark, salt):
+def brute_offset(x, y):
+    votes = {}
+    for i, p in enumerate(x):
+        for j, q in enumerate(y):
+            if p == q:
+                votes[j - i] = votes.get(j - i, 0) + 1
+    return max(((v, -o) for o, v in votes.items()), default=(0, 0))
+
+
+def test_votes_of_runs_equal_votes_of_places():
     rng = random.Random(6)
-    codes = {k: [c for _ in range(rng.randrange(1, 9)) for c in [rng.randrange(4)] * rng.randrange(1, 6)] for k in range(30)}
+    for _ in range(300):
+        x, y = ([c for _ in range(rng.randrange(9)) for c in [rng.randrange(4)] * rng.randrange(1, 6)] for _ in range(2))
+        v, o = ch.best_offset(np.array(x, np.int64), np.array(y, np.int64))
+        assert (v, -o) == brute_offset(x, y)
+    x, y = [k % 2 for k in range(300)], [k % 3 == 0 for k in range(200)]
+    v, o = ch.best_offset(np.array(x, np.int64), np.array(y, np.int64))
+    assert (v, -o) == brute_offset(x, y), "codes with very many runs"
+
+
+@pytest.mark.parametrize("salt", [1, 4096])
+def test_recordings_that_share_enough_codes(spark, salt):
+    rng = random.Random(7)
+    codes = {k: [rng.randrange(6) for _ in range(rng.randrange(8))] for k in range(30)}
     held = spark.createDataFrame([(k, k % 3 == 0, c) for k, c in codes.items()], "class_id bigint, asked boolean, codes array<bigint>")
-    got = {(r.query, r.match): (r.votes, r.offset) for r in ch._offsets(held, 1, salt).collect()}
-    want = {}
-    for q in range(0, 30, 3):
-        for r in (r for r in codes if r != q):
-            votes = {}
-            for i, x in enumerate(codes[q]):
-                for j, y in enumerate(codes[r]):
-                    if x == y:
-                        votes[j - i] = votes.get(j - i, 0) + 1
-            if votes:
-                want[q, r] = max((v, -o) for o, v in votes.items())
-    assert got == {k: (v, -o) for k, (v, o) in want.items()}
+    got = {(r.query, r.match) for r in ch._sharing(held, 2, salt).collect()}
+    assert got == {(q, r) for q in range(0, 30, 3) for r in codes if q != r and sum(min(codes[q].count(c), codes[r].count(c)) for c in range(6)) >= 2}
 
 
 def test_close_recordings_are_those_of_all_pairs(spark):
