@@ -242,20 +242,23 @@ def sparse_multiply(s: SparseMatrix, t: SparseMatrix, workers: int | None = None
     return balanced_multiply(s, t, grid, chunk=chunk, seen=seen)
 
 
-def join_multiply(s: SparseMatrix, t: SparseMatrix, hint: str | None = None) -> SparseMatrix:
+def join_multiply(s: SparseMatrix, t: SparseMatrix) -> SparseMatrix:
     """The definition: join on pages, sum by place.  What a user of Spark writes first, and the exact reference."""
     ring = s.semiring
     left = s.df.select("row", F.col("col").alias("page"), F.col("val").alias("x"))
     right = t.df.select(F.col("row").alias("page"), "col", F.col("val").alias("y"))
-    right = right.hint(hint) if hint else right
     out = left.join(right, "page").groupBy("row", "col").agg(ring.plus(ring.times(F.col("x"), F.col("y"))).cast(ring.kind).alias("val"))
     return SparseMatrix(out.where(ring.present(F.col("val"))), s.n_rows, t.n_cols, ring)
 
 
+def announce(df: DataFrame, most: int = 1_000_000) -> DataFrame:
+    """A table told to every task, if it has at most ``most`` rows (counted first); a larger one is left to be joined by exchange."""
+    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
+
+
 def broadcast_multiply(s: SparseMatrix, t: SparseMatrix, most: int = 1_000_000) -> SparseMatrix:
-    """S T with T sent to every task; T's entries are counted first and a larger T is joined by exchange."""
-    small = t.df.limit(most + 1).count() <= most
-    return join_multiply(s, t, "broadcast" if small else None)
+    """S T with T announced to every task, where it is small."""
+    return join_multiply(s, t.with_df(announce(t.df, most)))
 
 
 def multiply_fixed_cube(s: SparseMatrix, t: SparseMatrix, workers: int) -> SparseMatrix:

@@ -92,6 +92,12 @@ def apsp_squaring_forest(spark, folder):
     return _summary(paths.all_pairs_by_squaring(src.forest(spark, folder).cut()))
 
 
+@query(_summed("forest", 5))
+def apsp_bfs_forest(spark, folder):
+    """The same, up to twice the eccentricity of a region: no tree is deeper."""
+    return _summary(paths.all_pairs_hops(src.forest(spark, folder).cut(), bound="bfs", root=4 * 10**12))
+
+
 @query(_summed("order_chain", 40))
 def apsp_order_chain(spark, folder):
     return _summary(paths.all_pairs_hops(src.order_chain(spark, folder).cut()))
