@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import itertools
 import random
 import re
 import time
@@ -19,7 +20,7 @@ from sparsegrid.llm.chat import digests, fold_events, read_back, render, table_a
 from sparsegrid.llm.mixing import draw_slots, mix_sources, mixed_corpus, permuted, taken_words
 from sparsegrid.llm.quality import features, keep_good, score_quality, train_quality
 from sparsegrid.llm.sampling import labelled_sample
-from sparsegrid.llm.url_rules import Rule, judge_urls, labelled_pages, listed_rules, mine_rules
+from sparsegrid.llm.url_rules import Rule, judge_urls, labelled_pages, listed_rules, mine_rules, url_tokens, with_parts
 
 SF = "/root/testdata/sf0.01"
 ODD = [(1, None), (2, ""), (3, "  \t\n "), (None, "a b c"), (4, "one two"), (4, "one two"), (5, "x" * 200_000)]
@@ -353,6 +354,50 @@ def test_mined_rules_block_what_labels_say(spark):
     assert judge_urls(odd.limit(0), listed_rules(), mined).count() == 0
 
 
+def brute_rules(pages, min_pages, min_support, min_confidence, min_lift, max_size, held_out):
+    """Rules by the definition: (tokens) -> confidence on held-out pages, from (tokens, bad, out) of each page."""
+    mined, rest = [p for p in pages if not p[2]], [p for p in pages if p[2]]
+    where = {}
+    for k, (tokens, _, _) in enumerate(mined):
+        for t in tokens:
+            where.setdefault(t, set()).add(k)
+    items = {}
+    for t, at in where.items():
+        items.setdefault(frozenset(at), set()).add(t)
+    n, bad = len(mined), {k for k, p in enumerate(mined) if p[1]}
+    least = max(min_support * n, min_pages)
+    found = {}
+    for size in range(1, max_size + 1):
+        for chosen in itertools.combinations([(at, names) for at, names in items.items() if len(at) >= least], size):
+            at = frozenset.intersection(*[a for a, _ in chosen])
+            sure = len(at & bad) / len(at) if at else 0
+            if len(at & bad) >= least and sure >= min_confidence and sure / (len(bad) / n) >= min_lift:
+                found[frozenset().union(*[names for _, names in chosen])] = sure
+    kept = [r for r, c in found.items() if not any(o < r and d >= c for o, d in found.items())]
+    out = {}
+    for r in kept:
+        hit = [b for tokens, b, _ in rest if r <= tokens]
+        if len(hit) * held_out >= min_pages and sum(hit) >= min_confidence * len(hit):
+            out[tuple(sorted(r))] = sum(hit) / len(hit)
+    return out
+
+
+def test_mined_rules_equal_brute_force(spark):
+    rng = random.Random(12)
+    rows = []
+    for k in range(1500):
+        host, section, query = rng.choice(["a", "b", "c"]), rng.choice(["x", "y", "z"]), rng.choice(["p", "q"])
+        bad = rng.random() < (0.9 if (host, section) == ("a", "x") else 0.8 if query == "p" and section == "y" else 0.1)
+        rows.append((f"http://{host}.example.com/{section}/{k}?{query}=1", bad))
+    df = spark.createDataFrame(rows, "url string, bad boolean")
+    mined = mine_rules(df, max_size=3)
+    known = with_parts(df).select(url_tokens().alias("t"), "bad", (F.pmod(F.xxhash64("url", F.lit(29)), F.lit(3)) == 0).alias("out")).collect()
+    want = brute_rules([(set(r.t), r.bad, r.out) for r in known], 20, 0.004, 0.6, 1.5, 3, 3)
+    assert {tuple(r.tokens): r.confidence for r in mined.rules.collect()} == want and len(want) >= 2
+    told = {r.page_id: r.fired for r in judge_urls(df.select(F.monotonically_increasing_id().alias("page_id"), "url"), [], mined).collect()}
+    assert sum(f > 0 for f in told.values()) == sum(any(set(r) <= set(p.t) for r in want) for p in known)
+
+
 def test_labels_that_do_not_depend_on_urls_make_no_rules(spark):
     rng = random.Random(4)
     rows = [(f"http://w{rng.randrange(9)}.s{rng.randrange(4)}.example.com/{rng.choice('abc')}/{k}?{rng.choice('xyz')}=1", rng.random() < 0.3) for k in range(2000)]
