@@ -17,8 +17,10 @@ Steps, each one distributed:
    that still lie in different components and pass the filters are expanded to
    their members and verified; what is found joins the components.
 
-Verification is exact on whole sets.  What is returned are components and class
-membership: pairs within one component are not listed.
+Verification is exact on whole sets.  ``ngram_components`` returns components
+and class membership, without listing the pairs within one component;
+``ngram_links`` returns all links between classes, and ``link_counts`` how many a
+row has.
 
 Joins are sort-merge joins: nothing that grows with the input is broadcast, but
 for the ids of at most ``few`` pairs, which are counted first.
@@ -156,8 +158,8 @@ def _signatures(levels, n: int, num: int, den: int):
     return run
 
 
-def _verified(n: int, num: int, den: int):
-    """Streams blocks of (left texts, then their partners) and gives the forest of the true links.
+def _verified(n: int, num: int, den: int, forest: bool):
+    """Streams blocks of (left texts, then their partners) and gives the true links, or only their forest.
 
     An id may stand for several texts; they count as one document.
     """
@@ -165,6 +167,7 @@ def _verified(n: int, num: int, den: int):
     def run(batches):
         left, known, left_id = [], set(), None
         ends = [], []
+        told = lambda: (np.array(e, np.int64) for e in ends)
         for batch in batches:
             a, b, x, y = (batch.column(c).to_pylist() for c in ("a", "b", "na", "nb"))
             for i, s in enumerate(shingle_sets(batch.column("text"), n)):
@@ -177,7 +180,11 @@ def _verified(n: int, num: int, den: int):
                 elif left_id == a[i] and any(_similar(t, s, num, den) for t in left):
                     ends[0].append(x[i])
                     ends[1].append(y[i])
-        yield forest_of(*(np.array(e, np.int64) for e in ends))
+            if not forest:
+                yield pa.RecordBatch.from_arrays([pa.array(e) for e in told()], ["child", "parent"])
+                ends = [], []
+        if forest:
+            yield forest_of(*told())
 
     return run
 
@@ -191,8 +198,8 @@ def _similar(s: np.ndarray, t: np.ndarray, num: int, den: int) -> bool:
     return den * common >= num * (len(s) + len(t) - common)
 
 
-def _verify(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int, few: int, per_task: int = 256) -> DataFrame:
-    """The forest (child, parent) of the links among pairs (a, b, na, nb), given with their lineage cut.
+def _verify(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int, few: int, forest: bool = True, per_task: int = 256) -> DataFrame:
+    """The forest (child, parent) of the links among pairs (a, b, na, nb), given with their lineage cut, or all these links.
 
     a and b are documents, na and nb the vertices that stand for them.  Left
     texts with many partners are sent to several tasks.  While the pairs are few
@@ -211,7 +218,7 @@ def _verify(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int, few:
         text = text.join(F.broadcast(ids), "doc")  # 2 * few ids at most
     rows = need.join(text.hint("merge"), "doc").select("a", "salt", "b", "na", "nb", "text")
     dealt = rows.repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
-    return dealt.mapInArrow(_verified(n, num, den), EDGES)
+    return dealt.mapInArrow(_verified(n, num, den, forest), EDGES)
 
 
 def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, small: int = 32, few: int = 200_000) -> DataFrame:
@@ -226,14 +233,8 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     share an id are one document, reached through the links of each of its texts
     with words; an empty table gives no rows.
     """
-    spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    levels = spark.sparkContext.broadcast(frequency_levels(docs.select("text"), n))
-    sign = cut_and_release(docs.mapInArrow(_signatures(levels, n, num, den), "doc_id long, size long, cls long, grp long, prefix array<long>"))
-    worded = sign.where("size > 0 and doc_id is not null")
-    classes = cut_and_release(worded.groupBy("grp", "size", "cls").agg(F.min("doc_id").alias("doc")))
-    several = classes.groupBy("grp", "size").agg(F.min("doc").alias("lead"), F.count("*").alias("members")).where("members > 1").drop("members")
-    multi = cut_and_release(classes.join(several.hint("merge"), ["grp", "size"]).select("grp", "size", "doc", "lead"))
+    sign, worded, classes, multi = _signed(docs, n, num, den)
     postings = cut_and_release(_postings(worded, small))
     large = postings.where("large").drop("large")
     some_multi, some_large = not multi.isEmpty(), not large.isEmpty()
@@ -259,6 +260,52 @@ def ngram_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100,
     return sign.select("doc_id", "size", "cls").join(member.hint("merge"), "cls", "left").select("doc_id", "size", F.when(has, F.col("component")).otherwise(F.col("doc_id")).alias("component"))
 
 
+def _signed(docs: DataFrame, n: int, num: int, den: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """Signatures of all rows, those with words and id, their classes, and the members of groups with several."""
+    levels = docs.sparkSession.sparkContext.broadcast(frequency_levels(docs.select("text"), n))
+    sign = cut_and_release(docs.mapInArrow(_signatures(levels, n, num, den), "doc_id long, size long, cls long, grp long, prefix array<long>"))
+    worded = sign.where("size > 0 and doc_id is not null")
+    classes = cut_and_release(worded.groupBy("grp", "size", "cls").agg(F.min("doc_id").alias("doc")))
+    several = classes.groupBy("grp", "size").agg(F.min("doc").alias("lead"), F.count("*").alias("members")).where("members > 1").drop("members")
+    multi = cut_and_release(classes.join(several.hint("merge"), ["grp", "size"]).select("grp", "size", "doc", "lead"))
+    return sign, worded, classes, multi
+
+
+def ngram_links(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, few: int = 200_000) -> tuple[DataFrame, DataFrame]:
+    """(links, members): all links between different texts, and the rows of each class of equal sets.
+
+    ``links`` (a, b), a < b, are pairs of classes, each named by its smallest
+    doc_id; ``members`` (doc_id, class_id) has a row for each row of ``docs`` with
+    words and id, so copies are not expanded into pairs.  No link is left out:
+    every pair of groups that meet on an n-gram of their prefixes and pass the
+    size and position filters is expanded and verified.  A group of k near copies
+    has k * k / 2 links, and so many are made: where only components are asked
+    for, ``ngram_components`` does without them.  Rows that share an id are one
+    document; other columns are ignored; an empty table has no links.
+    """
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    _, worded, classes, multi = _signed(docs, n, num, den)
+    postings = cut_and_release(_postings(worded, 1 << 62).drop("large"))
+    meeting = cut_and_release(_meeting_in_small(postings, num, den))
+    of = lambda g, s, d: multi.select(F.col("grp").alias(g), F.col("size").alias(s), F.col("doc").alias(d)).hint("merge")
+    both = meeting.join(of("ga", "sa", "da"), ["ga", "sa"], "left").join(of("gb", "sb", "db"), ["gb", "sb"], "left").select(F.coalesce("da", "a").alias("a"), F.coalesce("db", "b").alias("b"))
+    own = multi.alias("x").join(multi.alias("y").hint("merge"), ["grp", "size"]).where("x.doc < y.doc").select(F.col("x.doc").alias("a"), F.col("y.doc").alias("b"))
+    pairs = both.union(own).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    pairs = cut_and_release(pairs.select("a", "b", F.col("a").alias("na"), F.col("b").alias("nb")))
+    links = cut_and_release(_verify(pairs, docs, n, num, den, few, forest=False).distinct())
+    members = worded.select("doc_id", "cls").join(classes.select("cls", F.col("doc").alias("class_id")).hint("merge"), "cls").select("doc_id", "class_id")
+    return links.select(F.col("child").alias("a"), F.col("parent").alias("b")), members
+
+
+def link_counts(links: DataFrame, members: DataFrame) -> DataFrame:
+    """(doc_id, class_id, n_links): how many other rows each row is linked with, copies counted."""
+    sizes = members.groupBy("class_id").agg(F.count("*").alias("n"))
+    ends = links.select(F.col("a").alias("class_id"), F.col("b").alias("other")).union(links.select(F.col("b").alias("class_id"), F.col("a").alias("other")))
+    near = ends.join(sizes.select(F.col("class_id").alias("other"), "n").hint("merge"), "other").groupBy("class_id").agg(F.sum("n").alias("k"))
+    of = sizes.join(near.hint("merge"), "class_id", "left").select("class_id", (F.col("n") - 1 + F.coalesce("k", F.lit(0))).alias("n_links"))
+    return members.join(of.hint("merge"), "class_id").select("doc_id", "class_id", "n_links")
+
+
 def _one_id_several_texts(worded: DataFrame, classes: DataFrame) -> DataFrame | None:
     """Edges that make the classes of one id one vertex; None where no id has several."""
     twice = cut_and_release(worded.groupBy("doc_id").agg(F.min("cls").alias("lo"), F.max("cls").alias("hi")).where("lo <> hi").select("doc_id"))

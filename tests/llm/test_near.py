@@ -13,7 +13,7 @@ import pytest
 from sparsegrid.llm import decontaminate as de
 from sparsegrid.llm.graph import components
 from sparsegrid.llm.line_dedup import dedup_lines, line_counts
-from sparsegrid.llm.ngram_join import ngram_components, shingle_sets
+from sparsegrid.llm.ngram_join import link_counts, ngram_components, ngram_links, shingle_sets
 from sparsegrid.llm.textkernel import ALNUM, SLICE_BYTES, SPACED, words_of
 
 ODD = [(1, None), (2, ""), (3, "  \t\n "), (None, "a b c d e f"), (4, "one two"), (4, "one two"), (5, "x " * 3000)]
@@ -324,3 +324,24 @@ def test_blocks_are_passed_one_after_the_other(spark, docs_of):
     assert tell(1) == tell(1 << 20) == sorted([("1", 6, 5, (1, 2, 3))] * 2 + [("1", 2, 2, (2,)), ("None", 3, 2, (2,)), ("7", 0, 0, ()), ("8", 0, 0, ())])
     kept = lambda size: sorted(str(r.doc_id) for r in de.remove_contaminated(docs_of(rows), bench, 3, 20, size).collect())
     assert kept(1) == kept(1 << 20) == ["7", "8"]
+
+
+@pytest.mark.parametrize("seed,few", [(1, 0), (5, 200_000)])
+def test_links_equal_brute_force(docs_of, seed, few):
+    """Every link between different texts, and how many each row has."""
+    rows = near_rows(seed, groups=4, size=20)
+    rows += [(1000 + k, t) for k, (_, t) in enumerate(rows[:15])] + [(2000, None), (2001, ""), (None, rows[0][1])]
+    sets = {}
+    for i, t in rows:
+        w = words_by_regex(t)
+        if i is not None and w:
+            sets[i] = frozenset(tuple(w[k : k + 4]) for k in range(len(w) - 3)) if len(w) >= 4 else frozenset([tuple(w)])
+    linked = lambda a, b: 100 * len(a & b) >= 85 * len(a | b)
+    links, members = ngram_links(docs_of(rows), 4, 85, 100, few)
+    named = {s: min(i for i, o in sets.items() if o == s) for s in set(sets.values())}
+    want = {tuple(sorted((named[a], named[b]))) for a in named for b in named if a != b and linked(a, b)}
+    got = [tuple(r) for r in links.collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+    counts = {r.doc_id: (r.class_id, r.n_links) for r in link_counts(links, members).collect()}
+    assert counts == {i: (named[s], sum(linked(s, o) for j, o in sets.items() if j != i)) for i, s in sets.items()}
+    assert ngram_links(docs_of([]))[0].count() == 0
