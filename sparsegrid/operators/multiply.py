@@ -80,6 +80,7 @@ def piece_table(profile: DataFrame, chunk: int, wide: bool = False) -> DataFrame
     return cut.select("id", F.col("piece").cast("int").alias("piece"), size.cast("bigint").alias("size"), F.floor((F.col("first") + F.col("piece")) / 2).alias("owner"))
 
 
+_FEW = 1 << 24  # elementary products that are summed in less time than bands and pages are dealt
 _PLACES = 1 << 22  # results that a worker sums
 _LINES = 1 << 16  # long lines that a chunk may leave
 _HOT = 1 << 12  # entries of a line that one task takes without being cut
@@ -219,14 +220,15 @@ def balanced_multiply(s: SparseMatrix, t: SparseMatrix, grid: Grid, band_mode: s
     return assemble(plan, local_products(plan, *route_entries(plan, chunk, seen, whole)))
 
 
-def sparse_multiply(s: SparseMatrix, t: SparseMatrix, workers: int | None = None, split: str | tuple[int, int] = "exact", objective: str = "bytes", chunk: int | None = None, seen: Totals | None = None) -> SparseMatrix:
+def sparse_multiply(s: SparseMatrix, t: SparseMatrix, workers: int | None = None, split: str | tuple[int, int] = "exact", objective: str = "bytes", chunk: int | None = None, seen: Totals | None = None, least: int = _FEW) -> SparseMatrix:
     """S T with the grid chosen from the factors' profiles (``seen``, where they are known already).
 
     ``workers`` defaults to a power of two, so grids can be near to square: eight
     for each of the session's shuffle partitions, and so many that a worker sums
     at most about four million places, which stay in a task's hash table.  Where the best grid is (1, 1,
     workers), pages alone are dealt, and the product is the plain join on pages
-    with summation.
+    with summation; so it is, with the objective ``bytes``, for fewer than
+    ``least`` elementary products, which are made sooner than a plan.
     """
     spark = s.df.sparkSession
     seen = seen or totals(s, t)
@@ -234,7 +236,7 @@ def sparse_multiply(s: SparseMatrix, t: SparseMatrix, workers: int | None = None
     k = workers or 1 << (wanted - 1).bit_length()
     if isinstance(split, tuple):
         return balanced_multiply(s, t, Grid(*split, k // (split[0] * split[1])), chunk=chunk, seen=seen)
-    if not seen.products:
+    if not seen.products or (objective == "bytes" and seen.products < least):
         return join_multiply(s, t)
     grid = choose_split(max(s.n, t.n), seen.nz_s, seen.nz_t, k, objective, s.n_rows, t.n_cols, seen.products, split)
     if (grid.a, grid.b) == (1, 1) and objective == "bytes":

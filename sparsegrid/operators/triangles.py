@@ -90,13 +90,14 @@ def plan_layers(g: Graph, workers: int | None = None, parts: str = "degree") ->
     """``workers`` stands for n; each cell has p members, so about 2 p^3 logical workers in two waves."""
     p = side_of(workers or g.n)
     split = cut_lineage(vertex_parts(g, p, parts))
+    line = split.agg(F.count("*"), F.max("d"), F.sum("d")).first()  # no line of edges is longer than the largest degree
+    vertices, most, m = (int(x or 0) for x in line)
+    m //= 2  # every edge is in two degrees
     tagged = cut_lineage(edge_parts(g, split))
-    m = tagged.count()
     sets = cut_lineage(split_parts(tagged, max(m, 1), p))
     cells = cut_lineage(assign_cells(sets, p))
     third = cut_lineage(third_parts(tagged, part_matrix(tagged).select("pi", "pj"), p))
-    line = split.agg(F.count("*"), F.max("d")).first()  # no line of edges is longer than the largest degree
-    return Layers(g, p, m, split, tagged, sets, cells, third, int(line[0]), int(line[1] or 0))
+    return Layers(g, p, m, split, tagged, sets, cells, third, vertices, most)
 
 
 def packets(x: Layers, holders: int, edges: DataFrame | None = None) -> DataFrame:

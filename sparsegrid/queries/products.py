@@ -38,8 +38,9 @@ def _square_with(multiply):
 
 
 for _name, _multiply in {
-    "sparse_multiply_handoff": lambda a, b: mu.sparse_multiply(a, b, 24, objective="rounds"),
-    "sparse_multiply_bytes_objective": lambda a, b: mu.sparse_multiply(a, b, 24, objective="bytes"),
+    "sparse_multiply_handoff": mu.sparse_multiply,
+    "sparse_multiply_rounds_objective": lambda a, b: mu.sparse_multiply(a, b, 24, objective="rounds"),
+    "sparse_multiply_bytes_objective": lambda a, b: mu.sparse_multiply(a, b, 24, objective="bytes", least=0),
     "sparse_multiply_closed_form": lambda a, b: mu.sparse_multiply(a, b, 24, split="closed_form", objective="rounds"),
     "balanced_multiply_fixed_grid": lambda a, b: mu.balanced_multiply(a, b, Grid(2, 3, 4)),
     "balanced_multiply_pieces": lambda a, b: mu.balanced_multiply(a, b, Grid(2, 2, 2), chunk=20),
@@ -59,7 +60,7 @@ for _name, _multiply in {
 def sparse_multiply_supply_gram(spark, folder):
     """Suppliers by suppliers: parts that both deliver."""
     s = src.supply(spark, folder).cut()
-    return mu.sparse_multiply(s.transpose(), s, 16).df.select("row", "col", "val")
+    return mu.sparse_multiply(s.transpose(), s, 16, least=0).df.select("row", "col", "val")
 
 
 @query(over("supply", "SELECT v AS row, u AS col, CAST(1 AS BIGINT) AS val FROM supply"))
@@ -250,7 +251,7 @@ def _size_of_square(multiply):
 
 # the square of a graph that gets sparser as it grows, by the planned product and its baselines
 for _name, _multiply in {
-    "square_co_order": mu.sparse_multiply,
+    "square_co_order": lambda a, b: mu.sparse_multiply(a, b, least=0),
     "square_co_order_join": mu.join_multiply,
     "square_co_order_fixed_cube": lambda a, b: mu.multiply_fixed_cube(a, b, 8),
     "square_co_order_random": lambda a, b: mu.multiply_random(a, b, Grid(2, 2, 2)),

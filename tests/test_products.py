@@ -67,7 +67,7 @@ def test_baselines_and_variants(spark):
     a, b, want = matrix(spark, s), matrix(spark, t), defined(s, t, PLUS_TIMES)
     ways = [
         mu.multiply_fixed_cube(a, b, 8), mu.multiply_random(a, b, Grid(2, 2, 2)), mu.multiply_bilinear(a, b), mu.broadcast_multiply(a, b), block_multiply(a, b, 2),
-        mu.sparse_multiply(a, b, 8, objective="rounds"), mu.sparse_multiply(a, b, 8), mu.sparse_multiply(a, b, 8, split=(2, 2)), mu.balanced_multiply(a, b, Grid(2, 2, 2), "serpentine", "serpentine", "products", chunk=2),
+        mu.sparse_multiply(a, b, 8, objective="rounds"), mu.sparse_multiply(a, b, 8), mu.sparse_multiply(a, b, 8, least=0), mu.sparse_multiply(a, b, 8, split=(2, 2)), mu.balanced_multiply(a, b, Grid(2, 2, 2), "serpentine", "serpentine", "products", chunk=2),
     ]
     for way in ways:
         assert cells(way) == want
