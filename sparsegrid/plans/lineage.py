@@ -38,28 +38,34 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def cut_and_release(df: DataFrame) -> DataFrame:
-    """``cut_lineage`` for methods of many small jobs: what is no longer needed is deleted at once."""
+def cut_and_release(df: DataFrame, rounds: int = 1) -> DataFrame:
+    """``cut_lineage`` for methods of many jobs: what is no longer needed is deleted."""
     out = cut_lineage(df)
-    release(df.sparkSession, every=2.0)
+    del df  # its shuffles are among what is no longer needed
+    release(out.sparkSession, every=2.0 if rounds == 1 else 0.0, rounds=rounds)
     return out
 
 
 _released = [0.0]
 
 
-def release(spark: SparkSession, every: float = 0.0) -> None:
+def release(spark: SparkSession, every: float = 0.0, rounds: int = 1) -> None:
     """Lets Spark delete the shuffle and checkpoint files of tables that are no longer referred to.
 
     Its cleaner acts when the driver collects garbage, which a driver with few
     objects seldom does; a method of many small jobs would keep the files of all,
-    and the driver's heap would grow with the plans of all.  Nothing happens
-    where the last time was less than ``every`` seconds ago.
+    and the driver's heap would grow with the plans of all.  What the last job
+    has used is free only after three collections within about a second: ask for
+    as many ``rounds`` after a job of large shuffles.  Nothing happens where the
+    last time was less than ``every`` seconds ago.
     """
-    if time.monotonic() - _released[0] >= every:
+    if time.monotonic() - _released[0] < every:
+        return
+    for k in range(rounds):
+        time.sleep(0.35 if k else 0.0)
         gc.collect()
         spark.sparkContext._jvm.System.gc()
-        _released[0] = time.monotonic()
+    _released[0] = time.monotonic()
 
 
 def drop_folder(spark: SparkSession, path: str) -> None:
