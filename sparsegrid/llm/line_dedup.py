@@ -177,11 +177,11 @@ def _near(found: DataFrame, tasks: int, many: int) -> DataFrame:
 
 def marked_rows(docs: DataFrame, min_words: int = 8, many: int = 1_000_000) -> DataFrame:
     """(doc_id, th, mask, n_kept, n_near): for each row with words which of its lines stay, and how many went for an earlier neighbour."""
-    distinct = cut_and_release(_distinct_lines(docs, min_words))
+    distinct = cut_and_release(_distinct_lines(docs, min_words), rounds=3)
     wanted = _with_shared_half(distinct, many)
     firsts = cut_lineage(distinct.groupBy(*ROW).agg(F.collect_list("line").alias("firsts")))
     del distinct  # so its files go at the next cut
-    found = cut_and_release(_with_bodies(wanted, docs))
+    found = cut_and_release(_with_bodies(wanted, docs), rounds=3)
     session_tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     n_words = found.agg(F.sum(F.col("n").cast("long"))).first()[0] or 0
     near = wanted.join(_near(found, max(session_tasks, -(-n_words // _WORDS_A_TASK)), many), "ord").groupBy(*ROW).agg(F.collect_list("line").alias("nears"))
@@ -190,7 +190,7 @@ def marked_rows(docs: DataFrame, min_words: int = 8, many: int = 1_000_000) -> D
     none = F.array().cast("array<int>")
     kept = firsts.join(near, ROW, "left").select(*ROW, F.array_sort(F.array_except("firsts", F.coalesce("nears", none))).alias("kept"), F.coalesce(F.size("nears"), F.lit(0)).cast("long").alias("n_near"))
     out = kept.select(*ROW, _marked(F.col("kept")).alias("mask"), F.size("kept").cast("long").alias("n_kept"), F.greatest("n_near", F.lit(0)).alias("n_near"))
-    release(docs.sparkSession)
+    release(docs.sparkSession, rounds=3)
     return out
 
 

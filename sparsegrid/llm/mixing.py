@@ -108,7 +108,7 @@ def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int
     plan = plan.withColumn("blocks", blocks).withColumn("slots", slots)
     plan = cut_lineage(plan.withColumn("start", F.sum("slots").over(Window.orderBy("sid")) - F.col("slots")).join(sums.select(F.col("source").alias("s"), "rows"), F.col("source").eqNullSafe(F.col("s"))).drop("s"))
 
-    packed = cut_and_release(_streams(sized, plan, seed, chunk_rows))
+    packed = cut_and_release(_streams(sized, plan, seed, chunk_rows), rounds=3)
     at = _pieces_of(block_words)
     cut = packed.where("size > 0").select("sid", "doc_id", "mark", "off", F.explode(at).alias("p")).select("sid", "p.block", "doc_id", "mark", "off", "p.at", "p.first_word", "p.n_words")
 
@@ -179,7 +179,7 @@ def draw_slots(plan: DataFrame, shard_slots: int, seed: int) -> DataFrame:
     q = permuted(F.col("r"), F.col("d"), F.xxhash64(F.lit(seed + 2), "sid"))
     numbered = ranked.join(counts.select("sid", "slots", "d", "gives"), "sid").select("x", "sid", "slots", "gives", q.alias("q"))
     # m numbers the slots that are given away
-    numbered = cut_and_release(numbered.select("x", "sid", "q", F.when(F.col("q") >= F.col("slots"), F.col("gives") + F.col("q") - F.col("slots")).alias("m")))
+    numbered = cut_and_release(numbered.select("x", "sid", "q", F.when(F.col("q") >= F.col("slots"), F.col("gives") + F.col("q") - F.col("slots")).alias("m")), rounds=3)
     missing = counts.where("slots > d").select(F.col("sid").alias("to"), "d", "takes", F.explode(F.sequence(F.lit(0).cast("long"), F.col("slots") - F.col("d") - 1)).alias("k"))
     missing = missing.select((F.col("takes") + F.col("k")).alias("m"), "to", (F.col("d") + F.col("k")).alias("as"))
     moved = numbered.where("m IS NOT NULL").select("x", "m").join(missing, "m").select("x", F.col("to").alias("sid"), F.col("as").alias("q"))
