@@ -6,8 +6,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sparsegrid.model import Graph
-from sparsegrid.operators.algebra import diagonal, trace_of_square_symmetric
+from sparsegrid.operators.algebra import diagonal, row_sums, trace_of_square_symmetric
 from sparsegrid.operators.multiply import sparse_multiply
+from sparsegrid.operators.twins import merge_twins
 
 
 def count_four_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
@@ -24,11 +25,16 @@ def count_four_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
 
 
 def count_five_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
-    """One row (five_cycles), from the traces of the third and fifth power and the triangles at each vertex."""
-    a = g.matrix()
+    """One row (five_cycles), from the traces of the third and fifth power and the triangles at each vertex.
+
+    Vertices with the same neighbours are one line of the matrix, whose entries
+    hold the sizes of the classes they lead to: the traces of its powers are
+    those of the whole matrix, and a hub with many leaves has one neighbour in it.
+    """
+    a = merge_twins(g).matrix().cut()
     square = multiply(a, a).cut()
     cube = multiply(square, a).cut()
     fifth = square.df.select("row", "col", F.col("val").alias("x")).join(cube.df.select(F.col("col").alias("row"), F.col("row").alias("col"), F.col("val").alias("y")), ["row", "col"]).agg(F.coalesce(F.sum(F.col("x") * F.col("y")), F.lit(0)).alias("t5"))
-    at = diagonal(cube).join(g.degrees().select(F.col("v").alias("id"), F.col("d_out").alias("d")), "id")
+    at = diagonal(cube).join(row_sums(a).select("id", F.col("val").alias("d")), "id")
     third = at.agg(F.coalesce(F.sum("val"), F.lit(0)).alias("t3"), F.coalesce(F.sum((F.col("d") - 2) * F.col("val")), F.lit(0)).alias("hung"))
     return fifth.crossJoin(third).select(F.floor((F.col("t5") - 5 * F.col("t3") - 5 * F.col("hung")) / 10).cast("bigint").alias("five_cycles"))
