@@ -13,6 +13,7 @@ from sparsegrid.model import Graph, SparseMatrix
 from sparsegrid.operators.algebra import diagonal, row_sums, trace_of_square_symmetric
 from sparsegrid.operators.multiply import sparse_multiply
 from sparsegrid.operators.twins import merge_twins
+from sparsegrid.plans.lineage import release
 
 
 def count_four_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
@@ -28,6 +29,64 @@ def count_four_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
     return trace.crossJoin(back).select("trace", "walks", F.floor((F.col("trace") - F.col("walks")) / 8).alias("four_cycles"))
 
 
+_WEDGES = 1 << 24  # wedges of a task
+_CHUNK = 1 << 21  # wedges that are counted together
+_DENSE = 1 << 23  # places of a task's counts in an array
+
+
+def _counted_pairs(batches):
+    """(a, b, c): the pairs a < b of the lists of a partition and the number of lists that hold both."""
+    lists = [b.column(0) for b in batches]
+    size = np.concatenate([np.diff(x.offsets.to_numpy()) for x in lists] or [np.zeros(0, np.int64)]).astype(np.int64)
+    ids, held = np.unique(np.concatenate([x.flatten().to_numpy() for x in lists] or [np.zeros(0, np.int64)]), return_inverse=True)
+    del lists
+    wide = len(ids)
+    first = np.repeat(np.cumsum(size) - size, size)
+    before = np.arange(len(held)) - first  # the elements of its list that an element follows
+    made = np.concatenate(([0], np.cumsum(before)))
+    dense = np.zeros(wide * wide, np.int64) if wide * wide <= _DENSE else None
+
+    def rows(key, count):
+        for i in range(0, len(key), 1 << 16):
+            k = key[i : i + (1 << 16)]
+            yield pa.RecordBatch.from_arrays([pa.array(ids[k // wide]), pa.array(ids[k % wide]), pa.array(count[i : i + (1 << 16)], pa.int64())], ["a", "b", "c"])
+
+    i = 0
+    while i < len(held):
+        j = max(i + 1, int(np.searchsorted(made, made[i] + _CHUNK, side="right")) - 1)
+        n = before[i:j]
+        at = np.arange(n.sum()) + np.repeat(first[i:j] - (np.cumsum(n) - n), n)
+        key = held[at] * wide + np.repeat(held[i:j], n)
+        i = j
+        if dense is None:
+            yield from rows(*np.unique(key, return_counts=True))
+        else:
+            dense += np.bincount(key, minlength=wide * wide)
+    if dense is not None:
+        key = np.flatnonzero(dense)
+        yield from rows(key, dense[key])
+
+
+def count_four_cycles_bipartite(s: SparseMatrix) -> DataFrame:
+    """One row (four_cycles) of the bipartite graph whose two kinds of vertices are the rows and the columns of S.
+
+    Two vertices of one kind with k common neighbours are on k (k - 1) / 2 cycles
+    together, and every cycle has one such pair of either kind: the pairs of
+    that kind are counted which have fewer wedges between them.  The middles of
+    wedges are dealt by ranges, and a task counts its pairs before they are
+    exchanged.
+    """
+    pairs = s.df.select("row", "col").distinct()
+    wedges = lambda axis: pairs.groupBy(axis).agg(F.count("*").alias("d")).agg(F.coalesce(F.sum(F.col("d") * (F.col("d") - 1) / 2), F.lit(0)).alias("w")).select(F.lit(axis).alias("axis"), "w")
+    most = {r["axis"]: int(r["w"]) for r in wedges("row").union(wedges("col")).collect()}
+    release(s.df.sparkSession, rounds=3)  # the files of the counts
+    middle, end = ("row", "col") if most["row"] <= most["col"] else ("col", "row")
+    tasks = max(int(s.df.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 4, most[middle] // _WEDGES, 1)
+    near = s.df.select(middle, end).repartitionByRange(tasks, middle).groupBy(middle).agg(F.array_sort(F.collect_set(end)).alias("ends"))
+    counted = near.select("ends").mapInArrow(_counted_pairs, "a bigint, b bigint, c bigint").groupBy("a", "b").agg(F.sum("c").alias("k"))
+    return counted.agg(F.coalesce(F.sum(F.expr("k * (k - 1) div 2")), F.lit(0)).cast("bigint").alias("four_cycles"))
+
+
 def _rows_of_powers(a: SparseMatrix, sizes: DataFrame) -> DataFrame:
     """(t5, t3, hung) of 64 rows each: their shares of the traces of the fifth and third power, and of the triangles' hanging edges.
 
