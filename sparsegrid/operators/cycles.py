@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from sparsegrid.model import Graph, SparseMatrix
 from sparsegrid.operators.algebra import diagonal, row_sums, trace_of_square_symmetric
+from sparsegrid.operators.gram import lines_of, size_of_gram, turning_walks
 from sparsegrid.operators.multiply import sparse_multiply
 from sparsegrid.operators.twins import merge_twins
 from sparsegrid.plans.lineage import release
@@ -29,6 +30,13 @@ def count_four_cycles(g: Graph, multiply=sparse_multiply) -> DataFrame:
     return trace.crossJoin(back).select("trace", "walks", F.floor((F.col("trace") - F.col("walks")) / 8).alias("four_cycles"))
 
 
+def count_four_cycles_of_lines(g: Graph) -> DataFrame:
+    """The same from packed lines: the squares of a block of the square are summed in the task that makes the block, and nothing of it is exchanged."""
+    lines = lines_of(g)
+    trace = size_of_gram(lines).select(F.coalesce("squares", F.lit(0)).cast("bigint").alias("trace"))
+    return trace.crossJoin(turning_walks(lines)).select("trace", "walks", F.floor((F.col("trace") - F.col("walks")) / 8).alias("four_cycles"))
+
+
 _WEDGES = 1 << 24  # wedges of a task
 _CHUNK = 1 << 21  # wedges that are counted together
 _DENSE = 1 << 23  # places of a task's counts in an array
